@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -81,9 +82,9 @@ def merge_bytes(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     return out
 
 
-def text_encoder(ranks: dict[bytes, int], pattern: str) -> Callable[[str | None], bytes]:
-    """From a whole text to its ids as little-endian unsigned 32-bit integers."""
-    return encoder(pattern, lambda piece: np.array(merge_bytes(piece.encode("utf-8"), ranks), dtype="<u4").tobytes())
+def text_encoder(ranks: dict[bytes, int], pattern: str, name: str = "ranks") -> Callable[[str | None], bytes]:
+    """From a whole text to its ids as little-endian unsigned 32-bit integers. ``name`` tells vocabularies apart."""
+    return encoder(f"{name} {len(ranks)}", pattern, lambda: lambda piece: array("I", merge_bytes(piece.encode("utf-8"), ranks)).tobytes())
 
 
 def decoder(ranks: dict[bytes, int]) -> Callable[[bytes], bytes]:
@@ -98,7 +99,7 @@ def decoder(ranks: dict[bytes, int]) -> Callable[[bytes], bytes]:
 def _encode_with(reduce: Callable, schema: str, names: list[str], rank_path: str, pattern: str, docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ranks = load_ranks(rank_path)
-        encode, decode = text_encoder(ranks, pattern), decoder(ranks)
+        encode, decode = text_encoder(ranks, pattern, rank_path), decoder(ranks)
         for part, texts in text_slices(batches):
             columns = reduce([encode(t) for t in texts], decode)
             yield pa.RecordBatch.from_arrays([part.column(0), *columns], names=["doc_id", *names])

@@ -9,6 +9,7 @@ joined back to the pieces by each piece's rank among those of its length. The pl
 from __future__ import annotations
 
 import zlib
+from array import array
 from bisect import insort
 from collections.abc import Callable, Iterator
 from itertools import groupby
@@ -80,11 +81,15 @@ def pack_slots(plan: list[tuple[int, tuple[int, ...]]]) -> dict[int, list[tuple[
 
 def piece_encoder(tokenizer_path: str, pattern: str) -> Callable[[str | None], bytes]:
     """Ids by the tokenizers library, asked once for each distinct pre-token; no special tokens are read or added."""
-    from tokenizers import Tokenizer
 
-    tokenizer = Tokenizer.from_file(tokenizer_path)
-    tokenizer.encode_special_tokens = True
-    return encoder(pattern, lambda piece: np.array(tokenizer.encode(piece, add_special_tokens=False).ids, dtype="<u4").tobytes())
+    def make():
+        from tokenizers import Tokenizer
+
+        tokenizer = Tokenizer.from_file(tokenizer_path)
+        tokenizer.encode_special_tokens = True
+        return lambda piece: array("I", tokenizer.encode(piece, add_special_tokens=False).ids).tobytes()
+
+    return encoder(f"tokenizers {tokenizer_path}", pattern, make)
 
 
 def document_pieces(docs: DataFrame, tokenizer_path: str, pattern: str, capacity: int = SEQUENCE, with_ids: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

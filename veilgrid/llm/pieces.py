@@ -1,13 +1,15 @@
-"""Pre-tokens of whole texts and tables from pre-token to token bytes, kept per worker task."""
+"""Pre-tokens of whole texts and tables from pre-token to token bytes, kept per worker process."""
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+import sys
+import types
+from collections.abc import Callable
 
 import regex
 
-#: Entries after which a task's table is emptied; bounds its memory.
-TABLE_ENTRIES = 400_000
+#: Entries after which a table is emptied; bounds its memory at about 100 MB.
+TABLE_ENTRIES = 800_000
 #: Pre-tokens longer than this are encoded each time.
 LONGEST_KEPT = 64
 
@@ -28,17 +30,19 @@ class PieceTable(dict):
         return ids
 
 
-def encoder(pattern: str, encode: Callable[[str], bytes]) -> Callable[[str | None], bytes]:
-    """A function from a whole text to its ids, each match of the pattern encoded separately."""
-    find, table = regex.compile(pattern).findall, PieceTable(encode)
-    at = table.__getitem__
+def worker_table(name: str, make: Callable[[], Callable[[str], bytes]]) -> PieceTable:
+    """The table of this name in this process; workers run many tasks, and later ones find the pre-tokens of earlier ones."""
+    held = sys.modules.setdefault("_piece_tables", types.ModuleType("_piece_tables")).__dict__
+    if name not in held:
+        held[name] = PieceTable(make())
+    return held[name]
+
+
+def encoder(name: str, pattern: str, make: Callable[[], Callable[[str], bytes]]) -> Callable[[str | None], bytes]:
+    """A function from a whole text to its ids, each match of the pattern encoded separately. ``name`` tells vocabularies apart."""
+    find, at = regex.compile(pattern).findall, worker_table(name, make).__getitem__
 
     def run(text: str | None) -> bytes:
         return b"".join(map(at, find(text))) if text else b""
 
     return run
-
-
-def batches_of(items: list, n: int) -> Iterator[list]:
-    for k in range(0, len(items), n):
-        yield items[k : k + n]
