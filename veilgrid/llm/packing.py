@@ -8,6 +8,7 @@ joined back to the pieces by each piece's rank among those of its length. The pl
 
 from __future__ import annotations
 
+import json
 import zlib
 from array import array
 from bisect import insort
@@ -20,7 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from veilgrid.llm.common import arrow_long, materialise, shuffle_partitions, text_slices
-from veilgrid.llm.pieces import encoder
+from veilgrid.llm.pieces import encoder, worker_value
 
 SEQUENCE = 1024
 END_ID = 0
@@ -79,17 +80,49 @@ def pack_slots(plan: list[tuple[int, tuple[int, ...]]]) -> dict[int, list[tuple[
     return slots
 
 
+def ranks_of(tokenizer_path: str) -> dict[bytes, int] | None:
+    """token bytes -> id of a byte-level file whose merges make ids in rising order; None for any other file.
+
+    For such a file "the earliest merge first" and "the lowest id first" are one rule, so a rank encoder gives the same ids.
+    """
+    with open(tokenizer_path, encoding="utf-8") as f:
+        model = json.load(f)["model"]
+    if model["type"] != "BPE" or model.get("unk_token") or model.get("byte_fallback") or model.get("end_of_word_suffix"):
+        return None
+    printable = [*range(33, 127), *range(161, 173), *range(174, 256)]  # bytes that stand for themselves; the others follow from 256
+    others = [b for b in range(256) if b not in set(printable)]
+    byte_of = {chr(b): b for b in printable} | {chr(256 + k): b for k, b in enumerate(others)}
+    vocabulary = model["vocab"]
+    made = [vocabulary["".join(m if isinstance(m, list) else m.split(" "))] for m in model["merges"]]
+    if made != sorted(made) or not all(set(t) <= byte_of.keys() for t, i in vocabulary.items() if i <= made[-1]):
+        return None
+    return {bytes(byte_of[c] for c in t): i for t, i in vocabulary.items() if i <= made[-1]}
+
+
 def piece_encoder(tokenizer_path: str, pattern: str) -> Callable[[str | None], bytes]:
-    """Ids by the tokenizers library, asked once for each distinct pre-token; no special tokens are read or added."""
+    """From a whole text to the ids of a tokenizers file; no special tokens are read or added.
 
+    A rank-ordered byte-level file is run by tiktoken's encoder, four times as fast; any other one by the tokenizers library, asked
+    once for each distinct pre-token.
+    """
     def make():
-        from tokenizers import Tokenizer
+        ranks = ranks_of(tokenizer_path)
+        if ranks:
+            import tiktoken
+
+            encode = tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+            return lambda text: array("I", encode(text)).tobytes() if text else b""
+        return encoder(f"tokenizers {tokenizer_path}", pattern, lambda: library_encoder(tokenizer_path))
+
+    return worker_value(f"encoder {tokenizer_path}", make)
+
 
-        tokenizer = Tokenizer.from_file(tokenizer_path)
-        tokenizer.encode_special_tokens = True
-        return lambda piece: array("I", tokenizer.encode(piece, add_special_tokens=False).ids).tobytes()
+def library_encoder(tokenizer_path: str) -> Callable[[str], bytes]:
+    from tokenizers import Tokenizer
 
-    return encoder(f"tokenizers {tokenizer_path}", pattern, make)
+    tokenizer = Tokenizer.from_file(tokenizer_path)
+    tokenizer.encode_special_tokens = True
+    return lambda piece: array("I", tokenizer.encode(piece, add_special_tokens=False).ids).tobytes()
 
 
 def document_pieces(docs: DataFrame, tokenizer_path: str, pattern: str, capacity: int = SEQUENCE, with_ids: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
