@@ -20,7 +20,10 @@ from pyspark.sql import functions as F
 from veilgrid.llm.common import text_slices
 from veilgrid.llm.pieces import encoder
 
-NONE = 1 << 60
+#: A leaf holds rank << PLACE | position, so that the least leaf is the leftmost one of the least rank.
+PLACE = 32
+NONE = 1 << 62
+MASK = (1 << PLACE) - 1
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -33,48 +36,42 @@ def merge_bytes(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     whole = ranks.get(piece)
     if whole is not None:
         return [whole]
-    n = len(piece)
-    size = 1 << max(0, n - 2).bit_length()  # leaves: pair k joins the parts that start at k and after it
+    get, n = ranks.get, len(piece)
+    size = 1 << (n - 1).bit_length()  # leaf k is the pair of the parts that start at k and next to it
     tree = [NONE] * (2 * size)
-    end, before = list(range(1, n + 1)), list(range(-1, n - 1))  # of the part that starts at a position
-    get = ranks.get
     for k in range(n - 1):
-        tree[size + k] = get(piece[k : k + 2], NONE)
-    for k in range(size - 1, 0, -1):
+        rank = get(piece[k : k + 2])
+        if rank is not None:
+            tree[size + k] = rank << PLACE | k
+    for k in range((size + n - 1) >> 1, 0, -1):
         a, b = tree[2 * k], tree[2 * k + 1]
-        tree[k] = a if a <= b else b
-
-    def put(k: int, rank: int) -> None:
-        k += size
-        tree[k] = rank
-        k >>= 1
-        while k:
-            a, b = tree[2 * k], tree[2 * k + 1]
-            least = a if a <= b else b
-            if tree[k] == least:
-                return
-            tree[k] = least
-            k >>= 1
-
+        tree[k] = a if a < b else b
+    end, before = list(range(1, n + 1)), list(range(-1, n))  # of the part that starts at a position
     while (least := tree[1]) != NONE:
-        k = 1
-        while k < size:  # leftmost leaf with the least rank
-            k *= 2
-            if tree[k] != least:
-                k += 1
-        k -= size
+        k = least & MASK
         gone = end[k]
-        stop = end[gone]
-        end[k] = stop
-        put(gone, NONE) if gone < n - 1 else None
-        if stop < n:
-            before[stop] = k
-            put(k, get(piece[k : end[stop]], NONE))
+        stop = end[k] = end[gone]
+        before[stop] = k
+        rank = get(piece[k : end[stop]]) if stop < n else None
+        tree[size + k] = NONE if rank is None else rank << PLACE | k
+        tree[size + gone] = NONE
+        p = before[k]
+        if p >= 0:
+            rank = get(piece[p:stop])
+            tree[size + p] = NONE if rank is None else rank << PLACE | p
         else:
-            put(k, NONE)
-        if k:
-            p = before[k]
-            put(p, get(piece[p:stop], NONE))
+            p = k
+        p, k, gone = (size + p) >> 1, (size + k) >> 1, (size + gone) >> 1
+        while p:  # the three leaves' paths to the root, each shared node once
+            a, b = tree[2 * p], tree[2 * p + 1]
+            tree[p] = a if a < b else b
+            if k != p:
+                a, b = tree[2 * k], tree[2 * k + 1]
+                tree[k] = a if a < b else b
+            if gone != k:
+                a, b = tree[2 * gone], tree[2 * gone + 1]
+                tree[gone] = a if a < b else b
+            p, k, gone = p >> 1, k >> 1, gone >> 1
     out, k = [], 0
     while k < n:
         out.append(ranks[piece[k : end[k]]])

@@ -8,8 +8,8 @@ from collections.abc import Callable
 
 import regex
 
-#: Entries of one generation of a table; two generations bound its memory at about 60 MB.
-GENERATION = 150_000
+#: Entries of one generation of a table; two generations bound its memory at about 120 MB.
+GENERATION = 300_000
 #: Pre-tokens longer than this are encoded each time.
 LONGEST_KEPT = 64
 
