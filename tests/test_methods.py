@@ -313,3 +313,36 @@ def test_disk_beats_per_axis_on_correlated_points_and_distance_falls_with_budget
     rows = study(spark, "/root/testdata/sf0.01", "normal_gen", settings_for(("disk", "axis"), (5,), (2.1, 5.0)), 5, False).collect()
     w = {(r.method, r.eps): r.w2 for r in rows}
     assert w["disk", 2.1] < w["axis", 2.1] and w["disk", 5.0] < w["axis", 5.0] and w["disk", 5.0] < w["disk", 2.1]
+
+
+# ---- draws ----
+
+@pytest.mark.parametrize("mech", [DiskMechanism(3.5, unit(5), 1), DiskMechanism(1.0, unit(4), 3), DiskMechanism(2.0, unit(5), 2, shrink=False), DiskMechanism(7.0, unit(3), 0)])
+def test_area_sampler_has_the_same_law(spark, mech):
+    from veilgrid.operators.sampling import report_by_areas
+
+    side = 300
+    draws = spark.range(side * side).select(((F.floor(F.col("id") / side) + 0.5) / side).alias("u"), ((F.col("id") % side + 0.5) / side).alias("v"), F.lit(2).alias("cx"), F.lit(0).alias("cy"))
+    got = {(r.ox, r.oy): r.n / side**2 for r in count_reports(report_by_areas(draws, mech, F.col("u"), F.col("v"))).collect()}
+    row = mech.channel_matrix()[2]
+    assert set(got) <= set(mech.output_list)
+    assert max(abs(got.get(c, 0) - p) for c, p in zip(mech.output_list, row, strict=True)) < 4 / side
+
+
+def test_weighted_draws(spark):
+    from veilgrid.operators.sampling import alias_table, draw_from, draw_large
+
+    weights = [1.0, 0.0, 2.0, 5.0, 0.5]
+    keep, other = alias_table(weights)
+    law = np.zeros(5)
+    for k in range(5):
+        law[k] += keep[k] / 5
+        law[other[k]] += (1 - keep[k]) / 5
+    assert law == pytest.approx(np.array(weights) / 8.5)
+    n = 20_000
+    df = spark.range(n).select(((F.col("id") + 0.5) / n).alias("u"))
+    for column in (draw_from(weights, F.col("u")), draw_large(np.array(weights), F.col("u"))):
+        counts = {r[0]: r[1] / n for r in df.groupBy(column).count().collect()}
+        assert all(abs(counts.get(k, 0) - w / 8.5) < 1e-3 for k, w in enumerate(weights))
+    with pytest.raises(ValueError):
+        draw_from([0.0, -1.0], F.col("u"))
