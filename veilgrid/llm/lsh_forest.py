@@ -19,12 +19,12 @@ from pyspark.sql import functions as F
 
 from veilgrid.llm.common import arrow_long, materialise
 
-TREES = 48
+TREES = 96
 SYMBOLS = 3
 #: First symbols probed at the last level, by the size of the query's coordinates.
-PROBES = 4
+PROBES = 6
 #: A query ascends until it has this share of its block as candidates, and at least MIN_CANDIDATES.
-SHARE = 0.15
+SHARE = 0.2
 MIN_CANDIDATES = 64
 #: Vectors indexed together; bounds a task's memory.
 BLOCK_ROWS = 32_768
