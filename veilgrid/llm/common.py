@@ -52,3 +52,12 @@ def words_of(text: str | None) -> list[bytes]:
 def id_remainder(doc_id, divisor: int = 3):
     """crc32 of the id written as text, modulo the divisor; null for a null id."""
     return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(divisor))
+
+
+def hash_sample(df: DataFrame, rows: int, *keys: str) -> DataFrame:
+    """About ``rows`` rows (all, if there are fewer), chosen by a hash of the keys; every task sends its share only.
+
+    The same rows are chosen wherever they lie. ``df`` is counted first, so it should be stable.
+    """
+    share = rows / max(1, df.count())
+    return df if share >= 1 else df.where(F.pmod(F.xxhash64(F.lit("sample"), *keys), F.lit(1 << 31)) < int(share * (1 << 31)))

@@ -15,13 +15,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilgrid.llm.common import materialise, text_slices, words_of
+from veilgrid.llm.common import hash_sample, materialise, text_slices, words_of
 from veilgrid.llm.text_stats import COUNTS, FEATURES, rule_counts, rule_features
 
 TREES = 100
 SUBSAMPLE = 256
-#: Rows of the sample from which every tree draws its own subsample.
-SAMPLE_ROWS = 20_000
+#: Expected rows of the sample from which every tree draws its own subsample.
+SAMPLE_ROWS = 10_000
 #: Share of good labelled documents (among those that pass the base rules) that the threshold may reject.
 MAX_GOOD_REJECTED = 0.005
 BINS = 2000
@@ -141,8 +141,8 @@ def fit_rules(stats: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROW
     is taken (the highest of those that tie). Without labelled rows of both kinds the default threshold holds.
     """
     passed = stats.where(~base_failed())
-    sample = passed.select("features", F.xxhash64("doc_id", "n_words", "word_chars").alias("h")).orderBy("h").limit(sample_rows)
-    rows = [r.features for r in sample.collect()]
+    sample = hash_sample(passed, sample_rows, "doc_id", "n_words", "word_chars")
+    rows = [r.features for r in sample.select("features").collect()]
     forest = grow_forest(_scaled(np.array(rows, dtype=float).reshape(-1, len(FEATURES))))
     scored = materialise(_score_stats(stats, forest))
     judged = labels.where(F.col("doc_id").isNotNull() & F.col("quality").isNotNull()).groupBy("doc_id").agg(F.max("quality").alias("quality"))

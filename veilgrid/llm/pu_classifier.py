@@ -15,13 +15,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilgrid.llm.common import id_remainder, materialise, text_slices, words_of
+from veilgrid.llm.common import hash_sample, id_remainder, materialise, text_slices, words_of
 from veilgrid.llm.text_stats import FEATURES, rule_counts, rule_features
 
 #: Hashed byte-pair buckets beside the rule features.
 BUCKETS = 256
 WIDTH = BUCKETS + 2 * len(FEATURES) + 1
-#: Bounds of the two training samples (rows with the smallest hashes of their ids).
+#: Expected sizes of the two training samples (rows whose ids hash below a threshold).
 POSITIVES = 6_000
 UNLABELLED = 6_000
 EPOCHS = 60
@@ -115,10 +115,9 @@ def fit_quality(docs: DataFrame, labels: DataFrame, positives: int = POSITIVES,
     known = labels.where(fold & F.col("quality").isNotNull())
     n, good = known.agg(F.count("*"), F.coalesce(F.sum((F.col("quality") == 1).cast("long")), F.lit(0))).first()
     prior = (good + 1) / (n + 2)
-    order = F.xxhash64("doc_id")
-    at_hand = docs.select("doc_id").where(fold).distinct()
-    sure = known.where(F.col("quality") == 1).select("doc_id").distinct().join(at_hand, "doc_id", "left_semi").orderBy(order).limit(positives)
-    free = at_hand.orderBy(order).limit(unlabelled)
+    at_hand = materialise(docs.select("doc_id").where(fold).distinct())
+    sure = hash_sample(materialise(known.where(F.col("quality") == 1).select("doc_id").distinct().join(at_hand, "doc_id", "left_semi")), positives, "doc_id")
+    free = hash_sample(at_hand, unlabelled, "doc_id")
     return fit_pu(_sample_vectors(docs, materialise(sure)), _sample_vectors(docs, materialise(free)), min(prior, 0.98))
 
 
