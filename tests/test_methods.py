@@ -346,3 +346,15 @@ def test_weighted_draws(spark):
         assert all(abs(counts.get(k, 0) - w / 8.5) < 1e-3 for k, w in enumerate(weights))
     with pytest.raises(ValueError):
         draw_from([0.0, -1.0], F.col("u"))
+
+
+def test_smoothing_keeps_mass_and_gives_the_distance_a_minimum_near_the_best_radius(spark):
+    from veilgrid.em import smooth_mass
+    from veilgrid.plans.experiments import FACTORS, settings_for, study
+
+    f = np.random.default_rng(1).dirichlet(np.ones(12))
+    assert smooth_mass(f, (3, 4)).sum() == pytest.approx(1) and smooth_mass(np.full(9, 1 / 9), (3, 3)) == pytest.approx(np.full(9, 1 / 9))
+    assert smooth_mass(np.array([1.0, 0, 0, 0]), (4,)) == pytest.approx([0.75, 0.25, 0, 0])
+    rows = study(spark, "/root/testdata/sf0.01", "normal_gen", settings_for(("disk",), (15,), (3.5,), FACTORS, smooth=(True,)), 5, False).collect()
+    w = {r.b_hat: r.w2 for r in rows}
+    assert min(w, key=w.get) in (2, 3, 4) and w[1] > min(w.values()) and w[5] > min(w.values())

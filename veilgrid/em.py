@@ -21,22 +21,25 @@ class Fit:
     log_likelihood: float
 
 
-def _smooth(f: np.ndarray, d: int) -> np.ndarray:
-    """3 x 3 binomial smoothing; weights that fall outside the square are given back to the cell."""
-    out = f.reshape(d, d)
-    for axis in (0, 1):
+def smooth_mass(f: np.ndarray, shape: tuple[int, ...]) -> np.ndarray:
+    """Binomial smoothing (1, 2, 1) / 4 along each axis; weights that fall outside are given back to the border cell."""
+    out = f.reshape(shape)
+    for axis, n in enumerate(shape):
         padded = np.concatenate([out.take([0], axis), out, out.take([-1], axis)], axis)
-        low, high = padded.take(range(d), axis), padded.take(range(2, d + 2), axis)
-        out = 0.25 * low + 0.5 * out + 0.25 * high
+        out = 0.25 * padded.take(range(n), axis) + 0.5 * out + 0.25 * padded.take(range(2, n + 2), axis)
     return out.ravel() / out.sum()
 
 
-def em(counts: np.ndarray, channel: np.ndarray, max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False) -> Fit:
-    """counts over m outputs, channel n x m. Uniform start; stops on a small relative change of the log-likelihood."""
-    return _iterate(counts, channel.shape[0], lambda f: f @ channel, lambda r: channel @ r, max_iter, tol, smooth)
+def em(counts: np.ndarray, channel: np.ndarray, max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False, shape: tuple[int, ...] | None = None) -> Fit:
+    """counts over m outputs, channel n x m. Uniform start; stops on a small relative change of the log-likelihood.
+
+    With ``smooth`` every step is followed by binomial smoothing over ``shape`` (a square unless given), which keeps fine grids from being over-fitted.
+    """
+    return _iterate(counts, channel.shape[0], lambda f: f @ channel, lambda r: channel @ r, max_iter, tol, smooth, shape)
 
 
-def _iterate(counts, n, forward, backward, max_iter, tol, smooth=False) -> Fit:
+def _iterate(counts, n, forward, backward, max_iter, tol, smooth=False, shape=None) -> Fit:
+    shape = shape or (math.isqrt(n), math.isqrt(n))
     total = counts.sum()
     f = np.full(n, 1 / n)
     if total == 0:
@@ -46,11 +49,11 @@ def _iterate(counts, n, forward, backward, max_iter, tol, smooth=False) -> Fit:
     for k in range(1, max_iter + 1):
         predicted = forward(f)
         likelihood = float(counts[seen] @ np.log(predicted[seen]))
-        if likelihood - before < tol * abs(likelihood):
+        if abs(likelihood - before) < tol * abs(likelihood):
             return Fit(f, k - 1, likelihood)
         before = likelihood
         f = f * backward(np.divide(counts, predicted, out=np.zeros_like(predicted), where=predicted > 0)) / total
-        f = _smooth(f, math.isqrt(n)) if smooth else f / f.sum()
+        f = smooth_mass(f, shape) if smooth else f / f.sum()
     return Fit(f, max_iter, before)
 
 

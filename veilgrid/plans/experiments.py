@@ -29,10 +29,12 @@ SIDES_SMALL, SIDES_LARGE = (1, 2, 3, 4, 5), (1, 5, 10, 15, 20)
 EPS_SMALL, EPS_LARGE = (0.7, 1.4, 2.1, 2.8, 3.5), (5.0, 6.0, 7.0, 8.0, 9.0)
 FACTORS = (0.33, 0.67, 1.0, 1.33, 1.67)
 RUNS = 10
+#: Plain and smoothed inversion.
+BOTH = (False, True)
 #: Largest side whose transport is solved exactly.
 EXACT_SIDE = 5
 ALL_METHODS = ("disk", "disk_noshrink", "decay", "axis", "subset")
-RESULT = "dataset string, part string, setting int, method string, eps double, d int, factor double, b_hat int, k int, eps_prime double, run int, w2 double, sw1 double, mae double, kl double, iterations int"
+RESULT = "dataset string, part string, setting int, method string, eps double, d int, factor double, b_hat int, k int, eps_prime double, smooth boolean, run int, w2 double, sw1 double, mae double, kl double, iterations int"
 
 
 def truth_counts(points: DataFrame, name: str, sides: tuple[int, ...], by_part: bool = True) -> DataFrame:
@@ -72,18 +74,19 @@ def matched_budget(eps: float, d: int, k_rule: str = "one", min_radius: int = 0)
             k = max(1, k // 2)
 
 
-def settings_for(methods, sides=(5,), budgets=(3.5,), factors=(1.0,), k_rule: str = "one", min_radius: int = 0) -> list[dict]:
+def settings_for(methods, sides=(5,), budgets=(3.5,), factors=(1.0,), k_rule: str = "one", min_radius: int = 0, smooth: tuple[bool, ...] = (False,)) -> list[dict]:
+    """Every combination, numbered; ``smooth`` says whether the inversion smooths (both are tried where both are given)."""
     out = []
     for d in sides:
         for eps in budgets:
             for factor in factors:
-                for method in methods:
+                for method, ems in ((m, x) for m in methods for x in smooth):
                     k, e = matched_budget(eps, d, k_rule, min_radius) if method == "subset" else (0, 0.0)
-                    out.append({"setting": len(out), "method": method, "eps": float(eps), "d": int(d), "factor": float(factor), "b_hat": grid_radius(eps, d, factor, min_radius), "k": k, "eps_prime": float(e)})
+                    out.append({"setting": len(out), "method": method, "eps": float(eps), "d": int(d), "factor": float(factor), "b_hat": grid_radius(eps, d, factor, min_radius), "k": k, "eps_prime": float(e), "smooth": ems})
     return out
 
 
-def simulate(method: str, counts: np.ndarray, d: int, eps: float, b_hat: int, k: int, eps_prime: float, rng: np.random.Generator, max_iter: int = 1000, tol: float = 1e-8) -> tuple[np.ndarray, int]:
+def simulate(method: str, counts: np.ndarray, d: int, eps: float, b_hat: int, k: int, eps_prime: float, rng: np.random.Generator, smooth: bool = False, max_iter: int = 1000, tol: float = 1e-8) -> tuple[np.ndarray, int]:
     """(estimated mass, EM steps) of one run from true counts (counts[cy * d + cx])."""
     grid = GridSpec(0.0, 0.0, 1.0, 1.0, d)
     if method == "exact":
@@ -95,13 +98,13 @@ def simulate(method: str, counts: np.ndarray, d: int, eps: float, b_hat: int, k:
         channel = wave.wave.channel_matrix()
         sides = counts.reshape(d, d)
         noisy = [sum(rng.multinomial(n, row / row.sum()) for n, row in zip(sides.sum(axis=a), channel, strict=True)) for a in (0, 1)]
-        fits = [em(x.astype(float), channel, max_iter, tol) for x in noisy]
+        fits = [em(x.astype(float), channel, max_iter, tol, smooth, (d,)) for x in noisy]
         return np.outer(fits[1].mass, fits[0].mass).ravel(), sum(f.iterations for f in fits)
     if method == "subset" and k > 1:
         mech = SubsetExponentialMechanism(eps_prime, grid, k)
         sets = np.concatenate([mech.sample(part, rng) for part in np.array_split(np.repeat(np.arange(d * d), counts), max(1, counts.sum() // 20_000))])
         distinct, n = np.unique(sets, axis=0, return_counts=True)
-        fit = em(n.astype(float), mech.set_probabilities(distinct), min(max_iter, 300), tol)
+        fit = em(n.astype(float), mech.set_probabilities(distinct), min(max_iter, 300), tol, smooth)
         return fit.mass, fit.iterations
     if method == "subset":
         mech = SubsetExponentialMechanism(eps_prime, grid, 1)
@@ -114,7 +117,7 @@ def simulate(method: str, counts: np.ndarray, d: int, eps: float, b_hat: int, k:
     for n, row in zip(counts, channel, strict=True):
         if n:
             noisy += rng.multinomial(n, row / row.sum())
-    fit = em(noisy, channel, max_iter, tol)
+    fit = em(noisy, channel, max_iter, tol, smooth)
     return fit.mass, fit.iterations
 
 
@@ -125,18 +128,18 @@ def evaluate(pdf: pd.DataFrame, seed: int = 1) -> pd.DataFrame:
     counts = np.zeros(d * d, dtype=np.int64)
     counts[(pdf.cy * d + pdf.cx).to_numpy()] = pdf.n
     rng = np.random.default_rng([seed, int(s.setting), int(s.run), sum(map(ord, f"{s.dataset}/{s.part}"))])
-    mass, steps = simulate(s.method, counts, d, s.eps, int(s.b_hat), int(s.k), s.eps_prime, rng)
+    mass, steps = simulate(s.method, counts, d, s.eps, int(s.b_hat), int(s.k), s.eps_prime, rng, bool(s.smooth))
     truth = counts / counts.sum()
     w2 = wasserstein_exact(truth, mass, d) if d <= EXACT_SIDE else wasserstein_sinkhorn(truth, mass, d, max_iter=1500, tol=1e-4)
     errors = pointwise_errors(truth, mass)
-    row = {c: s[c] for c in ("dataset", "part", "setting", "method", "eps", "d", "factor", "b_hat", "k", "eps_prime", "run")}
+    row = {c: s[c] for c in ("dataset", "part", "setting", "method", "eps", "d", "factor", "b_hat", "k", "eps_prime", "smooth", "run")}
     return pd.DataFrame([row | {"w2": w2, "sw1": sliced_wasserstein(truth, mass, d, angles=16), "mae": errors["mae"], "kl": errors["kl"], "iterations": steps}])
 
 
 def sweep(truth: DataFrame, settings: list[dict], runs: int = RUNS) -> DataFrame:
     """One row of measures per part, setting and run."""
     spark = truth.sparkSession
-    params = spark.createDataFrame(pd.DataFrame(settings), "setting int, method string, eps double, d int, factor double, b_hat int, k int, eps_prime double")
+    params = spark.createDataFrame(pd.DataFrame(settings), "setting int, method string, eps double, d int, factor double, b_hat int, k int, eps_prime double, smooth boolean")
     numbered = params.withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))))
     work = truth.join(F.broadcast(numbered), "d")  # settings x runs rows, whatever the data
     tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism * 4)
@@ -145,7 +148,7 @@ def sweep(truth: DataFrame, settings: list[dict], runs: int = RUNS) -> DataFrame
 
 def aggregate_runs(results: DataFrame) -> DataFrame:
     """Mean of a part's runs first, then of the parts; the standard error is over all of them."""
-    keys = ["dataset", "method", "eps", "d", "factor", "b_hat", "k", "eps_prime"]
+    keys = ["dataset", "method", "eps", "d", "factor", "b_hat", "k", "eps_prime", "smooth"]
     by_part = results.groupBy(*keys, "part").agg(F.avg("w2").alias("w2"), F.avg("sw1").alias("sw1"), F.avg("mae").alias("mae"), F.avg("kl").alias("kl"), F.avg("iterations").alias("iterations"), F.stddev_samp("w2").alias("spread"), F.count("*").alias("runs"))
     return by_part.groupBy(*keys).agg(*[F.avg(c).alias(c) for c in ("w2", "sw1", "mae", "kl", "iterations")], (F.sqrt(F.sum(F.coalesce(F.col("spread") * F.col("spread") / F.col("runs"), F.lit(0.0)))) / F.count("*")).alias("w2_se"), F.sum("runs").alias("runs"), F.count("*").alias("parts"))
 
@@ -161,11 +164,11 @@ STUDIED = {"crime_like": True, "taxi_like": True, "normal_gen": False, "szipf_ge
 
 
 def _register(name: str, by_part: bool) -> None:
-    query(f"sweep_b_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(("disk",), (15,), (3.5,), FACTORS), RUNS, by_part))
-    query(f"sweep_d_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(ALL_METHODS, SIDES_SMALL), RUNS, by_part))
-    query(f"sweep_d_large_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(("disk", "subset"), SIDES_LARGE, (5.0,)), RUNS, by_part))
-    query(f"sweep_eps_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(ALL_METHODS, (5,), EPS_SMALL), RUNS, by_part))
-    query(f"sweep_eps_large_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(("disk", "subset"), (15,), EPS_LARGE), RUNS, by_part))
+    query(f"sweep_b_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(("disk",), (15,), (3.5,), FACTORS, smooth=BOTH), RUNS, by_part))
+    query(f"sweep_d_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(ALL_METHODS, SIDES_SMALL, smooth=BOTH), RUNS, by_part))
+    query(f"sweep_d_large_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(("disk", "subset"), SIDES_LARGE, (5.0,), smooth=BOTH), RUNS, by_part))
+    query(f"sweep_eps_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(ALL_METHODS, (5,), EPS_SMALL, smooth=BOTH), RUNS, by_part))
+    query(f"sweep_eps_large_{name}")(lambda spark, sf: study(spark, sf, name, settings_for(("disk", "subset"), (15,), EPS_LARGE, smooth=BOTH), RUNS, by_part))
 
 
 for _name, _parts in STUDIED.items():
@@ -175,13 +178,13 @@ for _name, _parts in STUDIED.items():
 @query("sweep_eps_subset_growth")
 def sweep_eps_subset_growth(spark, sf):
     """The subset mechanism with k = n / e^eps (lowered where privacy can't match) beside the disk."""
-    return study(spark, sf, "normal_gen", settings_for(("disk", "subset"), (5,), EPS_SMALL, k_rule="growth"), RUNS, False)
+    return study(spark, sf, "normal_gen", settings_for(("disk", "subset"), (5,), EPS_SMALL, k_rule="growth", smooth=BOTH), RUNS, False)
 
 
 @query("full_domain")
 def full_domain(spark, sf):
     """No parts: the whole rectangles of the two table-born sets, with both anchors."""
-    settings = settings_for((*ALL_METHODS, "exact", "uniform"))
+    settings = settings_for((*ALL_METHODS, "exact", "uniform"), smooth=BOTH)
     return study(spark, sf, "crime_like", settings, RUNS, False).unionByName(study(spark, sf, "taxi_like", settings, RUNS, False))
 
 
@@ -195,12 +198,12 @@ def min_radius_ablation(spark, sf):
 @query("road_like_comparison")
 def road_like_comparison(spark, sf):
     """Strongly correlated axes: area mechanisms against the per-axis one."""
-    return study(spark, sf, "road_like", settings_for(ALL_METHODS, (5,), (3.5, 5.0)), RUNS, False)
+    return study(spark, sf, "road_like", settings_for(ALL_METHODS, (5,), (3.5, 5.0), smooth=BOTH), RUNS, False)
 
 
 @query("volume_comparison")
 def volume_comparison(spark, sf):
-    return study(spark, sf, "taxi_big", settings_for(ALL_METHODS), RUNS, True)
+    return study(spark, sf, "taxi_big", settings_for(ALL_METHODS, smooth=BOTH), RUNS, True)
 
 
 @query("trajectory_comparison")
