@@ -358,3 +358,18 @@ def test_smoothing_keeps_mass_and_gives_the_distance_a_minimum_near_the_best_rad
     rows = study(spark, "/root/testdata/sf0.01", "normal_gen", settings_for(("disk",), (15,), (3.5,), FACTORS, smooth=(True,)), 5, False).collect()
     w = {r.b_hat: r.w2 for r in rows}
     assert min(w, key=w.get) in (2, 3, 4) and w[1] > min(w.values()) and w[5] > min(w.values())
+
+
+def test_relational_forms_agree_with_arrays(spark):
+    from veilgrid.em import em_frame, em_stencil_frame
+
+    mech = DiskMechanism(3.0, unit(4), 1)
+    rng = np.random.default_rng(0)
+    n = rng.integers(0, 40, mech.outputs)
+    counts = spark.createDataFrame([(x, y, int(k)) for (x, y), k in zip(mech.output_list, n, strict=True) if k], "ox int, oy int, n long")
+    want = em(n.astype(float), mech.channel_matrix(), 3, -1).mass
+    frame = em_frame(counts, mech.channel(spark), 16, 3)
+    stencil = em_stencil_frame(counts, input_cells(spark, unit(4)), mech.excess_frame(spark), mech.q, 3, checkpoint_every=2)
+    for got in (frame, stencil):
+        rows = {(r.cx, r.cy): r.mass for r in got.collect()}
+        assert [rows[k % 4, k // 4] for k in range(16)] == pytest.approx(want, abs=1e-9)

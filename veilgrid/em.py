@@ -13,6 +13,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from veilgrid.lineage import materialise
+
 
 @dataclass(frozen=True)
 class Fit:
@@ -131,7 +133,7 @@ def em_stencil_frame(counts: DataFrame, cells: DataFrame, excess: DataFrame, q:
         base = ratio.agg(F.sum("ratio").alias("all"))
         f = f.join(gained, ["cx", "cy"], "left").crossJoin(F.broadcast(base)).select("cx", "cy", (F.col("mass") * (F.lit(q) * F.col("all") + F.coalesce("gain", F.lit(0.0))) / F.lit(total)).alias("mass"))
         if checkpoint_every and k % checkpoint_every == checkpoint_every - 1:
-            f = f.checkpoint()
+            f = materialise(f)
     return f
 
 

@@ -65,8 +65,7 @@ class AxisWaveMechanism:
     @staticmethod
     def count_axes(reports: DataFrame) -> DataFrame:
         """(axis, o, n) from one aggregate with grouping sets: two short lists whatever the number of reports."""
-        reports.createOrReplaceTempView("_axis_reports")
-        sets = reports.sparkSession.sql("SELECT grouping(ox) AS gx, ox, oy, count(*) AS n FROM _axis_reports GROUP BY GROUPING SETS ((ox), (oy))")
+        sets = reports.groupingSets([["ox"], ["oy"]], "ox", "oy").agg(F.grouping("ox").alias("gx"), F.count("*").alias("n"))
         axis = F.when(F.col("gx") == 0, "x").otherwise("y")
         return sets.select(axis.alias("axis"), F.when(F.col("gx") == 0, F.col("ox")).otherwise(F.col("oy")).alias("o"), "n").where(F.col("o").isNotNull())
 

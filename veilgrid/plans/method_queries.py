@@ -17,7 +17,7 @@ from veilgrid.metrics import frames, transport
 from veilgrid.noise import hash_uniform
 from veilgrid.plans import sql_text as S
 from veilgrid.privacy import local_privacy, local_privacy_subset, match_privacy, privacy_loss
-from veilgrid.registry import query, table
+from veilgrid.registry import ORACLES, QUERIES, query, table
 from veilgrid.sources.datasets import POINT_SETS, uniform_sql
 
 #: Budgets and sides of the experiments.
@@ -62,6 +62,7 @@ def _register_hist(name: str, d: int):
 
 for _name in POINT_SETS:
     _register_hist(_name, 15)
+QUERIES["true_hist"], ORACLES["true_hist"] = QUERIES["true_hist_taxi_like"], ORACLES["true_hist_taxi_like"]
 
 
 @query("out_cells", S.outputs(15, 3))
