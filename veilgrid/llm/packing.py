@@ -156,20 +156,21 @@ def document_pieces(docs: DataFrame, tokenizer_path: str, pattern: str, capacity
 def place_pieces(pieces: DataFrame, capacity: int = SEQUENCE) -> DataFrame:
     """Adds sequence_id and offset. ``pieces`` must be stable (a checkpoint or table): it is read for the histogram and for the ranks.
 
-    Ranks are counted in ``salt`` parts of each length and shifted by the parts before, so a length that a third of all
+    Ranks are counted in salted groups of each length and shifted by the parts before, so a length that a third of all
     pieces have is never one task's window.
     """
     spark = pieces.sparkSession
     salts = max(8, 4 * shuffle_partitions(spark))
-    salted = pieces.withColumn("salt", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(salts)).cast("int"))
-    counts = materialise(salted.groupBy("length", "salt").count())
+    salt = F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(salts))
+    salted = pieces.withColumn("group", F.col("length") * F.lit(salts) + salt)  # one key, so that nothing is dealt by length alone
+    counts = materialise(salted.groupBy("length", "group").count())
     histogram = {int(r["length"]): int(r["n"]) for r in counts.groupBy("length").agg(F.sum("count").alias("n")).collect()}
     slots = pack_slots(plan_packs(histogram, capacity))
     tables = {k: tuple(np.array(x, dtype=np.int64) for x in zip(*v, strict=True)) for k, v in slots.items()}
-    before = Window.partitionBy("length").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
-    firsts = counts.select("length", "salt", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first"))
-    own = Window.partitionBy("length", "salt").orderBy("doc_id", "start", "ids_crc32")
-    ranked = salted.withColumn("rank", F.row_number().over(own) - 1).join(firsts, ["length", "salt"]).withColumn("rank", F.col("rank") + F.col("first"))
+    before = Window.partitionBy("length").orderBy("group").rowsBetween(Window.unboundedPreceding, -1)
+    firsts = materialise(counts.select("length", "group", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first"))).select("group", "first")
+    own = Window.partitionBy("group").orderBy("doc_id", "start", "ids_crc32")
+    ranked = salted.withColumn("rank", F.row_number().over(own) - 1).join(firsts, "group").withColumn("rank", F.col("rank") + F.col("first"))
 
     @F.pandas_udf("struct<sequence_id:long,offset:long>")
     def place(lengths, ranks):
