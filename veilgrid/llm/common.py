@@ -61,3 +61,19 @@ def hash_sample(df: DataFrame, rows: int, *keys: str) -> DataFrame:
     """
     share = rows / max(1, df.count())
     return df if share >= 1 else df.where(F.pmod(F.xxhash64(F.lit("sample"), *keys), F.lit(1 << 31)) < int(share * (1 << 31)))
+
+
+#: Keys that are joined by broadcast because each has over 1/HUBS of all rows: there are fewer than HUBS of them.
+HUBS = 200
+
+
+def join_with_hubs(rows: DataFrame, keyed: DataFrame, key: str, count: str) -> DataFrame:
+    """Inner join of rows with a table of one row a key, which says how many of ``rows`` have the key.
+
+    Keys with more than 1/HUBS of the rows would fill one task of a shuffled join. There are fewer than HUBS such keys whatever
+    the data, so they are broadcast and their rows stay where they are; all other keys are joined by a shuffle. Both tables should be stable.
+    """
+    most = (keyed.agg(F.sum(count)).first()[0] or 0) / HUBS
+    hubs = F.broadcast(keyed.where(F.col(count) > most).drop(count))
+    rest = rows.join(hubs.select(key), key, "left_anti").join(keyed.where(F.col(count) <= most).drop(count), key)
+    return rows.join(hubs, key).unionByName(rest)

@@ -2,8 +2,8 @@
 
 Every round points each vertex's larger neighbours at its smallest neighbour, then its smaller ones; the
 edge table turns into stars whose centre is the component's smallest vertex. All state is in DataFrames that
-are checkpointed each round, minima are combined before the shuffle, and a hub is only ever the skewed side of
-an equi-join with one row per vertex, which adaptive execution can split.
+are checkpointed each round, minima are combined before the shuffle, and the few vertices that have a large share of
+all edges are joined by broadcast, so that no task gets a hub's edges.
 """
 
 from __future__ import annotations
@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilgrid.llm.common import materialise
+from veilgrid.llm.common import join_with_hubs, materialise
 
 
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -45,11 +45,13 @@ def _state(stars: DataFrame) -> tuple:
 
 def _large_star(edges: DataFrame) -> DataFrame:
     both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = both.groupBy("u").agg(F.least(F.first("u"), F.min("v")).alias("m"))
-    return both.where(F.col("v") > F.col("u")).join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+    least = materialise(both.groupBy("u").agg(F.least(F.first("u"), F.min("v")).alias("m"), F.count("*").alias("n")))
+    larger = both.where(F.col("v") > F.col("u"))
+    return join_with_hubs(larger, least, "u", "n").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
 
 
 def _small_star(edges: DataFrame) -> DataFrame:
-    least = edges.groupBy("u").agg(F.min("v").alias("m"))
-    moved = edges.join(least, "u").where(F.col("v") != F.col("m")).select(F.col("v").alias("u"), F.col("m").alias("v"))
+    edges = materialise(edges)
+    least = materialise(edges.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")))
+    moved = join_with_hubs(edges, least, "u", "n").where(F.col("v") != F.col("m")).select(F.col("v").alias("u"), F.col("m").alias("v"))
     return moved.unionByName(least.select("u", F.col("m").alias("v"))).distinct()

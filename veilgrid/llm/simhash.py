@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from veilgrid.llm.common import arrow_long, materialise, shuffle_partitions, text_slices
+from veilgrid.llm.common import arrow_long, join_with_hubs, materialise, shuffle_partitions, text_slices
 from veilgrid.llm.components import connected_components
 
 RADIUS = 3
@@ -231,9 +231,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     no rows; other columns of the input are not read.
     """
     prints = materialise(fingerprints(docs, id_col, text_col))
-    folded = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id")))
+    folded = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id"), F.count("*").alias("copies")))
     roots = connected_components(fingerprint_links(folded.select("fp"), radius, bucket_limit))
-    named = folded.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root"))
-    least = named.groupBy("root").agg(F.min("least_id").alias("component_id"))
-    of_fp = named.join(least, "root").select("fp", "component_id")
-    return prints.join(of_fp, "fp").select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    named = materialise(folded.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "copies", "least_id", F.coalesce("root", "fp").alias("root")))
+    least = materialise(named.groupBy("root").agg(F.min("least_id").alias("component_id"), F.count("*").alias("n")))
+    of_fp = materialise(join_with_hubs(named, least, "root", "n").select("fp", "copies", "component_id"))
+    return join_with_hubs(prints, of_fp, "fp", "copies").select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
