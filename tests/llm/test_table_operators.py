@@ -150,17 +150,66 @@ def test_record_bytes(spark):
     assert bytes(r.a) == b"WARC/1.1\r\nWARC-Type: resource\r\nWARC-Target-URI: http://x\r\nContent-Length: 3\r\n\r\nh\xc3\xa9\r\n\r\n" and bytes(r.b).endswith(b"Content-Length: 0\r\n\r\n\r\n\r\n")
 
 
-def test_pipeline_stages(spark, sf):
+def brute_survivors(rows):
+    """Smallest id of each group of texts whose fingerprints chain at three differing bits or fewer."""
+    from veilgrid.llm.simhash import simhash
+
+    fps = np.array([simhash(r.text) for r in rows], dtype=np.uint64)
+    labels = np.arange(len(rows))
+    close = np.bitwise_count(fps[:, None] ^ fps[None]) <= 3
+    while True:
+        nxt = np.where(close, labels[None], len(rows)).min(axis=1)
+        if (nxt == labels).all():
+            break
+        labels = nxt
+    least = {}
+    for r, k in zip(rows, labels, strict=True):
+        least[k] = min(least.get(k, r.doc_id), r.doc_id)
+    return set(least.values())
+
+
+def test_pipeline_stages_against_brute_force(spark, sf):
+    """Each stage on what the one before kept; rules and classifier by their row functions, copies and packing by brute force."""
     import corpus_pipeline
+    from veilgrid.llm import isolation, pu_classifier
+    from veilgrid.llm.packing import piece_encoder
+    from veilgrid.llm.queries import tokenizer_files
 
-    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
     columns = docs.columns
-    for k, (_, stage) in enumerate(corpus_pipeline.STAGES):
-        before = docs.count()
-        docs = stage(spark, docs, sf)
-        if k < 3:
-            assert docs.columns == columns and 0 < docs.count() <= before
-    pieces = docs.collect()
-    assert sum(p.length for p in pieces) == sum({p.doc_id: p.doc_tokens for p in pieces}.values())
-    ran = corpus_pipeline.run(spark, sf)
-    assert ran.count() == len(pieces)
+    stages = [f for _, f in corpus_pipeline.STAGES]
+    ids = lambda df: {r.doc_id for r in df.select("doc_id").collect()}
+    kept = stages[0](spark, docs, sf)
+    assert kept.columns == columns and ids(kept) == ids(isolation.quality_rules(docs, labels).where("kept"))
+    good = stages[1](spark, kept, sf)
+    assert good.columns == columns and ids(good) == ids(pu_classifier.quality_scores(kept, labels).where("predicted = 1"))
+    rows = good.collect()
+    single = stages[2](spark, good, sf)
+    assert single.columns == columns and ids(single) == brute_survivors(rows) and single.count() == len(ids(single))
+    pieces = stages[3](spark, single, sf).collect()
+    files = tokenizer_files()
+    encode = piece_encoder(files["json"], files["pattern"])
+    lengths = {r.doc_id: len(encode(r.text)) // 4 + 1 for r in single.collect()}
+    assert {p.doc_id: p.doc_tokens for p in pieces} == lengths and sum(p.length for p in pieces) == sum(lengths.values())
+    assert {(p.doc_id, p.start, p.length) for p in corpus_pipeline.run(spark, sf).collect()} == {(p.doc_id, p.start, p.length) for p in pieces}
+
+
+def test_pipeline_keeps_rows_without_ids_and_drops_repeats(spark, sf):
+    import corpus_pipeline
+
+    docs = spark.createDataFrame([(4, "a b c d e"), (4, "a b c d e"), (9, "A b c d e"), (None, "a b c d e"), (7, "other words in this one here")], "doc_id long, text string").withColumn("component_id", F.lit("clash"))
+    out = corpus_pipeline.near_duplicates(spark, docs, sf)
+    assert out.columns == docs.columns and sorted((r.doc_id or -1) for r in out.collect()) == [-1, 4, 7]
+    empty = docs.limit(0)
+    assert corpus_pipeline.near_duplicates(spark, empty, sf).count() == 0 and corpus_pipeline.packing_stage(spark, empty, sf).count() == 0
+
+
+@pytest.mark.parametrize("most", [200, 2])
+def test_join_with_hubs(spark, most, monkeypatch):
+    from veilgrid.llm import common
+
+    monkeypatch.setattr(common, "HUBS", most)
+    rows = spark.createDataFrame([(k % 7 if k % 3 else 0, k) for k in range(500)] + [(None, 1000)], "key long, v long")
+    keyed = rows.where("key is not null").groupBy("key").agg(F.count("*").alias("n")).withColumn("name", F.col("key") * 10)
+    out = common.join_with_hubs(rows, keyed, "key", "n").collect()
+    assert len(out) == 500 and all(r.name == 10 * r.key for r in out)
