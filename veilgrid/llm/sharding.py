@@ -15,12 +15,12 @@ from veilgrid.llm.common import materialise
 
 SHARDS = 8
 SEED = 17
-#: Bytes of text that one bucket is sized for.
-BUCKET_BYTES = 32 << 20
-#: Tasks of the second pass; buckets beyond it share tasks.
-MAX_TASKS = 20_000
+#: Bytes of text that one bucket is sized for; a task of the second pass holds one bucket.
+BUCKET_BYTES = 128 << 20
+#: Tasks of the second pass; buckets beyond it share tasks (128 TB in buckets of 128 MB are a million).
+MAX_TASKS = 1_000_000
 #: Buckets whose offsets (24 bytes each) are broadcast; beyond that they are joined by a shuffle.
-MAX_BROADCAST = 500_000
+MAX_BROADCAST = 2_000_000
 
 
 def shard_of(key: Column, shards: int, seed: int = SEED) -> Column:
