@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Iterator
 
 import numpy as np
@@ -10,22 +9,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Rows handed from one Arrow batch to Python code at a time.
-SLICE_ROWS = 512
-
+from veilgrid.lineage import ensure_checkpoint_dir, materialise
 
-def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Use the folder the cluster names; make a temporary one only where none is set."""
-    context = spark.sparkContext
-    if context._jsc.sc().getCheckpointDir().isDefined():
-        return
-    context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
+__all__ = ["arrow_long", "ensure_checkpoint_dir", "hash_sample", "id_remainder", "join_with_hubs", "materialise", "shuffle_partitions", "text_slices", "words_of"]
 
-
-def materialise(df: DataFrame) -> DataFrame:
-    """Cut the lineage with a reliable checkpoint in the shared folder."""
-    ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+#: Rows handed from one Arrow batch to Python code at a time.
+SLICE_ROWS = 512
 
 
 def shuffle_partitions(spark: SparkSession) -> int:
