@@ -145,6 +145,25 @@ def test_audit_with_repeats_and_null_ids(spark):
     assert merkle.audit_replicas(a, b.where("record <> X'6E'"), "page_id", "record").count() == 1
 
 
+def test_audit_of_archive_files(spark, tmp_path):
+    record = lambda k: f"WARC/1.1\r\nWARC-Type: resource\r\nContent-Length: {len(str(k) * 9)}\r\n\r\n{str(k) * 9}\r\n\r\n".encode()
+    whole = {f"{f}.warc": b"".join(record(100 * f + k) for k in range(40)) for f in range(3)}
+    harmed = dict(whole)
+    at = len(b"".join(record(100 + k) for k in range(7)))
+    harmed["1.warc"] = whole["1.warc"][: at + 60] + b"X" + whole["1.warc"][at + 61 :]
+    harmed["2.warc"] = whole["2.warc"][: -len(record(239))] + b"noise without a header"
+    for name, files in (("a", whole), ("b", harmed), ("c", {"0.warc": whole["0.warc"], "1.warc": b""})):
+        (tmp_path / name).mkdir()
+        for f, data in files.items():
+            (tmp_path / name / f).write_bytes(data)
+    a, b, c = (str(tmp_path / x) for x in "abc")
+    found = [(r.archive, r.at, r.offset, r.state) for r in merkle.audit_folders(spark, a, b, fanout=4).collect()]
+    last = len(whole["2.warc"]) - len(record(239))
+    assert sorted(found) == [("1.warc", 7, at, "corrupt"), ("2.warc", 39, last, "corrupt")]
+    assert merkle.audit_folders(spark, a, a).count() == 0
+    assert {(r.archive, r.state) for r in merkle.audit_folders(spark, a, c).collect()} == {("1.warc", "missing"), ("2.warc", "missing")}
+
+
 def test_record_bytes(spark):
     r = spark.range(1).select(merkle.warc_record(F.lit("http://x"), F.lit("hé")).alias("a"), merkle.warc_record(F.lit(None).cast("string"), F.lit(None).cast("string")).alias("b")).first()
     assert bytes(r.a) == b"WARC/1.1\r\nWARC-Type: resource\r\nWARC-Target-URI: http://x\r\nContent-Length: 3\r\n\r\nh\xc3\xa9\r\n\r\n" and bytes(r.b).endswith(b"Content-Length: 0\r\n\r\n\r\n\r\n")

@@ -111,6 +111,19 @@ def test_license_scan_rows(spark):
     assert sorted((r.doc_id or 0, r.license) for r in license_scan.scan_licenses(docs).collect()) == [(0, "Proprietary"), (1, "MIT"), (1, "MIT")]
 
 
+def test_slices_are_small_and_whole(monkeypatch):
+    import pyarrow as pa
+    from veilgrid.llm import common
+
+    monkeypatch.setattr(common, "SLICE_ROWS", 4)
+    monkeypatch.setattr(common, "SLICE_BYTES", 10)
+    texts = ["a", None, "", "bcd", "x" * 50, "y" * 11, "é", "tail", "t", "u", "v", "w"]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(12)), pa.array(texts)], names=["doc_id", "text"]).slice(1)
+    parts = list(common.text_slices([batch, batch.slice(0, 0)]))
+    assert [t for _, part in parts for t in part] == texts[1:] and [i for b, _ in parts for i in b.column(0).to_pylist()] == list(range(1, 12))
+    assert all(len(p) <= 4 and (len(p) == 1 or sum(len((t or "").encode()) for t in p) <= 10) for _, p in parts)
+
+
 @pytest.mark.parametrize("histogram", [{}, {1024: 5}, {1: 3000}, {600: 7, 424: 3, 1: 10, 512: 5}, {k: k % 7 + 1 for k in range(1, 1025)}, {1023: 4, 2: 9}])
 def test_plan_places_each_length_as_often_as_asked(histogram):
     plan = packing.plan_packs(histogram)

@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,8 +14,9 @@ from veilgrid.lineage import ensure_checkpoint_dir, materialise
 
 __all__ = ["arrow_long", "ensure_checkpoint_dir", "hash_sample", "id_remainder", "join_with_hubs", "materialise", "shuffle_partitions", "text_slices", "words_of"]
 
-#: Rows handed from one Arrow batch to Python code at a time.
+#: Most rows, and bytes of text beyond the first row, that are handed from an Arrow batch to Python code at a time.
 SLICE_ROWS = 512
+SLICE_BYTES = 16 << 20
 
 
 def shuffle_partitions(spark: SparkSession) -> int:
@@ -22,11 +24,15 @@ def shuffle_partitions(spark: SparkSession) -> int:
 
 
 def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[tuple[pa.RecordBatch, list[str | None]]]:
-    """Small slices of the batches with their texts, so that a batch of long texts is never decoded at once."""
+    """Slices of the batches with their texts, small in rows and bytes, so that a batch of long texts is never decoded at once."""
     for batch in batches:
-        for at in range(0, batch.num_rows, SLICE_ROWS):
-            part = batch.slice(at, SLICE_ROWS)
-            yield part, part.column(part.schema.get_field_index(column)).to_pylist()
+        at, texts = 0, batch.column(batch.schema.get_field_index(column))
+        ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+        while at < batch.num_rows:
+            limit = (ends[at - 1] if at else 0) + SLICE_BYTES
+            stop = min(at + SLICE_ROWS, max(at + 1, int(np.searchsorted(ends, limit, side="right"))))
+            yield batch.slice(at, stop - at), texts.slice(at, stop - at).to_pylist()
+            at = stop
 
 
 def arrow_long(values) -> pa.Array:
