@@ -7,9 +7,13 @@ nodes that differ are looked at on the way down, so an audit of sound copies rea
 
 from __future__ import annotations
 
+import hashlib
+import re
+from collections.abc import Iterator
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from veilgrid.llm.common import materialise
@@ -43,6 +47,48 @@ def leaves(records: DataFrame, id_col: str, record_col: str, archive_records: in
     return hashed.select("archive", (F.row_number().over(order) - 1).cast("long").alias("at"), "record_id", offset.alias("offset"), "length", "hash")
 
 
+_LENGTH = re.compile(rb"\r\ncontent-length:[ \t]*([0-9]+)[ \t]*\r\n", re.IGNORECASE)
+
+
+def split_records(data: bytes) -> Iterator[tuple[int, int]]:
+    """(offset, length) of an archive's records; what can't be read as a record is one last range, so that damage to a header shows."""
+    at = 0
+    while at < len(data):
+        head = data.find(b"\r\n\r\n", at)
+        found = _LENGTH.search(data, at, head + 2) if head >= 0 else None
+        stop = head + 4 + int(found[1]) + 4 if found else len(data)
+        if stop > len(data) or not data.startswith(b"WARC/", at):
+            stop = len(data)
+        yield at, stop - at
+        at = stop
+
+
+def file_leaves(spark: SparkSession, folder: str, pattern: str = "*.warc") -> DataFrame:
+    """Record hashes of the archive files in a folder, by file name; a task holds one file at a time.
+
+    Empty files have no records and are the same as files that aren't there.
+    """
+    names = ["archive", "at", "record_id", "offset", "length", "hash"]
+    types = [pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string()]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                name, data = batch.column(0)[k].as_py(), batch.column(1)[k].as_py()
+                rows = [(name, i, None, at, n, hashlib.sha256(data[at : at + n]).hexdigest()) for i, (at, n) in enumerate(split_records(data))]
+                yield pa.RecordBatch.from_arrays([pa.array([r[c] for r in rows], type=t) for c, t in enumerate(types)], names=names)
+
+    files = spark.read.format("binaryFile").option("pathGlobFilter", pattern).load(folder)
+    return files.select(F.substring_index("path", "/", -1).alias("archive"), "content").mapInArrow(run, "archive string, at long, record_id long, offset long, length long, hash string")
+
+
+def audit_folders(spark: SparkSession, primary: str, replica: str, pattern: str = "*.warc", fanout: int = FANOUT) -> DataFrame:
+    """Audit of two folders of archive files, record by record in file order; a record that is lost shifts those after it, which show as corrupt places."""
+    sides = [materialise(file_leaves(spark, x, pattern)) for x in (primary, replica)]
+    fullest = max((x.agg(F.max("at")).first()[0] or 0) + 1 for x in sides)
+    return audit(*(build_tree(x, tree_height(fullest, fanout), fanout) for x in sides), fanout)
+
+
 def build_tree(leaf_rows: DataFrame, height: int, fanout: int = FANOUT) -> Tree:
     """Each level hashes the ordered hashes of up to ``fanout`` children."""
     levels = [materialise(leaf_rows)]
