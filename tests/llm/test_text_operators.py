@@ -106,6 +106,72 @@ def test_license_sequences():
     assert [m.license for m in scan("RELEASED UNDER THE MIT LICENSE! Released under the MIT License?")] == ["MIT", "MIT"]
 
 
+MIT = """MIT License
+
+Copyright (c) 2020 Jane Doe
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE.
+"""
+GPL = """A tool
+Copyright (C) 2020 Jane Doe
+
+This program is free software: you can redistribute it and/or modify
+it under the terms of the GNU General Public License as published by
+the Free Software Foundation, either version 3 of the License, or
+(at your option) any later version.
+
+This program is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+GNU General Public License for more details.
+"""
+GPL2 = GPL.replace("software:", "software;").replace("Foundation, either version 3", "Foundation; either version 2")
+APACHE = """Copyright 2020 Jane Doe
+
+Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law or agreed to in writing, software
+distributed under the License is distributed on an "AS IS" BASIS,
+WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+"""
+
+
+@pytest.mark.parametrize("layout", ["wrapped", "crlf", "comment", "paragraphs", "one line"])
+@pytest.mark.parametrize("notice,rule", [(MIT, "mit-text"), (GPL, "gpl-text"), (GPL2, "gpl-text"), (APACHE, "apache-header")])
+def test_license_notices_unaltered(notice, rule, layout):
+    text = {"wrapped": notice, "crlf": notice.replace("\n", "\r\n"), "comment": "".join(f" * {x}".rstrip() + "\n" for x in notice.splitlines()), "paragraphs": "\n".join(" ".join(x.split()) for x in notice.split("\n\n")), "one line": " ".join(notice.split())}[layout]
+    found = license_scan.scanner()(text)
+    assert [m.rule for m in found] == [rule]
+    assert len(set(found[0].text.split())) > 20 and all(w in text for w in found[0].text.split())
+
+
+def test_license_sentences_are_whole():
+    scan = license_scan.scanner()
+    assert [m.rule for m in scan("Released under\nthe MIT License.")] == ["mit-line"]
+    for other in ("It is not licensed under the MIT License.", "Released under\n\nthe MIT License.", "Released under the MIT License or not.", "Released under. The MIT License.", "All rights reserved by us: nobody"):
+        assert scan(other) == []
+
+
 def test_license_scan_rows(spark):
     docs = spark.createDataFrame([(1, "Released under the MIT License."), (None, "All rights reserved."), (2, None), (3, "x" * 100_000), (1, "Released under the MIT License.")], "doc_id long, text string").withColumn("license", F.lit(0))
     assert sorted((r.doc_id or 0, r.license) for r in license_scan.scan_licenses(docs).collect()) == [(0, "Proprietary"), (1, "MIT"), (1, "MIT")]

@@ -1,13 +1,14 @@
 """Licence recognition by sentence rules.
 
-Texts are cut into sentences, sentences are normalised and mapped to identifiers of known licence sentences, and a
-document's sequence of identifiers is matched against ordered rules. The knowledge is two small tables, so documents
-are scanned once where they lie.
+Known licence sentences are looked up word by word in a tree of the table, over the lines of a paragraph, from where a
+sentence may start to where one may end. They are mapped to identifiers, and a document's sequence of identifiers is matched
+against ordered rules. The knowledge is two small tables, so documents are scanned once where they lie.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -17,22 +18,30 @@ from pyspark.sql import functions as F
 
 from veilgrid.llm.common import text_slices
 
-#: A sentence ends at marks before white space or at a new line.
+#: A sentence ends at marks before white space and may end at a new line: a known one goes on over the lines of its paragraph.
 SENTENCE_END = r"[.!?]+(?:[ \t\x0b\x0c\r\n]+|$)|\n+"
+#: Where a known sentence may also end, and the next one start, within a sentence: notices on one line have no other mark there.
+CLAUSE_END = r"[;:][\"')\]]*[ \t\x0b\x0c\r]+"
+#: A copyright line on one line with its notice: any word with a capital after it may start a sentence.
+COPYRIGHT = r"(?:copyright|\(c\)|©)[^a-z0-9]*(?:\(c\)[^a-z0-9]*)?(?:[0-9]{4}|year|yyyy)"
 
 #: Known licence sentences, normalised, and their identifiers.
 SENTENCES = {
     "released under the mit license": "mit-note",
     "licensed under the mit license": "mit-note",
     "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files the software to deal in the software without restriction": "mit-grant",
+    "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files the software to deal in the software without restriction including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software and to permit persons to whom the software is furnished to do so subject to the following conditions": "mit-grant",
     "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software": "mit-notice",
     "the software is provided as is without warranty of any kind express or implied": "as-is",
+    "the software is provided as is without warranty of any kind express or implied including but not limited to the warranties of merchantability fitness for a particular purpose and noninfringement": "as-is",
     "licensed under the apache license version 2 0": "apache-note",
     "licensed under the apache license version 2 0 the license": "apache-note",
     "you may not use this file except in compliance with the license": "apache-terms",
     "you may obtain a copy of the license at": "apache-copy",
     "this work is licensed under the gnu general public license version 3": "gpl3-note",
     "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation": "gpl-free",
+    "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation either version 2 of the license or at your option any later version": "gpl-free",
+    "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation either version 3 of the license or at your option any later version": "gpl-free",
     "this work is licensed under the gnu general public license version 2": "gpl2-note",
     "licensed under cc by nc 4 0": "by-nc-note",
     "licensed under cc by 4 0": "by-note",
@@ -77,24 +86,64 @@ _LOWER = {k: k + 32 for k in range(65, 91)}
 
 
 def scanner(sentences=SENTENCES, rules=RULES):
-    """A function of one text that lists its matches: left to right, the longest rule that fits, without overlap."""
-    cut = re.compile(SENTENCE_END)
+    """A function of one text that lists its matches: left to right, the longest sentence and rule that fit, without overlap."""
+    cut, clause, copyright_line = re.compile(SENTENCE_END), re.compile(CLAUSE_END), re.compile(COPYRIGHT, re.IGNORECASE)
+    word = re.compile("([A-Za-z0-9]+)([^A-Za-z0-9]*)")
     ordered = sorted(rules, key=lambda r: (-len(r[2]), r[0]))
-    hint = re.compile("|".join(sorted({re.escape(s.split()[0]) for s in sentences})), re.IGNORECASE)
+    tree: dict = {}
+    for sentence, name in sentences.items():
+        node = tree
+        for w in sentence.split():
+            node = node.setdefault(w, {})
+        node[""] = name
+    starts = sorted({"[^A-Za-z0-9]+".join(s.split()[:2]) for s in sentences})
+    hint = re.compile(f"(?<![A-Za-z0-9])(?=(?:{'|'.join(starts)})(?![A-Za-z0-9]))", re.IGNORECASE | re.ASCII)
+
+    def opening(text: str, at: int, first: int) -> int | None:
+        """Where the text of a sentence whose first word is at ``at`` starts; None if none may start there. Its piece starts at ``first``."""
+        left = at
+        while left > first and not (text[left - 1].isascii() and text[left - 1].isalnum()):
+            left -= 1
+        if left == first:
+            return first
+        if ends := list(clause.finditer(text, left, at)):
+            return ends[-1].end()
+        return at if text[at - 1].isspace() and text[at].isupper() and copyright_line.search(text, first, at) else None
+
+    def known_at(text: str, at: int) -> tuple[str, int, int] | None:
+        """The longest known sentence from ``at``: identifier, start of its last word, end of its text."""
+        found, node, m = None, tree, word.match(text, at)
+        while m and (node := node.get(normalise(m[1]))) is not None:
+            gap = m[2] if m.end() == len(text) else m[2] + "x"  # the next word follows: no mark stands at the end
+            ends = list(cut.finditer(gap))
+            if "" in node:
+                stop = ends[0].start() if ends else len(m[2]) if m.end() == len(text) else None
+                if stop is None and (c := clause.search(m[2])):
+                    stop = c.start()
+                elif stop is None and m[2][-1] in " \t<(" and text[m.end() : m.end() + 8].lower().startswith(("http://", "https://")):
+                    stop = 0
+                if stop is not None:
+                    found = (node[""], m.start(), m.start(2) + stop)
+            if m[2].count("\n") > 1 or any(e[0][0] != "\n" for e in ends):
+                break
+            m = word.match(text, m.end())
+        return found
 
     def scan(text: str | None) -> list[Match]:
-        if not text or not hint.search(text):
+        if not text or not (places := [m.start() for m in hint.finditer(text)]):
             return []
-        known = []
-        for at, sentence in enumerate(cut.split(text)):
-            if hint.search(sentence) and (name := sentences.get(normalise(sentence))):
-                known.append((at, name, sentence))
+        pieces, known, end = [0, *(m.end() for m in cut.finditer(text))], [], 0
+        number = lambda at: bisect_right(pieces, at) - 1
+        for at in places:
+            if at >= end and (start := opening(text, at, pieces[number(at)])) is not None and (hit := known_at(text, at)):
+                name, last, end = hit
+                known.append((number(at), number(last), name, text[start:end]))
         out, k = [], 0
         while k < len(known):
             for rule, licence, ids in ordered:
                 run = known[k : k + len(ids)]
-                if tuple(x[1] for x in run) == ids:
-                    out.append(Match(licence, rule, run[0][0], run[-1][0], ids, " ".join(x[2].strip() for x in run)))
+                if tuple(x[2] for x in run) == ids:
+                    out.append(Match(licence, rule, run[0][0], run[-1][1], ids, " ".join(x[3].strip() for x in run)))
                     k += len(ids) - 1
                     break
             k += 1
@@ -104,7 +153,7 @@ def scanner(sentences=SENTENCES, rules=RULES):
 
 
 def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sentences=SENTENCES, rules=RULES) -> DataFrame:
-    """One row per match: licence, rule, sentence numbers (from 0), identifiers and the sentences matched.
+    """One row per match: licence, rule, sentence numbers (from 0; each line of a wrapped sentence counts), identifiers and the sentences matched.
 
     Whole texts are read. Null, empty and licence-free texts give no row; a licence stated twice gives two rows, repeated rows
     repeat theirs, a null doc_id is kept as null, an empty table gives no rows, other columns aren't read.
