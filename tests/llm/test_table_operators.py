@@ -116,6 +116,17 @@ def test_shards(spark, bucket_bytes):
     assert sharding.shuffle_into_shards(frame.limit(0), "doc_id", "size").collect() == []
 
 
+def test_sharding_query_places_texts(spark, sf, monkeypatch):
+    from veilgrid.llm import queries
+
+    texts = {r.doc_id: (r.text or "").encode() for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    sums = lambda: {r.doc_id: (r.size, r.text_crc32) for r in queries.op4_sharding(spark, sf).collect()}
+    assert sums() == {k: (len(t) + 1, zlib.crc32(t)) for k, t in texts.items()}
+    whole = sharding.shuffle_into_shards
+    monkeypatch.setattr(sharding, "shuffle_into_shards", lambda rows, *a, **k: whole(rows, *a, **k).withColumn("text", F.concat(F.lit("~"), F.coalesce("text", F.lit("")))))
+    assert sums() == {k: (len(t) + 1, zlib.crc32(b"~" + t)) for k, t in texts.items()}  # the digest is of the rows in the shards
+
+
 def records(n, harm=()):
     body = {i: f"record {i} ".encode() * (i % 5 + 1) for i in range(n)}
     for i, what in harm:

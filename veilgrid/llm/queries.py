@@ -32,10 +32,11 @@ def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Texts are placed; the checksum is taken from the placed ones."""
     text = F.col("text")
-    rows = _table(spark, sf_dir, "documents").select("doc_id", sharding.text_size(text).alias("size"), F.crc32(F.coalesce(text, F.lit("")).cast("binary")).alias("text_crc32"))
+    rows = _table(spark, sf_dir, "documents").select("doc_id", sharding.text_size(text).alias("size"), "text")
     placed = sharding.shuffle_into_shards(rows, "doc_id", "size")
-    return placed.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
+    return placed.select("doc_id", "size", F.crc32(F.coalesce(text, F.lit("")).cast("binary")).alias("text_crc32"), F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
