@@ -373,3 +373,11 @@ def test_relational_forms_agree_with_arrays(spark):
     for got in (frame, stencil):
         rows = {(r.cx, r.cy): r.mass for r in got.collect()}
         assert [rows[k % 4, k // 4] for k in range(16)] == pytest.approx(want, abs=1e-9)
+
+
+def test_range_extraction_takes_the_whole_table(spark, tmp_path):
+    from veilgrid.plans.catalog import QUERIES
+
+    spark.range(20_000).select(F.col("id").alias("event_id"), F.lit("2024-01-11 12:00:00").cast("timestamp").alias("ts"), (F.col("id") % 80 + 0.25).alias("value")).write.parquet(f"{tmp_path}/events.parquet")
+    rows = QUERIES["range_extraction_rectangle"](spark, str(tmp_path)).collect()
+    assert sum(r.n for r in rows) == 10_000 and {r.part for r in rows} == {"B"}

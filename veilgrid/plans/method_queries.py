@@ -667,3 +667,10 @@ def rate_map(spark, sf):
 def range_extraction(spark, sf):
     kept = table(spark, sf, "events").where(F.col("value").between(20, 60) & F.col("event_id").between(100, 9000))
     return kept.groupBy(F.rint(F.col("value") / 10).cast("int").alias("band")).agg(F.count("*").alias("n"))
+
+
+@query("range_extraction_rectangle", f"SELECT part, CAST(y / 10 AS INTEGER) AS band, count(*) AS n FROM ({POINT_SETS['crime_like'].sql}) WHERE x BETWEEN 5 AND 25 AND y BETWEEN 20 AND 60 GROUP BY ALL")
+def range_extraction_rectangle(spark, sf):
+    """The rectangle on both coordinates (days and value) over the whole table, then the square part."""
+    kept = points(spark, sf, "crime_like").where(F.col("x").between(5, 25) & F.col("y").between(20, 60))
+    return kept.groupBy("part", F.rint(F.col("y") / 10).cast("int").alias("band")).agg(F.count("*").alias("n"))
