@@ -285,6 +285,14 @@ def join_null_safe(spark, sf):
     return a.join(b, F.col("part").eqNullSafe(F.col("other"))).groupBy("part").agg(F.count("*").alias("pairs"))
 
 
+@query("op_join_null_safe_all", "SELECT a.part, count(*) AS pairs FROM (SELECT nullif(o_orderstatus, 'P') AS part FROM orders) a JOIN (SELECT DISTINCT nullif(o_orderstatus, 'P') AS part FROM orders) b ON a.part IS NOT DISTINCT FROM b.part GROUP BY a.part")
+def join_null_safe_all(spark, sf):
+    """All orders; the other side is one row per status, so it is broadcast and no status is one task's work."""
+    a = table(spark, sf, "orders").select(F.nullif(F.col("o_orderstatus"), F.lit("P")).alias("part"))
+    b = F.broadcast(a.distinct().withColumnRenamed("part", "other"))
+    return a.join(b, F.col("part").eqNullSafe(F.col("other"))).groupBy("part").agg(F.count("*").alias("pairs"))
+
+
 @query("op_join_star", "SELECT r_name, o_orderstatus, CAST(floor(o_totalprice / 100000) AS INTEGER) AS band, count(*) AS n FROM orders JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ALL")
 def join_star(spark, sf):
     o = table(spark, sf, "orders").select("o_custkey", "o_orderstatus", F.floor(F.col("o_totalprice") / 100000).cast("int").alias("band"))
