@@ -31,9 +31,9 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of the remaining documents, packed into sequences."""
+    """Pieces of the remaining documents with their ids, packed into sequences."""
     files = tokenizer_files()
-    return packing.pack_documents(docs, files["json"], files["pattern"])
+    return packing.pack_documents(docs, files["json"], files["pattern"], with_ids=True)
 
 
 STAGES = [("quality rules", quality_rules), ("quality classifier", quality_classifier), ("simhash near-dedup", near_duplicates), ("packing", packing_stage)]

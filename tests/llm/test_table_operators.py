@@ -243,3 +243,18 @@ def test_join_with_hubs(spark, most, monkeypatch):
     keyed = rows.where("key is not null").groupBy("key").agg(F.count("*").alias("n")).withColumn("name", F.col("key") * 10)
     out = common.join_with_hubs(rows, keyed, "key", "n").collect()
     assert len(out) == 500 and all(r.name == 10 * r.key for r in out)
+
+
+def test_packing_places_ids(spark, sf, monkeypatch):
+    import corpus_pipeline
+    from veilgrid.llm import packing, queries
+
+    docs = spark.createDataFrame([(1, "one text"), (2, "word " * 3000), (3, None)], "doc_id long, text string")
+    placed = corpus_pipeline.packing_stage(spark, docs, sf).collect()
+    assert all(len(p.ids) == p.length and zlib.crc32(np.array(p.ids, dtype="<i4").tobytes()) == p.ids_crc32 for p in placed)
+    monkeypatch.setattr(queries, "_table", lambda *_: docs)
+    whole = packing.pack_documents
+    sums = lambda: {(p.doc_id, p.start): p.ids_crc32 for p in queries.op8_packing(spark, sf).collect()}
+    assert sums() == {(p.doc_id, p.start): p.ids_crc32 for p in placed}
+    monkeypatch.setattr(packing, "pack_documents", lambda *a, **k: whole(*a, **k).withColumn("ids", F.reverse("ids")))
+    assert sums() == {(p.doc_id, p.start): zlib.crc32(np.array(p.ids[::-1], dtype="<i4").tobytes()) for p in placed}

@@ -196,3 +196,17 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, pattern: str, capacity:
     other columns aren't read.
     """
     return place_pieces(materialise(document_pieces(docs, tokenizer_path, pattern, capacity, with_ids, id_col, text_col)), capacity)
+
+
+def placed_checksums(placed: DataFrame) -> DataFrame:
+    """``ids_crc32`` taken anew from the ids of placed pieces; the ids themselves are dropped."""
+    kept = placed.select(*[c for c in placed.columns if c not in ("ids", "ids_crc32")], "ids")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch.column(batch.num_columns - 1)
+            values, ends = ids.values.to_numpy(zero_copy_only=False).astype("<i4", copy=False), ids.offsets.to_numpy()
+            sums = arrow_long([zlib.crc32(values[a:b]) for a, b in zip(ends[:-1], ends[1:], strict=True)])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], sums], names=[*batch.schema.names[:-1], "ids_crc32"])
+
+    return kept.mapInArrow(run, ", ".join(f"{c} long" for c in kept.columns[:-1]) + ", ids_crc32 long").select(*[c for c in placed.columns if c != "ids"])

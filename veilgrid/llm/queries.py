@@ -58,8 +58,9 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ids themselves are placed; the checksum is taken from the placed ones."""
     files = tokenizer_files()
-    return packing.pack_documents(_table(spark, sf_dir, "documents"), files["json"], files["pattern"])
+    return packing.placed_checksums(packing.pack_documents(_table(spark, sf_dir, "documents"), files["json"], files["pattern"], with_ids=True))
 
 
 def op9_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
