@@ -1,11 +1,14 @@
 """Approximate nearest neighbours with a hash-prefix forest.
 
-Every tree is a sorted array of long hash strings. A string's symbols are cross-polytope hashes: the vector is rotated
-at random and the symbol is the nearest signed axis. A query descends each tree to its longest-prefix matches by binary
-search and then ascends all trees together, one symbol at a time, until it has enough distinct candidates; at the last
-level it also probes its second-nearest first symbols. The table is indexed in blocks of bounded size inside the
-partitions that hold it, so vectors are never shuffled, and queries are sent to the blocks in bounded groups.
-Candidates of all blocks are merged by exact distance.
+Every tree is a sorted array of long hash strings. A symbol of a string names the nearest signed axis among a few axes of
+a random rotation. A query descends each tree to its longest-prefix matches by binary search and then ascends the
+trees together, one symbol at a time and a few trees at a time, until a neighbour as far off as its k-th best so far would
+have been met with the wanted chance. That chance follows from the symbols' chance of being equal at an angle,
+so the ascent is as deep as the query needs, whatever the table's size.
+
+The table is indexed in blocks of bounded size inside the partitions that hold it, so vectors are never shuffled; trees of
+a block are built once for a pass of queries, and a pass takes as many queries as fit QUERY_BYTES. Candidates
+of all blocks are merged by exact distance. Work is queries x rows x the share of a block that is met.
 """
 
 from __future__ import annotations
@@ -19,18 +22,22 @@ from pyspark.sql import functions as F
 
 from veilgrid.llm.common import arrow_long, materialise
 
-TREES = 96
-SYMBOLS = 3
-#: First symbols probed at the last level, by the size of the query's coordinates.
-PROBES = 6
-#: A query ascends until it has this share of its block as candidates, and at least MIN_CANDIDATES.
-SHARE = 0.2
-MIN_CANDIDATES = 64
+TREES = 256
+SYMBOLS = 6
+#: Axes of one symbol: 16 symbols of 4 bits.
+AXES = 8
+SYMBOL_BITS = 4
+#: Wanted chance that a neighbour at the k-th best angle has been met.
+TARGET = 0.96
+#: Trees that ascend between two looks at that chance.
+STRIDE = 16
 #: Vectors indexed together; bounds a task's memory.
 BLOCK_ROWS = 32_768
-#: Queries sent to the blocks at a time; bounds what is broadcast (rows x dimensions x 8 bytes).
-QUERY_ROWS = 8_192
-EMPTY = np.uint32(0xFFFFFFFF)
+#: Bytes of query vectors sent to the blocks in one pass.
+QUERY_BYTES = 32 << 20
+#: Queries whose places in the trees are looked up together.
+QUERY_BATCH = 512
+_ANGLES = np.linspace(0, np.pi, 65)
 
 
 def usable(vector_col):
@@ -40,65 +47,90 @@ def usable(vector_col):
     return v.isNotNull() & (F.size(v) > 0) & fine & F.exists(v, lambda x: x != 0)
 
 
-def rotations(dim: int, trees: int, symbols: int, seed: int = 5) -> np.ndarray:
-    rng = np.random.default_rng(seed)
-    return np.stack([np.linalg.qr(rng.standard_normal((dim, dim)))[0] for _ in range(trees * symbols)]).reshape(trees, symbols, dim, dim).astype(np.float32)
-
-
-def hash_strings(x: np.ndarray, spins: np.ndarray) -> np.ndarray:
-    """(trees, rows) strings of one byte a symbol, most significant first. Dimensions over 127 are hashed by their first 127 rotated axes."""
-    out = np.zeros((len(spins), len(x)), dtype=np.uint32)
-    for t, tree in enumerate(spins):
-        for spin in tree:
-            y = x @ spin[:, :127]
-            axis = np.abs(y).argmax(axis=1)
-            symbol = 2 * axis + (y[np.arange(len(y)), axis] < 0)
-            out[t] = out[t] << np.uint32(8) | symbol.astype(np.uint32)
+def axis_symbols(y: np.ndarray) -> np.ndarray:
+    """Nearest signed axis of each row: twice the axis, plus one on its negative side."""
+    axis = np.abs(y).argmax(axis=1)
+    return (2 * axis + (y[np.arange(len(y)), axis] < 0)).astype(np.uint32)
+
+
+def hash_strings(x: np.ndarray, trees: int, symbols: int, seed: int = 5) -> np.ndarray:
+    """(trees, rows) strings, most significant symbol first. A rotation serves as many symbols as it has groups of axes."""
+    rng, dim = np.random.default_rng(seed), x.shape[1]
+    axes, out = min(AXES, dim), np.zeros((trees, len(x)), dtype=np.uint32)
+    at = groups = dim // axes
+    for t in range(trees):
+        for _ in range(symbols):
+            if at == groups:
+                turned, at = x @ np.linalg.qr(rng.standard_normal((dim, dim)))[0].astype(np.float32), 0
+            out[t] = out[t] << np.uint32(SYMBOL_BITS) | axis_symbols(turned[:, at * axes : (at + 1) * axes])
+            at += 1
     return out
 
 
+def equal_chance(axes: int, draws: int = 20_000, seed: int = 6) -> np.ndarray:
+    """Chance that a symbol is equal for two vectors at each angle of a grid, by simulation; it falls with the angle."""
+    rng = np.random.default_rng(seed)
+    a, b = rng.standard_normal((2, draws, axes))
+    own = axis_symbols(a)
+    return np.minimum.accumulate([np.mean(own == axis_symbols(np.cos(t) * a + np.sin(t) * b)) for t in _ANGLES])
+
+
 class Forest:
-    """Sorted arrays over one block of vectors."""
+    """Sorted arrays over one block of distinct vectors."""
 
-    def __init__(self, vectors: np.ndarray, spins: np.ndarray):
-        self.unit = _unit(vectors)
-        self.spins, self.symbols = spins, spins.shape[1]
-        strings = hash_strings(self.unit, spins)
+    def __init__(self, vectors: np.ndarray, trees: int = TREES, symbols: int = SYMBOLS, chance: np.ndarray | None = None):
+        self.vectors, self.unit, self.trees, self.symbols = vectors, _unit(vectors), trees, symbols
+        self.chance = equal_chance(min(AXES, vectors.shape[1])) if chance is None else chance
+        strings = hash_strings(self.unit, trees, symbols)
         self.order = np.argsort(strings, axis=1, kind="stable").astype(np.int32)
         self.sorted = np.take_along_axis(strings, self.order, axis=1)
 
-    def candidates(self, query: np.ndarray, strings: np.ndarray, enough: int, probes: int) -> np.ndarray:
-        """Row numbers for one query, whose strings (one a tree) are given."""
-        found = np.zeros(len(self.unit), dtype=bool)
-        count = 0
-        for depth in range(self.symbols, 0, -1):  # ascend every tree by one symbol
-            shift = np.uint32(8 * (self.symbols - depth))
-            for t in range(len(self.spins)):
-                self._add(found, t, int(strings[t] >> shift), int(shift))
-            count = int(found.sum())
-            if count >= enough:
-                return np.flatnonzero(found)
-        shift = 8 * (self.symbols - 1)
-        sides = [query @ tree[0][:, :127] for tree in self.spins]
-        ranked = [np.argsort(-np.abs(y)) for y in sides]
-        most = max(2 * len(sides[0]), probes)
-        for k in range(1, most):
-            if k >= probes and count >= enough:
-                break
-            for t, y in enumerate(sides):
-                if k < len(y):
-                    axis = int(ranked[t][k])
-                    self._add(found, t, 2 * axis + int(y[axis] < 0), shift)
-                else:  # the opposite ends, nearest last
-                    axis = int(ranked[t][2 * len(y) - 1 - k])
-                    self._add(found, t, 2 * axis + int(y[axis] >= 0), shift)
-            count = int(found.sum())
-        return np.flatnonzero(found) if count >= min(enough, len(found)) else np.arange(len(found))
-
-    def _add(self, found: np.ndarray, t: int, prefix: int, shift: int) -> None:
-        low = np.searchsorted(self.sorted[t], np.uint32(prefix << shift), side="left")
-        high = np.searchsorted(self.sorted[t], np.uint32(((prefix + 1) << shift) - 1), side="right")
-        found[self.order[t, low:high]] = True
+    def places(self, queries: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """First and last place of each query's prefixes: two arrays (query, depth - 1, tree)."""
+        strings = hash_strings(queries, self.trees, self.symbols)
+        low, high = np.empty((2, len(queries), self.symbols, self.trees), dtype=np.int32)
+        for depth in range(1, self.symbols + 1):
+            shift = np.uint64(SYMBOL_BITS * (self.symbols - depth))
+            prefix = strings.astype(np.uint64) >> shift
+            first, last = prefix << shift, ((prefix + np.uint64(1)) << shift) - np.uint64(1)
+            for t in range(self.trees):
+                low[:, depth - 1, t] = np.searchsorted(self.sorted[t], first[t].astype(np.uint32), side="left")
+                high[:, depth - 1, t] = np.searchsorted(self.sorted[t], last[t].astype(np.uint32), side="right")
+        return low, high
+
+    def search(self, query: np.ndarray, unit: np.ndarray, low: np.ndarray, high: np.ndarray, k: int, target: float) -> tuple[np.ndarray, np.ndarray, int]:
+        """(rows, distances, depth reached) of all candidates of one query; places (depth - 1, tree) are given."""
+        met = np.zeros(len(self.unit), dtype=bool)
+        rows, gaps, cosines = np.empty(0, dtype=np.int64), np.empty(0), np.empty(0)
+        sizes = (high - low).sum(axis=1)
+        depth = int(np.flatnonzero(sizes >= k)[-1]) + 1 if (sizes >= k).any() else 1  # the longest prefixes that can do
+        missed = np.zeros((self.trees, 1))
+        start, steps = depth, [(depth, 0, self.trees)]
+        steps += [(d, t, min(t + STRIDE, self.trees)) for d in range(start - 1, 0, -1) for t in range(0, self.trees, STRIDE)]
+        for depth, a, b in steps:
+            taken = np.zeros(len(met), dtype=bool)
+            taken[self._rows(low[depth - 1, a:b], high[depth - 1, a:b], a)] = True
+            new = np.flatnonzero(taken & ~met)
+            met[new] = True
+            rows = np.append(rows, new)
+            gaps = np.append(gaps, np.sqrt(((self.vectors[new] - query) ** 2).sum(axis=1)))
+            cosines = np.append(cosines, self.unit[new] @ unit)
+            missed[:b] = depth
+            missed[b:] = min(depth + 1, start)
+            if len(rows) >= min(k, len(met)):
+                best = np.argpartition(gaps, k - 1)[:k] if len(gaps) > k else slice(None)
+                equal = np.interp(np.arccos(np.clip(cosines[best].min(initial=1), -1, 1)), _ANGLES, self.chance)
+                if 1 - np.prod(1 - equal ** missed) >= target:
+                    return rows, gaps, depth
+        rest = np.flatnonzero(~met) if len(rows) < min(k, len(met)) or target >= 1 else np.empty(0, dtype=np.int64)
+        return np.append(rows, rest), np.append(gaps, np.sqrt(((self.vectors[rest] - query) ** 2).sum(axis=1))), 0 if len(rest) else 1
+
+    def _rows(self, low: np.ndarray, high: np.ndarray, first_tree: int) -> np.ndarray:
+        size = (high - low).astype(np.int64)
+        total = int(size.sum())
+        inside = np.arange(total) - np.repeat(np.cumsum(size) - size, size)
+        tree = first_tree + np.arange(len(size))
+        return self.order.ravel()[np.repeat(tree * self.order.shape[1] + low, size) + inside]
 
 
 def _unit(x: np.ndarray) -> np.ndarray:
@@ -106,23 +138,41 @@ def _unit(x: np.ndarray) -> np.ndarray:
     return (x / np.linalg.norm(x, axis=1, keepdims=True)).astype(np.float32)
 
 
-def _nearest(ids, vectors, query_ids, queries, k, spins, share, probes):
-    """The k nearest candidates of each query in this block by exact double distance, ties to the smaller id."""
-    forest = Forest(vectors, spins)
-    unit = _unit(queries)
-    strings = hash_strings(unit, spins)
-    enough = max(MIN_CANDIDATES, k + 1, int(share * len(ids)))
-    out = []
-    for q in range(len(query_ids)):
-        rows = forest.candidates(unit[q], strings[:, q], enough, probes)
-        rows = rows[ids[rows] != query_ids[q]]
-        d = np.sqrt(((vectors[rows] - queries[q]) ** 2).sum(axis=1))
-        best = np.lexsort((ids[rows], d))[:k]
-        out.append((np.full(len(best), query_ids[q]), ids[rows[best]], d[best]))
+def fold_equal(ids: np.ndarray, vectors: np.ndarray, keep: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(distinct vectors, their group's first place in the ids, ids): equal vectors tie, so only a group's ``keep`` least ids can be results."""
+    raw = np.ascontiguousarray(vectors + 0.0).view(np.dtype((np.void, vectors.shape[1] * 8))).ravel()
+    _, first, group = np.unique(raw, return_index=True, return_inverse=True)
+    order = np.lexsort((ids, group))
+    sorted_group = group[order]
+    nth = np.arange(len(ids)) - np.searchsorted(sorted_group, sorted_group)
+    order = order[nth < keep]
+    return vectors[first], np.searchsorted(group[order], np.arange(len(first) + 1)), ids[order]
+
+
+def search_block(ids, vectors, query_ids, queries, k, trees, symbols, target, chance):
+    """The k + 1 nearest rows met for each query (its own among them), by exact double distance, ties to the smaller id."""
+    distinct, start, kept_ids = fold_equal(ids, vectors, k + 1)
+    forest, out = Forest(distinct, trees, symbols, chance), []
+    for at in range(0, len(query_ids), QUERY_BATCH):
+        part = queries[at : at + QUERY_BATCH]
+        unit = _unit(part)
+        low, high = forest.places(unit)
+        for q in range(len(part)):
+            rows, gaps, _ = forest.search(part[q], unit[q], low[q], high[q], k + 1, target)
+            if len(rows) > k + 1:
+                near = np.flatnonzero(gaps <= np.partition(gaps, k)[k])
+                rows, gaps = rows[near], gaps[near]
+            copies = start[rows + 1] - start[rows]
+            inside = np.arange(copies.sum()) - np.repeat(np.cumsum(copies) - copies, copies)
+            v, d = kept_ids[np.repeat(start[rows], copies) + inside], np.repeat(gaps, copies)
+            best = np.lexsort((v, d))[: k + 1]
+            out.append((np.full(len(best), query_ids[at + q]), v[best], d[best]))
     return [np.concatenate(x) for x in zip(*out, strict=True)]
 
 
-def _search_partition(query_ids, queries, k, trees, symbols, share, probes, block_rows):
+def _search_partition(query_ids, queries, k, trees, symbols, target, block_rows):
+    chance = equal_chance(min(AXES, queries.shape[1]))
+
     def blocks(batches):
         ids, vectors, held = [], [], 0
         for b in batches:
@@ -138,35 +188,36 @@ def _search_partition(query_ids, queries, k, trees, symbols, share, probes, bloc
             yield np.concatenate(ids), np.concatenate(vectors)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        spins = rotations(queries.shape[1], trees, symbols)
         for ids, vectors in blocks(batches):
-            q, v, d = _nearest(ids, vectors, query_ids, queries, k, spins, share, probes)
+            q, v, d = search_block(ids, vectors, query_ids, queries, k, trees, symbols, target, chance)
             yield pa.RecordBatch.from_arrays([arrow_long(q), arrow_long(v), pa.array(d, type=pa.float64())], names=["query_id", "vec_id", "score"])
 
     return run
 
 
-def nearest_neighbours(table: DataFrame, query_filter, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", trees: int = TREES, symbols: int = SYMBOLS, share: float = SHARE, probes: int = PROBES, block_rows: int = BLOCK_ROWS, query_rows: int = QUERY_ROWS) -> DataFrame:
-    """(query_id, rank, vec_id, score): for each row that meets ``query_filter`` its k nearest other rows found.
+def nearest_neighbours(table: DataFrame, query_filter, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", trees: int = TREES, symbols: int = SYMBOLS, target: float = TARGET, block_rows: int = BLOCK_ROWS, query_bytes: int = QUERY_BYTES) -> DataFrame:
+    """(query_id, rank, vec_id, score): for each id that meets ``query_filter`` its k nearest other rows found.
 
     Scores are Euclidean distances of the original vectors in double precision; ties go to the smaller id. Every row of
-    the table is indexed. Unusable vectors (null, empty, zero, null or non-finite components) and null ids take no part;
-    vectors of another length than the most common one are refused with an error; equal vectors under different ids are all
-    candidates; a row whose id equals the query's is never its candidate; an empty table gives no rows.
+    the table is indexed, by its direction: vectors of one length (or nearly) are what the hashes are meant for.
+    Unusable vectors (null, empty, zero, null or non-finite components), null ids and vectors of another length
+    than the most common one (the shorter of those that tie) take no part; equal vectors under different ids are all candidates. An id that stands in
+    several rows is one query, with the least of its vectors, and all but one row of that vector and id are candidates; an
+    empty table gives no rows.
     """
     good = table.where(usable(vector_col) & F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v"))
-    queries = good.where(query_filter(F.col("vec_id"))).dropDuplicates(["vec_id"])
-    lengths = good.select(F.size("v").alias("n")).distinct().limit(2).collect()
-    if len(lengths) > 1:
-        raise ValueError("vectors differ in length")
-    groups = max(1, -(-queries.count() // query_rows))
+    common = good.groupBy(F.size("v").alias("n")).count().orderBy(F.desc("count"), "n").first()
+    dim = common.n if common else 1
+    good = good.where(F.size("v") == dim)
+    queries = good.where(query_filter(F.col("vec_id"))).groupBy("vec_id").agg(F.min("v").alias("v"))
+    groups = max(1, -(-queries.count() * dim * 8 // query_bytes))
     parts = []
     for g in range(groups):
-        rows = queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(groups)) == g).collect()  # about query_rows of them
-        if not rows:
+        rows = queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(groups)) == g).toArrow()  # about query_bytes of them
+        if not rows.num_rows:
             continue
-        ids = np.array([r.vec_id for r in rows], dtype=np.int64)
-        found = good.mapInArrow(_search_partition(ids, np.array([r.v for r in rows], dtype=np.float64), k, trees, symbols, share, probes, block_rows), "query_id long, vec_id long, score double")
+        ids, vectors = rows["vec_id"].to_numpy(), rows["v"].combine_chunks().flatten().to_numpy().reshape(-1, dim)
+        found = good.mapInArrow(_search_partition(ids, vectors, k, trees, symbols, target, block_rows), "query_id long, vec_id long, score double")
         parts.append(_best(found, k) if groups == 1 else materialise(_best(found, k)))
     if not parts:
         return good.select(F.col("vec_id").alias("query_id"), F.lit(1).alias("rank"), "vec_id", F.lit(0.0).alias("score")).where(F.lit(False))
@@ -177,6 +228,10 @@ def nearest_neighbours(table: DataFrame, query_filter, k: int = 10, id_col: str
 
 
 def _best(found: DataFrame, k: int) -> DataFrame:
+    """The k best of k + 1 a block, without the query's own row: the first at distance zero with its id."""
     order = Window.partitionBy("query_id").orderBy("score", "vec_id")
-    ranked = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    near = found.withColumn("place", F.row_number().over(order)).where(F.col("place") <= k + 1)
+    owns = (F.col("vec_id") == F.col("query_id")) & (F.col("score") == 0)
+    so_far = near.withColumn("owns", F.sum(owns.cast("int")).over(order.rowsBetween(Window.unboundedPreceding, 0))).where(~(owns & (F.col("owns") == 1)))
+    ranked = so_far.withColumn("rank", F.col("place") - F.least("owns", F.lit(1))).where(F.col("rank") <= k)
     return ranked.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
