@@ -50,12 +50,18 @@ def id_remainder(doc_id, divisor: int = 3):
 
 
 def hash_sample(df: DataFrame, rows: int, *keys: str) -> DataFrame:
-    """About ``rows`` rows (all, if there are fewer), chosen by a hash of the keys; every task sends its share only.
+    """``rows`` rows (all, if there are fewer): those of the least hashes. ``df`` must be stable (a checkpoint or table).
 
-    The same rows are chosen wherever they lie. ``df`` is counted first, so it should be stable.
+    The hash is of the keys and of a row's place, so equal rows are drawn one by one. A threshold a little above the share
+    wanted comes first: every task sends about its share, and no more than ``rows`` rows reach the driver.
     """
-    share = rows / max(1, df.count())
-    return df if share >= 1 else df.where(F.pmod(F.xxhash64(F.lit("sample"), *keys), F.lit(1 << 31)) < int(share * (1 << 31)))
+    total = df.count()
+    if total <= rows:
+        return df
+    share = min(1.0, (rows + 6 * rows**0.5 + 20) / total)
+    drawn = df.withColumn("_draw", F.xxhash64(F.lit("sample"), F.monotonically_increasing_id(), *keys))
+    near = drawn.where(F.pmod("_draw", F.lit(1 << 31)) < int(share * (1 << 31)))
+    return near.orderBy(F.pmod("_draw", F.lit(1 << 31)), "_draw").limit(rows).drop("_draw")
 
 
 #: Keys that are joined by broadcast because each has over 1/HUBS of all rows: there are fewer than HUBS of them.
