@@ -35,14 +35,14 @@ def test_recall_and_exact_scores(spark):
     assert set(got) == set(want) and hits / (10 * len(want)) >= 0.9
 
 
-@pytest.mark.parametrize("query_rows", [8192, 3])
-def test_odd_vectors(spark, query_rows):
+@pytest.mark.parametrize("query_bytes", [lsh_forest.QUERY_BYTES, 3 * 64])
+def test_odd_vectors(spark, query_bytes):
     rng = np.random.default_rng(3)
     rows = [(i, rng.normal(size=8).tolist()) for i in range(1, 60)]
     same = rng.normal(size=8).tolist()
-    rows += [(100, same), (200, same), (101, same), (300, [0.0] * 8), (400, None), (500, [float("nan")] * 8), (102, [1.0] * 7 + [None]), (103, [float("inf")] + [1.0] * 7), (None, same), (104, [1e300] * 8)]
+    rows += [(100, same), (200, same), (101, same), (300, [0.0] * 8), (400, None), (500, [float("nan")] * 8), (102, [1.0] * 7 + [None]), (103, [float("inf")] + [1.0] * 7), (None, same), (104, [1e300] * 8), (105, [1.0, 2.0]), (600, [1.0] * 9)]
     frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("rank", F.lit("clash"))
-    out = lsh_forest.nearest_neighbours(frame, lambda v: v % 100 == 0, query_rows=query_rows).collect()
+    out = lsh_forest.nearest_neighbours(frame, lambda v: v % 100 == 0, query_bytes=query_bytes).collect()
     best = {(r.query_id, r.rank): r.vec_id for r in out}
     assert {r.query_id for r in out} == {100, 200}
     assert best[100, 1] == 101 and best[100, 2] == 200 and best[200, 1] == 100 and best[200, 2] == 101
@@ -51,6 +51,36 @@ def test_odd_vectors(spark, query_rows):
     assert [(r.query_id, r.vec_id) for r in lsh_forest.nearest_neighbours(few, lambda v: v % 100 == 0).collect()] == [(100, 1)]
 
 
+def test_repeated_ids_and_equal_vectors(spark):
+    """One row of an id that repeats is the query's own; the others are candidates, and copies tie by id."""
+    a, b, far = [1.0, 0.0, 0.0], [0.9, 0.1, 0.0], [0.0, 0.0, 1.0]
+    rows = [(100, a), (100, a), (100, b), (100, far)] + [(k, a) for k in range(1, 40)]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3)
+    out = {r.rank: (r.vec_id, r.score) for r in lsh_forest.nearest_neighbours(frame, lambda v: v % 100 == 0, k=42).collect()}
+    d = lambda x: float(np.sqrt(((np.array(x) - far) ** 2).sum()))
+    assert len(out) == 42 and out[1] == (100, d(b)) and [out[r] for r in range(2, 43)] == [(k, d(a)) for k in range(1, 40)] + [(100, d(a))] * 2
+    same = spark.createDataFrame([(100, a)] * 3 + [(2, a)] * 2 + [(1, b)], "vec_id long, embedding array<double>").repartition(2)
+    assert [r.vec_id for r in sorted(lsh_forest.nearest_neighbours(same, lambda v: v % 100 == 0).collect(), key=lambda r: r.rank)] == [2, 2, 100, 100, 1]
+
+
+@pytest.mark.parametrize("target", [0.7, 0.9, 0.96])
+def test_wanted_chance_is_met(target):
+    """Recall on nearly isotropic vectors, the hardest kind, against the chance asked for; and a lower one meets fewer rows."""
+    rng = np.random.default_rng(2)
+    x = rng.standard_normal((6000, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    forest, unit = lsh_forest.Forest(x), lsh_forest._unit(x[:40])
+    low, high = forest.places(unit)
+    hits = met = 0
+    for q in range(40):
+        rows, gaps, _ = forest.search(x[q], unit[q], low[q], high[q], 11, target)
+        assert len(set(rows.tolist())) == len(rows)
+        want = np.argsort(((x - x[q]) ** 2).sum(axis=1))[:11]
+        hits += len(set(rows.tolist()) & set(want.tolist()))
+        met += len(rows) / len(x)
+    assert hits / 440 > target - 0.06 and met / 40 < (0.12 if target == 0.7 else 0.4)
+
+
 def plain_parts(url):
     if not url or "://" not in url:
         return "", ""
@@ -224,16 +254,31 @@ def test_pipeline_stages_against_brute_force(spark, sf):
     assert {(p.doc_id, p.start, p.length) for p in corpus_pipeline.run(spark, sf).collect()} == {(p.doc_id, p.start, p.length) for p in pieces}
 
 
-def test_pipeline_keeps_rows_without_ids_and_drops_repeats(spark, sf):
+def test_pipeline_dedup_is_by_row(spark, sf):
+    """Repeated ids lose no distinct text, null ids are deduplicated too, repeated rows are one."""
     import corpus_pipeline
 
-    docs = spark.createDataFrame([(4, "a b c d e"), (4, "a b c d e"), (9, "A b c d e"), (None, "a b c d e"), (7, "other words in this one here")], "doc_id long, text string").withColumn("component_id", F.lit("clash"))
+    one, two, three = ("a b c d e", "other words in this one here", "a third text of its own with words")
+    rows = [(4, one), (4, one), (9, "A b c d e"), (None, one), (7, two), (7, three), (None, three + " x"), (3, two), (None, None), (8, ""), (None, "alone without an id"), (None, "alone without an id")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("component_id", F.lit("clash")).repartition(4)
     out = corpus_pipeline.near_duplicates(spark, docs, sf)
-    assert out.columns == docs.columns and sorted((r.doc_id or -1) for r in out.collect()) == [-1, 4, 7]
+    assert out.columns == docs.columns
+    assert sorted((r.doc_id or -1, r.text or "") for r in out.collect()) == [(-1, three + " x"), (-1, "alone without an id"), (3, two), (4, one), (7, three), (8, "")]
     empty = docs.limit(0)
     assert corpus_pipeline.near_duplicates(spark, empty, sf).count() == 0 and corpus_pipeline.packing_stage(spark, empty, sf).count() == 0
 
 
+def test_samples_are_bounded_and_full(spark):
+    from veilgrid.llm.common import hash_sample
+
+    same = spark.range(0, 100_000, 1, 8).select(F.lit(1).alias("a"), F.lit("x").alias("b"))
+    for rows in (10_000, 7, 100_000, 200_000):
+        assert hash_sample(same, rows, "a", "b").count() == min(rows, 100_000)
+    ids = spark.range(0, 50_000, 1, 8)
+    drawn = [r.id for r in hash_sample(ids, 1000, "id").collect()]
+    assert len(set(drawn)) == 1000 and drawn and abs(np.mean(drawn) - 25_000) < 2500 and sorted(drawn) == sorted(r.id for r in hash_sample(ids, 1000, "id").collect())
+
+
 @pytest.mark.parametrize("most", [200, 2])
 def test_join_with_hubs(spark, most, monkeypatch):
     from veilgrid.llm import common

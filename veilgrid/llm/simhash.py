@@ -53,15 +53,17 @@ def simhash(text: str | None) -> int:
     return int.from_bytes(np.packbits(2 * ones > n, bitorder="little").tobytes(), "little")
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp BIGINT): the fingerprint's bits as a signed long."""
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: tuple[Column, ...] = ()) -> DataFrame:
+    """(doc_id, fp BIGINT, and the kept long columns): the fingerprint's bits as a signed long."""
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), *keep)
+    kept = rows.columns[2:]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, texts in text_slices(batches):
             fp = np.array([simhash(t) for t in texts], dtype=np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([part.column(0), arrow_long(fp)], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([part.column(0), arrow_long(fp), *part.columns[2:]], names=["doc_id", "fp", *kept])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return rows.mapInArrow(run, ", ".join(f"{c} long" for c in ["doc_id", "fp", *kept]))
 
 
 def key_tables(distinct: int, radius: int = RADIUS) -> list[int]:
@@ -231,9 +233,30 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     no rows; other columns of the input are not read.
     """
     prints = materialise(fingerprints(docs, id_col, text_col))
-    folded = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id"), F.count("*").alias("copies")))
-    roots = connected_components(fingerprint_links(folded.select("fp"), radius, bucket_limit))
-    named = materialise(folded.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "copies", "least_id", F.coalesce("root", "fp").alias("root")))
+    named = rooted(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id"), F.count("*").alias("copies")), radius, bucket_limit)
     least = materialise(named.groupBy("root").agg(F.min("least_id").alias("component_id"), F.count("*").alias("n")))
     of_fp = materialise(join_with_hubs(named, least, "root", "n").select("fp", "copies", "component_id"))
     return join_with_hubs(prints, of_fp, "fp", "copies").select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def rooted(folded: DataFrame, radius: int = RADIUS, bucket_limit: int = BUCKET_LIMIT) -> DataFrame:
+    """Adds ``root``, the component's least fingerprint, to a table with one row a fingerprint (fp, ...)."""
+    folded = materialise(folded)
+    roots = connected_components(fingerprint_links(folded.select("fp"), radius, bucket_limit)).withColumnRenamed("node", "fp")
+    return materialise(folded.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp")))
+
+
+def keep_one_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS, bucket_limit: int = BUCKET_LIMIT) -> DataFrame:
+    """One row of each component, all columns unchanged: the row with the smallest id, of those that tie one by a hash of the text.
+
+    Components are of rows, whatever their ids: an id that stands for several different texts loses none of them. Null ids
+    come last, so a group without any id keeps one row; repeated rows are one; an empty table gives no rows.
+    """
+    columns = docs.columns
+    key = [F.xxhash64(F.lit(k), F.col(id_col).cast("long"), F.lit("/"), F.col(text_col)).alias(f"_key{k}") for k in (1, 2)]  # 128 bits of id and text
+    prints = materialise(fingerprints(docs, id_col, text_col, tuple(key)))
+    row = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "_key1", "_key2")
+    named = rooted(prints.groupBy("fp").agg(F.min(row).alias("row")), radius, bucket_limit)
+    heads = named.groupBy("root").agg(F.min("row").alias("row")).select("row._key1", "row._key2")
+    single = docs.select("*", *key).dropDuplicates(["_key1", "_key2"])  # copies fold in each task, so no key fills one
+    return single.join(heads, ["_key1", "_key2"], "left_semi").select(*[F.col(f"`{c}`") for c in columns])
