@@ -96,6 +96,79 @@ def test_non_negative_risk_ignores_labels_of_negatives():
     assert pu_classifier.fit_pu(good[:0], bad, 0.5).score(bad).shape == (800,)
 
 
+@pytest.mark.parametrize("share", [0.3, 0.6, 0.9])
+def test_prior_is_estimated_without_negatives(share):
+    rng = np.random.default_rng(8)
+    n = 4000
+    kinds = rng.random(n) < share
+    unlabelled = np.where(kinds[:, None], rng.normal(1.5, 1, (n, 4)), rng.normal(-1.5, 1, (n, 4)))
+    assert abs(pu_classifier.estimate_prior(rng.normal(1.5, 1, (3000, 4)), unlabelled) - share) < 0.05
+    assert pu_classifier.estimate_prior(unlabelled[:2], unlabelled) == 0.5
+
+
+def plain_risk(w, p, u, prior):
+    """The non-negative risk of a linear model with logistic loss, written out."""
+    loss = lambda z: np.log1p(np.exp(-z))
+    zp, zu = p @ w[:-1] + w[-1], u @ w[:-1] + w[-1]
+    return prior * loss(zp).mean() + max(0.0, loss(-zu).mean() - prior * loss(-zp).mean())
+
+
+def test_fit_minimises_the_risk():
+    """No point near the fit, nor a plain descent on the risk's numeric gradient, does much better."""
+    rng = np.random.default_rng(6)
+    p = rng.normal(1, 1, (600, 2))
+    u = np.vstack([rng.normal(1, 1, (300, 2)), rng.normal(-1, 1, (300, 2))])
+    model = pu_classifier.fit_pu(p, u, 0.5, epochs=600, batch=600, decay=0.0, rate=0.02)
+    scaled = [(x - model.mean) / model.scale for x in (p, u)]
+    found = plain_risk(np.append(model.weights, model.bias), *scaled, 0.5)
+    w = np.zeros(3)
+    for _ in range(1500):
+        gradient = [(plain_risk(w + e, *scaled, 0.5) - plain_risk(w - e, *scaled, 0.5)) / 2e-4 for e in 1e-4 * np.eye(3)]
+        w -= 0.2 * np.array(gradient)
+    assert found < plain_risk(w, *scaled, 0.5) + 0.01
+
+
+def test_repeated_ids_in_samples(spark, labelled):
+    """An id that a thousand rows share is one row of a sample."""
+    docs, labels = labelled
+    many = docs.unionByName(docs.where("doc_id = 2").crossJoin(spark.range(1000)).select("doc_id", "text"))
+    ids = docs.where("doc_id < 50").select("doc_id")
+    p, u = pu_classifier._sample_vectors(many, ids, ids.where("doc_id < 10"))
+    assert (len(p), len(u)) == (50, 10)
+
+
+def plain_path(row, sample, rng, depth, limit):
+    """Path length of one row in a tree grown on the fly: only the branch that the row takes is built."""
+    spread = np.flatnonzero(sample.max(axis=0) > sample.min(axis=0)) if len(sample) > 1 else []
+    if depth >= limit or not len(spread):
+        n = len(sample)
+        return depth + (0 if n <= 1 else 1 if n == 2 else 2 * (np.log(n - 1) + np.euler_gamma) - 2 * (n - 1) / n)
+    f = rng.choice(spread)
+    cut = rng.uniform(sample[:, f].min(), sample[:, f].max())
+    return plain_path(row, sample[(sample[:, f] >= cut) == (row[f] >= cut)], rng, depth + 1, limit)
+
+
+def test_forest_scores_against_single_branches():
+    """Mean scores of the flat trees agree with path lengths grown row by row."""
+    rng = np.random.default_rng(9)
+    x = np.vstack([rng.normal(size=(250, 2)), [[6, 6], [0, 8]]])
+    rows = np.array([0, 100, 250, 251])
+    want = [np.exp2(-np.mean([plain_path(x[r], x[rng.choice(len(x), 64, replace=False)], rng, 0, 6) for _ in range(600)]) / isolation._expected_path(64)) for r in rows]
+    got = isolation.grow_forest(x, trees=600, subsample=64).score(x[rows])
+    assert np.allclose(got, want, atol=0.02)
+
+
+def test_threshold_is_the_best_allowed_cut(spark, labelled):
+    docs, labels = labelled
+    stats = isolation.materialise(isolation.rule_statistics(docs))
+    model, scored = isolation.fit_rules(stats, labels, max_good_rejected=0.02)
+    rows = [(r.anomaly, r.quality) for r in scored.where(~isolation.base_failed()).join(labels, "doc_id").collect()]
+    good, bad = ([a for a, q in rows if q == k] for k in (1, 0))
+    cuts = [k / isolation.BINS for k in range(isolation.BINS + 1) if sum(a >= k / isolation.BINS for a in good) <= 0.02 * len(good)]
+    most = max(sum(a >= c for a in bad) for c in cuts)
+    assert sum(a >= model.threshold for a in bad) == most and sum(a >= model.threshold for a in good) <= 0.02 * len(good)
+
+
 def test_license_sequences():
     scan = license_scan.scanner()
     header = "Licensed under the Apache License, Version 2.0 (the \"License\"). You may not use this file except in compliance with the License. You may obtain a copy of the License at\nhttp"

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from veilgrid.lineage import ensure_checkpoint_dir, materialise
 
-__all__ = ["arrow_long", "ensure_checkpoint_dir", "hash_sample", "id_remainder", "join_with_hubs", "materialise", "shuffle_partitions", "text_slices", "words_of"]
+__all__ = ["arrow_long", "ensure_checkpoint_dir", "hash_sample", "id_remainder", "join_with_hubs", "materialise", "row_slices", "shuffle_partitions", "text_parts", "text_slices", "words_of"]
 
 #: Most rows, and bytes of text beyond the first row, that are handed from an Arrow batch to Python code at a time.
 SLICE_ROWS = 512
@@ -23,16 +23,34 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def text_bounds(texts: pa.Array) -> Iterator[tuple[int, int]]:
+    """Bounds of slices that are small in rows and bytes, so that a batch of long texts is never decoded at once."""
+    at, ends = 0, np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+    while at < len(texts):
+        limit = (ends[at - 1] if at else 0) + SLICE_BYTES
+        stop = min(at + SLICE_ROWS, max(at + 1, int(np.searchsorted(ends, limit, side="right"))))
+        yield at, stop
+        at = stop
+
+
+def text_parts(texts: pa.Array) -> Iterator[list[str | None]]:
+    for at, stop in text_bounds(texts):
+        yield texts.slice(at, stop - at).to_pylist()
+
+
 def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[tuple[pa.RecordBatch, list[str | None]]]:
-    """Slices of the batches with their texts, small in rows and bytes, so that a batch of long texts is never decoded at once."""
+    """Slices of the batches with their texts."""
     for batch in batches:
-        at, texts = 0, batch.column(batch.schema.get_field_index(column))
-        ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
-        while at < batch.num_rows:
-            limit = (ends[at - 1] if at else 0) + SLICE_BYTES
-            stop = min(at + SLICE_ROWS, max(at + 1, int(np.searchsorted(ends, limit, side="right"))))
+        texts = batch.column(batch.schema.get_field_index(column))
+        for at, stop in text_bounds(texts):
             yield batch.slice(at, stop - at), texts.slice(at, stop - at).to_pylist()
-            at = stop
+
+
+def row_slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches in parts of at most SLICE_ROWS rows."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, SLICE_ROWS):
+            yield batch.slice(at, SLICE_ROWS)
 
 
 def arrow_long(values) -> pa.Array:

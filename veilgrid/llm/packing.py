@@ -25,15 +25,15 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from veilgrid.llm.common import arrow_long, materialise, text_slices
+from veilgrid.llm.common import arrow_long, materialise, row_slices, text_slices
 from veilgrid.llm.pieces import worker_value
 
 SEQUENCE = 1024
 END_ID = 0
 #: Columns of a piece as it is cut: ``task`` and ``nth`` give its number among those of its length.
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, task long, nth long"
-#: (task, length) offsets, about 40 bytes each, that are broadcast; beyond that they are joined by a shuffle.
-MAX_BROADCAST = 500_000
+#: Tasks whose first ranks (8 bytes for each length up to the capacity) are broadcast: 64 MB; those of more tasks are joined by a shuffle.
+MAX_BROADCAST = 8_192
 #: Ids beyond this need four bytes in a stored piece; below it they take two.
 SHORT_IDS = 1 << 16
 
@@ -200,20 +200,23 @@ def document_pieces(docs: DataFrame, tokenizer_path: str, pattern: str, capacity
 def place_pieces(pieces: DataFrame, capacity: int = SEQUENCE, stored: str = "", max_broadcast: int = MAX_BROADCAST) -> DataFrame:
     """(doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, and ids where their ``stored`` type is given).
 
-    ``pieces`` must be stable (a checkpoint or table): it is read for the counts and again to be placed. What tells a task its first
-    ranks has a row for each length and task; up to ``max_broadcast`` of them are broadcast, more are joined by a shuffle.
+    ``pieces`` must be stable (a checkpoint or table): it is read for the counts and again to be placed. A task's first ranks are one
+    array by length; those of up to ``max_broadcast`` tasks are broadcast, more are joined by a shuffle.
     """
     counts = materialise(pieces.groupBy("task", "length").count())
     histogram = {int(r["length"]): int(r["n"]) for r in counts.groupBy("length").agg(F.sum("count").alias("n")).collect()}
     slots = pack_slots(plan_packs(histogram, capacity))
     tables = {k: tuple(np.array(x, dtype=np.int64) for x in zip(*v, strict=True)) for k, v in slots.items()}
     before = Window.partitionBy("length").orderBy("task").rowsBetween(Window.unboundedPreceding, -1)
-    firsts = materialise(counts.select("task", "length", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first")))
-    ranked = pieces.join(F.broadcast(firsts) if firsts.count() <= max_broadcast else firsts, ["task", "length"])
+    first = F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first")
+    by_length = F.map_from_entries(F.collect_list(F.struct("length", "first"))).alias("by_length")  # at most capacity entries
+    sparse = counts.select("task", "length", first).groupBy("task").agg(by_length)
+    firsts = materialise(sparse.select("task", F.transform(F.sequence(F.lit(0), F.lit(capacity)), lambda n: F.try_element_at("by_length", n.cast("long"))).alias("firsts")))
+    ranked = pieces.join(F.broadcast(firsts) if firsts.count() <= max_broadcast else firsts, "task").withColumn("first", F.get("firsts", F.col("length").cast("int")))
     out = ["doc_id", "start", "length", "ids_crc32", "doc_tokens"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in row_slices(batches):
             columns = [b.column(k) for k in range(5)]
             n, r = columns[2].to_numpy(), b.column(5).to_numpy()
             sequence, offset = np.zeros((2, len(n)), dtype=np.int64)
@@ -254,7 +257,7 @@ def placed_checksums(placed: DataFrame) -> DataFrame:
     kept = placed.select(*[c for c in placed.columns if c not in ("ids", "ids_crc32")], "ids")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in row_slices(batches):
             ids = batch.column(batch.num_columns - 1)
             values, ends = ids.values.to_numpy(zero_copy_only=False).astype("<i4", copy=False), ids.offsets.to_numpy()
             sums = arrow_long([zlib.crc32(values[a:b]) for a, b in zip(ends[:-1], ends[1:], strict=True)])

@@ -3,6 +3,10 @@
 A linear model on text features minimises the non-negative unbiased risk: trusted positives, unlabelled web text
 and a class prior stand in for negatives. The unlabelled part of the risk that positives explain is taken off it,
 and where that difference would turn negative the step goes the other way, which keeps the model from fitting the sample.
+
+The prior is estimated from the same two samples, with no look at any label of a negative: a model that tells
+positives from unlabelled text ranks the texts of the other half, and among its top texts, where next to no negatives are, the
+unlabelled share over the positive share is the prior.
 """
 
 from __future__ import annotations
@@ -15,13 +19,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilgrid.llm.common import hash_sample, id_remainder, materialise, text_slices, words_of
+from veilgrid.llm.common import hash_sample, id_remainder, materialise, text_parts, text_slices, words_of
 from veilgrid.llm.text_stats import FEATURES, rule_counts, rule_features
 
 #: Hashed byte-pair buckets beside the rule features.
 BUCKETS = 256
 WIDTH = BUCKETS + 2 * len(FEATURES) + 1
-#: Expected sizes of the two training samples (rows whose ids hash below a threshold).
+#: Sizes of the two training samples, in distinct ids.
 POSITIVES = 6_000
 UNLABELLED = 6_000
 EPOCHS = 60
@@ -94,41 +98,82 @@ def _sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -35, 35)))
 
 
-def _sample_vectors(docs: DataFrame, ids: DataFrame) -> np.ndarray:
-    """Vectors of the documents with the given ids, a bounded set."""
+def estimate_prior(positive: np.ndarray, unlabelled: np.ndarray, seed: int = 13) -> float:
+    """Share of positives among unlabelled rows: the least ratio of both sets' shares above a threshold, allowing for chance, by two-fold cross-fitting.
+
+    Give few features: a model that tells the positive sample from its own kind makes the share too small.
+    """
+    if min(len(positive), len(unlabelled)) < 4:
+        return 0.5
+    rng = np.random.default_rng(seed)
+    sides = [[x[rng.permutation(len(x))[k::2]] for k in (0, 1)] for x in (positive, unlabelled)]
+    found = []
+    for fit, other in ((0, 1), (1, 0)):
+        weights = _ridge_logistic(np.vstack([sides[0][fit], sides[1][fit]]), np.repeat([1.0, 0.0], [len(sides[0][fit]), len(sides[1][fit])]))
+        p, u = (np.sort(_with_one(x[other]) @ weights) for x in sides)
+        slack = sum((np.log(40) / (2 * len(x))) ** 0.5 for x in (p, u))
+        share_p, share_u = (1 - np.searchsorted(x, p, side="left") / len(x) for x in (p, u))
+        best = np.argmin((share_u + slack) / share_p)
+        found.append(share_u[best] / share_p[best])
+    return float(np.clip(np.mean(found), 0.01, 0.99))
+
+
+def _with_one(x: np.ndarray) -> np.ndarray:
+    return np.hstack([x, np.ones((len(x), 1))])
+
+
+def _ridge_logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 12) -> np.ndarray:
+    """Weights (the last one is the bias) of a logistic regression by Newton steps."""
+    x, w = _with_one(x), np.zeros(x.shape[1] + 1)
+    penalty = ridge * len(x) * np.eye(len(w)) / len(w)
+    for _ in range(steps):
+        p = _sigmoid(x @ w)
+        w = w + np.linalg.solve((x.T * (p * (1 - p) + 1e-6)) @ x + penalty, x.T @ (y - p) - penalty @ w)
+    return w
+
+
+def _sample_vectors(docs: DataFrame, sure: DataFrame, free: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Vectors of the documents with the given ids (two bounded sets of distinct ids), one row an id, by one scan of the texts.
+
+    Of the rows of an id that repeats the one with the least vector counts; tasks fold them before anything is sent.
+    """
+    wanted = sure.select("doc_id", F.lit(1).alias("p"), F.lit(0).alias("u")).unionByName(free.select("doc_id", F.lit(0).alias("p"), F.lit(1).alias("u")))
+    wanted = F.broadcast(wanted.groupBy("doc_id").agg(F.max("p").alias("p"), F.max("u").alias("u")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, texts in text_slices(batches):
-            yield pa.RecordBatch.from_arrays([pa.array([text_vector(t).tobytes() for t in texts], type=pa.binary())], names=["x"])
+        for part, texts in text_slices(batches):
+            vectors = pa.array([text_vector(t).tobytes() for t in texts], type=pa.binary())
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), part.column(3), vectors], names=["doc_id", "p", "u", "x"])
 
-    rows = docs.join(F.broadcast(ids), "doc_id", "left_semi").select("text").mapInArrow(run, "x binary").collect()
-    return np.array([np.frombuffer(r.x, dtype=np.float32) for r in rows], dtype=np.float64).reshape(-1, WIDTH)
+    found = docs.select("doc_id", "text").join(wanted, "doc_id").select("doc_id", "text", "p", "u").mapInArrow(run, "doc_id long, p int, u int, x binary")
+    rows = found.groupBy("doc_id", "p", "u").agg(F.min("x").alias("x")).orderBy("doc_id").collect()  # at most both samples' sizes
+    return tuple(np.array([np.frombuffer(r.x, dtype=np.float32) for r in rows if r[side]], dtype=np.float64).reshape(-1, WIDTH) for side in ("p", "u"))
 
 
 def fit_quality(docs: DataFrame, labels: DataFrame, positives: int = POSITIVES, unlabelled: int = UNLABELLED) -> LinearModel:
     """docs(doc_id, text), labels(doc_id, quality). Only labels of ids whose crc32 remainder modulo 3 isn't 1 are used.
 
-    Positives are good labelled documents; the unlabelled sample is drawn from all documents outside the held-out fold
-    with no look at labels. The class prior is the smoothed share of good rows among all labels of the training fold.
+    Positives are good labelled documents (at most ``positives`` ids); the unlabelled sample (at most ``unlabelled`` ids) is drawn from all
+    documents outside the held-out fold with no look at labels.
     """
     fold = F.coalesce(id_remainder(F.col("doc_id")) != 1, F.lit(False))
-    known = labels.where(fold & F.col("quality").isNotNull())
-    n, good = known.agg(F.count("*"), F.coalesce(F.sum((F.col("quality") == 1).cast("long")), F.lit(0))).first()
-    prior = (good + 1) / (n + 2)
+    good = labels.where(fold & (F.col("quality") == 1)).select("doc_id").distinct()
     at_hand = materialise(docs.select("doc_id").where(fold).distinct())
-    sure = hash_sample(materialise(known.where(F.col("quality") == 1).select("doc_id").distinct().join(at_hand, "doc_id", "left_semi")), positives, "doc_id")
-    free = hash_sample(at_hand, unlabelled, "doc_id")
-    return fit_pu(_sample_vectors(docs, materialise(sure)), _sample_vectors(docs, materialise(free)), min(prior, 0.98))
+    sure = materialise(hash_sample(materialise(good.join(at_hand, "doc_id", "left_semi")), positives, "doc_id"))
+    free = materialise(hash_sample(at_hand, unlabelled, "doc_id"))
+    p, u = _sample_vectors(docs, sure, free)
+    if not len(p) or not len(u):
+        return fit_pu(p, u, 0.5)
+    mean, scale = u.mean(axis=0), u.std(axis=0) + 1e-3
+    few = 2 * len(FEATURES) + 1
+    return fit_pu(p, u, min(estimate_prior(*(((x - mean) / scale).clip(-8, 8)[:, :few] for x in (p, u))), 0.98))
 
 
 def _scorer(model: LinearModel):
-    @F.pandas_udf("double")
-    def score(texts):
-        out = np.empty(len(texts))
-        values = texts.to_numpy()
-        for at in range(0, len(values), 512):
-            out[at : at + 512] = model.score(np.array([text_vector(t) for t in values[at : at + 512]]))
-        return texts.__class__(out)
+    @F.arrow_udf("double")
+    def score(texts: pa.Array) -> pa.Array:
+        parts = [model.score(np.array([text_vector(t) for t in part])) for part in text_parts(texts)]
+        return pa.array(np.concatenate(parts) if parts else np.empty(0), type=pa.float64())
 
     return score
 
