@@ -229,15 +229,78 @@ WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
 """
 
 
+BSD3 = """Copyright (c) 2020, Jane Doe
+All rights reserved.
+
+Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+
+3. Neither the name of the copyright holder nor the names of its
+   contributors may be used to endorse or promote products derived from
+   this software without specific prior written permission.
+
+THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS"
+AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE
+IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE
+DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE
+FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL
+DAMAGES.
+"""
+BSD2 = BSD3[: BSD3.index("3. Neither")] + BSD3[BSD3.index("THIS SOFTWARE") :]
+ISC = """Copyright (c) 2020 Jane Doe
+
+Permission to use, copy, modify, and/or distribute this software for any
+purpose with or without fee is hereby granted, provided that the above
+copyright notice and this permission notice appear in all copies.
+
+THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH
+REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND
+FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT,
+INDIRECT, OR CONSEQUENTIAL DAMAGES.
+"""
+MPL = """This Source Code Form is subject to the terms of the Mozilla Public
+License, v. 2.0. If a copy of the MPL was not distributed with this
+file, You can obtain one at https://mozilla.org/MPL/2.0/.
+"""
+LGPL = """This library is free software; you can redistribute it and/or
+modify it under the terms of the GNU Lesser General Public
+License as published by the Free Software Foundation; either
+version 2.1 of the License, or (at your option) any later version.
+
+This library is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the GNU
+Lesser General Public License for more details.
+"""
+AGPL = GPL.replace("GNU General", "GNU Affero General")
+
+
 @pytest.mark.parametrize("layout", ["wrapped", "crlf", "comment", "paragraphs", "one line"])
-@pytest.mark.parametrize("notice,rule", [(MIT, "mit-text"), (GPL, "gpl-text"), (GPL2, "gpl-text"), (APACHE, "apache-header")])
+@pytest.mark.parametrize("notice,rule", [(MIT, "mit-text"), (GPL, "gpl-text"), (GPL2, "gpl-text"), (APACHE, "apache-header"), (BSD3, "bsd3-text"), (BSD2, "bsd2-text"), (ISC, "isc-text"), (MPL, "mpl-header"), (LGPL, "lgpl21-text"), (AGPL, "agpl3-text")])
 def test_license_notices_unaltered(notice, rule, layout):
     text = {"wrapped": notice, "crlf": notice.replace("\n", "\r\n"), "comment": "".join(f" * {x}".rstrip() + "\n" for x in notice.splitlines()), "paragraphs": "\n".join(" ".join(x.split()) for x in notice.split("\n\n")), "one line": " ".join(notice.split())}[layout]
-    found = license_scan.scanner()(text)
+    found = [m for m in license_scan.scanner()(text) if m.rule != "reserved-line"]
     assert [m.rule for m in found] == [rule]
     assert len(set(found[0].text.split())) > 20 and all(w in text for w in found[0].text.split())
 
 
+def test_license_names_and_identifier_lines():
+    scan = license_scan.scanner()
+    for name in ("the University of California, Berkeley", "Jane Doe", "x " * 19 + "y"):
+        assert [m.rule for m in scan(BSD3.replace("the copyright holder nor", f"{name} nor"))] == ["reserved-line", "bsd3-text"]
+    assert [m.rule for m in scan(BSD3.replace("the copyright holder nor", "x " * 21 + "nor"))] == ["reserved-line", "bsd2-text"]  # too long a name: the sentence isn't known
+    assert [m.rule for m in scan(BSD3.replace("THE COPYRIGHT HOLDERS AND CONTRIBUTORS", "THE REGENTS AND CONTRIBUTORS"))] == ["reserved-line", "bsd3-text"]
+    assert [(m.license, m.rule) for m in scan("// SPDX-License-Identifier: Apache-2.0\n# SPDX-License-Identifier: GPL-2.0-or-later\n/* SPDX-License-Identifier: MIT */")] == [("Apache-2.0", "spdx-line"), ("GPL-2.0-or-later", "spdx-line"), ("MIT", "spdx-line")]
+    assert scan("SPDX-License-Identifier: Nothing-1.0") == []
+
+
 def test_license_sentences_are_whole():
     scan = license_scan.scanner()
     assert [m.rule for m in scan("Released under\nthe MIT License.")] == ["mit-line"]

