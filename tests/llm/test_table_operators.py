@@ -146,6 +146,37 @@ def test_shards(spark, bucket_bytes):
     assert sharding.shuffle_into_shards(frame.limit(0), "doc_id", "size").collect() == []
 
 
+@pytest.mark.parametrize("chunk", [sharding.CHUNK, 7])
+def test_many_equal_rows_are_spread_over_buckets(spark, chunk, monkeypatch):
+    """A third of all rows are one row: its copies fall into all buckets of its shard, and none is lost or doubled."""
+    monkeypatch.setattr(sharding, "CHUNK", chunk)
+    rows = [(5, 12, "hello world")] * 1000 + [(5, 12, "hello there")] * 3 + [(k, 9, f"text {k}") for k in range(2000)] + [(None, 1, None)] * 400
+    frame = spark.createDataFrame(rows, "doc_id long, size long, text string").repartition(3)
+    out = sharding.shuffle_into_shards(frame.withColumn("bucket", F.lit(1)).withColumn("n", F.lit(2)), "doc_id", "size", bucket_bytes=600).collect()
+    key = lambda r: tuple((x is not None, x) for x in r)
+    assert sorted(((r.doc_id, r.size, r.text) for r in out), key=key) == sorted(rows, key=key)
+    for s in range(8):
+        assert sorted(r.slot for r in out if r.shard == s) == list(range(sum(r.shard == s for r in out)))
+    hot = sorted(r.slot for r in out if r.text == "hello world")
+    own = sum(r.shard == out[[r.text for r in out].index("hello world")].shard for r in out)
+    assert np.diff(hot).max() < 60 and hot[0] < 60 and hot[-1] > own - 60  # copies lie all over the shard
+
+
+def test_written_shards_hold_whole_texts_in_order(spark, tmp_path, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    rows = docs.select("doc_id", sharding.text_size(F.col("text")).alias("size"), "text", "lang")
+    sharding.write_shards(sharding.shuffle_into_shards(rows, "doc_id", "size", bucket_bytes=20_000), str(tmp_path / "out"))
+    back = spark.read.parquet(str(tmp_path / "out"))
+    want = {r.doc_id: (r.text, r.lang) for r in docs.collect()}
+    assert {r.doc_id: (r.text, r.lang) for r in back.collect()} == want and back.count() == len(want)
+    assert {r.shard for r in back.select("shard").distinct().collect()} == set(range(8))
+    import pyarrow.parquet as pq
+
+    files = list((tmp_path / "out").rglob("*.parquet"))
+    slots = [pq.ParquetFile(f).read(["slot"])["slot"].to_pylist() for f in files]
+    assert all(x == sorted(x) for x in slots) and sum(map(len, slots)) == len(want)
+
+
 def test_sharding_query_places_texts(spark, sf, monkeypatch):
     from veilgrid.llm import queries
 
