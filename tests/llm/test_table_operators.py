@@ -297,6 +297,33 @@ def test_audit_of_archive_files(spark, tmp_path):
     assert {(r.archive, r.state) for r in merkle.audit_folders(spark, a, c).collect()} == {("1.warc", "missing"), ("2.warc", "missing")}
 
 
+def test_audit_of_split_and_compressed_archives(spark, tmp_path):
+    """Files are cut into many ranges, compressed members stream, and a body may hold a record mark."""
+    import gzip
+
+    record = lambda k: f"WARC/1.{k % 2}\r\nContent-Length: {len(str(k) * 9)}\r\n\r\n{str(k) * 9}\r\n\r\n".encode()
+    nested = b"WARC/1.1\r\nContent-Length: 20\r\n\r\nabc WARC/1.1\r\n xyz \r\n\r\n"
+    parts = [record(k) if k != 70 else nested for k in range(2000)]
+    files = {"a.warc": b"".join(parts), "b.warc.gz": b"".join(map(gzip.compress, parts[:300])), "c.warc": b""}
+    harmed = list(parts)
+    harmed[1234] = harmed[1234].replace(b"123412", b"12X412", 1)
+    other = {"a.warc": b"".join(harmed), "b.warc.gz": gzip.compress(b"".join(parts[:300])), "c.warc": b""}
+    for name, found in (("x", files), ("y", other)):
+        (tmp_path / name).mkdir()
+        for f, data in found.items():
+            (tmp_path / name / f).write_bytes(data)
+    before = spark.conf.get("spark.sql.files.maxPartitionBytes")
+    spark.conf.set("spark.sql.files.maxPartitionBytes", "9k")
+    try:
+        rows = merkle.audit_folders(spark, str(tmp_path / "x"), str(tmp_path / "y")).collect()
+        leaves = merkle.file_leaves(spark, str(tmp_path / "x")).where("archive = 'a.warc'").orderBy("at").collect()
+    finally:
+        spark.conf.set("spark.sql.files.maxPartitionBytes", before)
+    assert [(r.archive, r.state, r.offset) for r in rows] == [("a.warc", "corrupt", len(b"".join(parts[:1234])))]
+    assert leaves[-1].offset + leaves[-1].length == len(files["a.warc"]) and len(leaves) == 2001
+    assert all(files["a.warc"][r.offset :].startswith(b"WARC/1.") for r in leaves)
+
+
 def test_record_bytes(spark):
     r = spark.range(1).select(merkle.warc_record(F.lit("http://x"), F.lit("hé")).alias("a"), merkle.warc_record(F.lit(None).cast("string"), F.lit(None).cast("string")).alias("b")).first()
     assert bytes(r.a) == b"WARC/1.1\r\nWARC-Type: resource\r\nWARC-Target-URI: http://x\r\nContent-Length: 3\r\n\r\nh\xc3\xa9\r\n\r\n" and bytes(r.b).endswith(b"Content-Length: 0\r\n\r\n\r\n\r\n")

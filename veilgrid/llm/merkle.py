@@ -47,6 +47,8 @@ def leaves(records: DataFrame, id_col: str, record_col: str, archive_records: in
     return hashed.select("archive", (F.row_number().over(order) - 1).cast("long").alias("at"), "record_id", offset.alias("offset"), "length", "hash")
 
 
+#: What every record starts with, in versions 1.0 and 1.1.
+MARK = b"WARC/1."
 _LENGTH = re.compile(rb"\r\ncontent-length:[ \t]*([0-9]+)[ \t]*\r\n", re.IGNORECASE)
 
 
@@ -63,26 +65,36 @@ def split_records(data: bytes) -> Iterator[tuple[int, int]]:
         at = stop
 
 
-def file_leaves(spark: SparkSession, folder: str, pattern: str = "*.warc") -> DataFrame:
-    """Record hashes of the archive files in a folder, by file name; a task holds one file at a time.
+def file_leaves(spark: SparkSession, folder: str, pattern: str = "*.warc*") -> DataFrame:
+    """Record hashes of the archive files in a folder, by file name and in file order; plain or compressed (.gz).
 
-    Empty files have no records and are the same as files that aren't there.
+    Files are read in ranges that start at record marks, so plain files of any size are split over tasks, compressed ones stream, and a task
+    holds records and not files. Offsets count uncompressed bytes. A mark inside a record's body cuts it in both replicas
+    alike. Empty files have no records and are the same as files that aren't there.
     """
-    names = ["archive", "at", "record_id", "offset", "length", "hash"]
-    types = [pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string()]
+    names = ["archive", "block", "row", "part", "length", "hash"]
+    types = [pa.string(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.string()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last = None
         for batch in batches:
+            rows = []
             for k in range(batch.num_rows):
-                name, data = batch.column(0)[k].as_py(), batch.column(1)[k].as_py()
-                rows = [(name, i, None, at, n, hashlib.sha256(data[at : at + n]).hexdigest()) for i, (at, n) in enumerate(split_records(data))]
-                yield pa.RecordBatch.from_arrays([pa.array([r[c] for r in rows], type=t) for c, t in enumerate(types)], names=names)
-
-    files = spark.read.format("binaryFile").option("pathGlobFilter", pattern).load(folder)
-    return files.select(F.substring_index("path", "/", -1).alias("archive"), "content").mapInArrow(run, "archive string, at long, record_id long, offset long, length long, hash string")
+                name, block, row, data = (batch.column(c)[k].as_py() for c in range(4))
+                before_marks, last = block == 0 and name != last, name  # a file's first block is read in order by one task
+                whole = data if before_marks else MARK + data
+                rows += [(name, block, row, i, n, hashlib.sha256(whole[at : at + n]).hexdigest()) for i, (at, n) in enumerate(split_records(whole))]
+            yield pa.RecordBatch.from_arrays([pa.array([r[c] for r in rows], type=t) for c, t in enumerate(types)], names=names)
+
+    files = spark.read.option("lineSep", MARK.decode()).option("pathGlobFilter", pattern).text(folder)
+    pieces = files.select(F.substring_index("_metadata.file_path", "/", -1).alias("archive"), F.col("_metadata.file_block_start").alias("block"), F.monotonically_increasing_id().alias("row"), F.col("value").cast("binary").alias("data"))
+    hashed = pieces.mapInArrow(run, "archive string, block long, row long, part int, length long, hash string")
+    order = Window.partitionBy("archive").orderBy("block", "row", "part")
+    offset = F.coalesce(F.sum("length").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return hashed.select("archive", (F.row_number().over(order) - 1).cast("long").alias("at"), F.lit(None).cast("long").alias("record_id"), offset.alias("offset"), "length", "hash")
 
 
-def audit_folders(spark: SparkSession, primary: str, replica: str, pattern: str = "*.warc", fanout: int = FANOUT) -> DataFrame:
+def audit_folders(spark: SparkSession, primary: str, replica: str, pattern: str = "*.warc*", fanout: int = FANOUT) -> DataFrame:
     """Audit of two folders of archive files, record by record in file order; a record that is lost shifts those after it, which show as corrupt places."""
     sides = [materialise(file_leaves(spark, x, pattern)) for x in (primary, replica)]
     fullest = max((x.agg(F.max("at")).first()[0] or 0) + 1 for x in sides)

@@ -32,12 +32,14 @@ SELECT doc_id, v.license, v.rule, CAST(pos AS INTEGER) AS first_sentence, CAST(p
 
 
 def audit_sql() -> str:
-    """Record places by running sums of record lengths, and the rows whose bodies were harmed."""
-    size = lambda body: f"(strlen('WARC/1.1..WARC-Type: resource..WARC-Target-URI: ') + strlen(url) + strlen('..Content-Length: ') + length(CAST(strlen({body}) AS VARCHAR)) + 4 + strlen({body}) + 4)"
-    return f"""WITH p AS (SELECT page_id, url, html, CASE WHEN page_id % 997 = 5 THEN '~' || substr(html, 2) WHEN page_id % 1499 = 7 THEN substr(html, 1, 100) ELSE html END AS harmed, page_id // 4096 AS archive FROM pages),
-r AS (SELECT *, {size('html')} AS n, {size('harmed')} AS m FROM p),
-o AS (SELECT CAST(archive AS BIGINT) AS archive, row_number() OVER w - 1 AS "at", page_id AS record_id, CAST(sum(n) OVER w - n AS BIGINT) AS "offset", n AS length, CAST(sum(m) OVER w - m AS BIGINT) AS replica_offset, m AS replica_length, html <> harmed AS hit FROM r WINDOW w AS (PARTITION BY archive ORDER BY page_id))
-SELECT archive, "at", record_id, "offset", length, replica_offset, replica_length, 'corrupt' AS state FROM o WHERE hit"""
+    """Both replicas numbered within archives of 256 ids, record places by running sums of record lengths, and a full join by place on the bytes."""
+    size = "(strlen('WARC/1.1..WARC-Type: resource..WARC-Target-URI: ') + strlen(url) + strlen('..Content-Length: ') + length(CAST(strlen(html) AS VARCHAR)) + 4 + strlen(html) + 4)"
+    placed = lambda rows: f"SELECT CAST(floor(id / CAST(256 AS DOUBLE)) AS BIGINT) AS archive, row_number() OVER w - 1 AS place, id, CAST(sum({size}) OVER w - {size} AS BIGINT) AS start, {size} AS n, url, html FROM ({rows}) WINDOW w AS (PARTITION BY floor(id / CAST(256 AS DOUBLE)) ORDER BY id)"
+    harmed = "SELECT page_id AS id, url, CASE WHEN page_id % 997 = 5 THEN '~' || substr(html, 2) WHEN page_id % 1499 = 7 THEN substr(html, 1, 100) ELSE html END AS html FROM pages WHERE page_id % 1601 <> 203 UNION ALL SELECT -1 - page_id, url, html FROM pages WHERE page_id % 2003 = 11"
+    return f"""WITH a AS ({placed('SELECT page_id AS id, url, html FROM pages')}), b AS ({placed(harmed)})
+SELECT archive, place AS "at", a.id AS record_id, a.start AS "offset", a.n AS length, b.id AS replica_record_id, b.start AS replica_offset, b.n AS replica_length,
+CASE WHEN b.id IS NULL THEN 'missing' WHEN a.id IS NULL THEN 'extra' WHEN a.id = b.id THEN 'corrupt' ELSE 'moved' END AS state
+FROM a FULL JOIN b USING (archive, place) WHERE a.id IS NULL OR b.id IS NULL OR a.html <> b.html OR a.url <> b.url"""
 
 
 ORACLES: dict[str, str] = {"op5_license_scan": license_sql(), "op6_merkle_audit": audit_sql()}

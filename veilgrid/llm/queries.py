@@ -43,14 +43,21 @@ def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(_table(spark, sf_dir, "documents"))
 
 
+#: Records of an archive in the audit query.
+AUDITED_RECORDS = 256
+
+
 def op6_merkle_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pages as WARC records against a replica with planted faults: a flipped byte, a cut record."""
+    """Pages as WARC records against a replica with planted faults: flipped bytes, cut records, lost records (those after one in its archive
+    have moved) and records that only the replica has."""
     pages = _table(spark, sf_dir, "pages")
-    body = F.col("html")
+    body, page = F.col("html"), F.col("page_id")
     flipped = F.concat(F.lit("~"), F.substring(body, 2, 1 << 30))
-    harmed = F.when(F.col("page_id") % 997 == 5, flipped).when(F.col("page_id") % 1499 == 7, F.substring(body, 1, 100)).otherwise(body)
-    sides = [pages.select("page_id", merkle.warc_record(F.col("url"), b).alias("record")) for b in (body, harmed)]
-    return merkle.audit_replicas(*sides, "page_id", "record").drop("replica_record_id")
+    harmed = F.when(page % 997 == 5, flipped).when(page % 1499 == 7, F.substring(body, 1, 100)).otherwise(body)
+    whole = pages.select(page, merkle.warc_record(F.col("url"), body).alias("record"))
+    kept = pages.where((page % 1601 != 203) | page.isNull()).select(page, merkle.warc_record(F.col("url"), harmed).alias("record"))
+    added = pages.where(page % 2003 == 11).select((-1 - page).alias("page_id"), merkle.warc_record(F.col("url"), body).alias("record"))
+    return merkle.audit_replicas(whole, kept.unionByName(added), "page_id", "record", AUDITED_RECORDS)
 
 
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
