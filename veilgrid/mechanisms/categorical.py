@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from veilgrid.domain import GridSpec, fill_histogram, input_cells
-from veilgrid.noise import hash_uniform, uniform_columns
+from veilgrid.noise import hash_below, hash_limit, uniform_columns
 
 KINDS = ("grr", "sue", "oue", "olh", "subset")
 
@@ -43,7 +43,7 @@ class CategoricalOracle:
         return F.col("cy") * self.grid.d + F.col("cx")
 
     def report(self, cells: DataFrame, mode: str = "secure", user: str = "user_id", seed: int | None = None, unsafe_deterministic: bool = False) -> DataFrame:
-        """grr: value; sue, oue: members (array of set positions); olh: seed and value; subset: members."""
+        """grr: value; sue, oue: members (array of set positions; hash mode: a row per set position); olh: seed and value; subset: members."""
         n = self.grid.n
         if self.kind in ("grr", "olh"):
             df = uniform_columns(cells, ["_u", "_v"], mode, user, seed, unsafe_deterministic)
@@ -57,8 +57,9 @@ class CategoricalOracle:
             return self._report_subset(cells, mode, user, seed, unsafe_deterministic)
         if mode == "hash":
             uniform_columns(cells.limit(0), ["_x"], mode, user, seed, unsafe_deterministic)  # refuses without consent
-            bit = lambda j: hash_uniform(F.col(user), j, 42 if seed is None else seed) < F.when(j == self.cell(), self.p).otherwise(self.q)
-            return cells.select(F.filter(F.sequence(F.lit(0), F.lit(n - 1)), bit).alias("members"))
+            one = cells.select(F.col(user).alias("_user"), self.cell().alias("_own"), F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("_j"))
+            set_ = hash_below(F.col("_user"), F.col("_j"), F.when(F.col("_j") == F.col("_own"), hash_limit(self.p)).otherwise(hash_limit(self.q)), 42 if seed is None else seed)
+            return one.where(set_).select("_user", F.col("_j").alias("cell"))  # the set bits as rows: all of it is generated code
         return self._report_bits(cells)
 
     def _report_bits(self, cells: DataFrame) -> DataFrame:
@@ -78,7 +79,8 @@ class CategoricalOracle:
         """k cells: the true one with probability p, the rest uniform among the others, as the first k of a random order."""
         df = uniform_columns(cells, ["_u", "_v"], mode, user, seed, unsafe_deterministic)
         n, k = self.grid.n, self.size
-        order = F.array_sort(F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda j: F.struct(F.md5(F.concat_ws(":", F.col("_v").cast("string"), j.cast("string")).cast("binary")).alias("h"), j.alias("j"))))
+        start = [F.lit(str(42 if seed is None else seed)), F.col(user).cast("string")] if mode == "hash" else [F.col("_v").cast("string")]
+        order = F.array_sort(F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda j: F.struct(F.md5(F.concat_ws(":", *start, (j + 2).cast("string")).cast("binary")).alias("h"), j.alias("j"))))
         others = F.filter(F.transform(order, lambda x: x["j"]), lambda j: j != self.cell())
         members = F.when(F.col("_u") < self.p, F.concat(F.array(self.cell()), F.slice(others, 1, k - 1) if k > 1 else F.array().cast("array<int>"))).otherwise(F.slice(others, 1, k))
         return df.select(F.array_sort(members).alias("members"))
@@ -90,6 +92,8 @@ class CategoricalOracle:
         if self.kind == "olh":
             hit = F.filter(F.sequence(F.lit(0), F.lit(self.grid.n - 1)), lambda j: olh_hash(F.col(user), j, self.hashes) == F.col("value"))
             reports = reports.select(hit.alias("members"))
+        if "cell" in reports.columns:
+            return reports.groupBy("cell").count().withColumnRenamed("count", "n")
         return reports.select(F.explode("members").alias("cell")).groupBy("cell").count().withColumnRenamed("count", "n")
 
     def estimate(self, support: DataFrame, users: int) -> DataFrame:

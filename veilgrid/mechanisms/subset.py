@@ -12,10 +12,17 @@ from functools import cached_property
 from itertools import combinations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from veilgrid.domain import GridSpec
+from veilgrid.em import Fit, em, smooth_mass
+from veilgrid.lineage import materialise
+from veilgrid.noise import uniform_columns
+
+#: Distinct sets that are inverted in one process (the channel has as many columns).
+MAX_SETS = 100_000
 
 
 def default_size(eps: float, n: int) -> int:
@@ -68,33 +75,38 @@ class SubsetExponentialMechanism:
 
     def sample(self, cells: np.ndarray, rng: np.random.Generator) -> np.ndarray:
         """Sorted members, one row per given input cell number."""
+        return self.sample_from(cells, rng.random((len(cells), self.k)))
+
+    def sample_from(self, cells: np.ndarray, u: np.ndarray) -> np.ndarray:
+        """The same from uniforms u[row, k]: the first picks the nearest member (or, for score 'sum', the member drawn by weight), each other one
+        picks evenly among the cells that may follow and aren't picked yet."""
         n, k = self.grid.n, self.k
         law = self.rank_law if self.score == "nearest" else self.sum_law
-        u = rng.random(len(cells))
-        first = np.minimum((np.cumsum(law, axis=1)[cells] < u[:, None]).sum(axis=1), n - 1)
-        out = np.empty((len(cells), k), dtype=np.int32)
-        out[:, 0] = self.order[cells, first] if self.score == "nearest" else first
-        if k > 1:
-            keys = rng.random((len(cells), n))
-            if self.score == "nearest":
-                keys[np.arange(n)[None] <= first[:, None]] = 2.0  # only farther ranks may follow
-                out[:, 1:] = np.take_along_axis(self.order[cells], np.argpartition(keys, k - 2, axis=1)[:, : k - 1], axis=1)
-            else:
-                keys[np.arange(len(cells)), first] = 2.0
-                out[:, 1:] = np.argpartition(keys, k - 2, axis=1)[:, : k - 1]
-        out.sort(axis=1)
-        return out
-
-    def report(self, cells: DataFrame, seed: int | None = None, keep: tuple[str, ...] = ()) -> DataFrame:
-        """(keep..., members ARRAY<INT>) by Arrow batches; the rank table (n x n) goes with the function."""
-        sample, d = self.sample, self.grid.d
+        first = np.minimum((np.cumsum(law, axis=1)[cells] < u[:, :1]).sum(axis=1), n - k if self.score == "nearest" else n - 1)
+        left = n - 1 - first if self.score == "nearest" else np.full(len(cells), n - 1)
+        picked = np.empty((len(cells), 0), dtype=np.int64)
+        for j in range(1, k):
+            at = np.minimum(np.floor(u[:, j] * (left - j + 1)).astype(np.int64), left - j)
+            for c in range(j - 1):  # places already taken are passed over, in rising order
+                at = at + (at >= picked[:, c])
+            picked = np.sort(np.column_stack([picked, at]), axis=1)
+        if self.score == "nearest":
+            ranks = np.column_stack([first, picked + first[:, None] + 1])
+            out = np.take_along_axis(self.order[cells], ranks, axis=1)
+        else:
+            out = np.column_stack([first, picked + (picked >= first[:, None])])
+        return np.sort(out, axis=1).astype(np.int32)
+
+    def report(self, cells: DataFrame, mode: str = "secure", user: str = "user_id", seed: int | None = None, unsafe_deterministic: bool = False, keep: tuple[str, ...] = ()) -> DataFrame:
+        """(keep..., members ARRAY<INT>) from k uniforms a user, by Arrow batches; the rank table (n x n) goes with the function."""
+        sample, d, names = self.sample_from, self.grid.d, [f"_u{j}" for j in range(self.k)]
+        drawn = uniform_columns(cells, names, mode, user, seed, unsafe_deterministic)
 
         @F.pandas_udf("array<int>")
-        def draw(cx, cy):
-            rng = np.random.default_rng(seed)
-            return cx.__class__(list(sample((cy * d + cx).to_numpy(), rng)))
+        def draw(cx, cy, u):
+            return cx.__class__(list(sample((cy * d + cx).to_numpy(), np.stack(u.to_numpy())))) if len(cx) else cx.astype(object)
 
-        return cells.select(*keep, draw.asNondeterministic()("cx", "cy").alias("members"))
+        return drawn.select(*keep, draw("cx", "cy", F.array(*names)).alias("members"))
 
     @staticmethod
     def count(reports: DataFrame) -> DataFrame:
@@ -110,6 +122,34 @@ class SubsetExponentialMechanism:
         near = self.distances[:, sets].min(axis=2)
         return np.exp(-0.5 * self.eps_prime * near - self.log_normaliser[:, None])
 
+    def estimate(self, counts: DataFrame, max_iter: int = 500, tol: float = 1e-9, smooth: bool = False, most: int = MAX_SETS) -> Fit:
+        """EM over counts (members, n). Up to ``most`` distinct sets are inverted in one process; more of them stay where they are, and
+        every step sums one vector of cells per task."""
+        n = self.grid.n
+        counts = materialise(counts)
+        if counts.count() <= most:
+            rows = counts.collect()
+            sets = np.array([r.members for r in rows], dtype=np.int64).reshape(-1, self.k)
+            return em(np.array([r.n for r in rows], dtype=float), self.set_probabilities(sets), max_iter, tol, smooth)
+        probabilities, f, before = self.set_probabilities, np.full(n, 1 / n), -math.inf
+        total = float(counts.agg(F.sum("n")).first()[0])
+        for step in range(1, max_iter + 1):
+            def gained(batches, f=f):
+                out, likelihood = np.zeros(n), 0.0
+                for pdf in batches:
+                    prob, seen = probabilities(np.stack(pdf.members.to_numpy()).astype(np.int64)), pdf.n.to_numpy(dtype=float)
+                    predicted = f @ prob
+                    out, likelihood = out + f * (prob @ (seen / predicted)), likelihood + float(seen @ np.log(predicted))
+                yield pd.DataFrame({"gain": [out.tolist()], "likelihood": [likelihood]})
+
+            parts = counts.mapInPandas(gained, "gain array<double>, likelihood double").toPandas()
+            likelihood = float(parts.likelihood.sum())
+            if abs(likelihood - before) < tol * abs(likelihood):
+                return Fit(f, step - 1, likelihood)
+            before, f = likelihood, np.sum(parts.gain.tolist(), axis=0) / total
+            f = smooth_mass(f, (self.grid.d, self.grid.d)) if smooth else f / f.sum()
+        return Fit(f, max_iter, before)
+
     def all_sets(self) -> np.ndarray:
         return np.array(list(combinations(range(self.grid.n), self.k)), dtype=np.int32)
 

@@ -1,8 +1,8 @@
 """Stand-ins for trajectory comparators: two public designs, since the compared methods' descriptions are not at hand.
 
 'markov': first cells and transitions are reported by a categorical oracle with the budget split between them; a chain built from the
-estimates is run forward and its visits are the histogram. 'pivot': every point is perturbed by the exponential mechanism
-with a share of the budget and inverted.
+estimates is run forward and its visits are the histogram. 'pivot': a few points of each user are perturbed by the exponential mechanism
+with an even share of the budget each and inverted. Either way a user spends one budget for the whole trajectory.
 """
 
 from __future__ import annotations
@@ -12,21 +12,27 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from veilgrid.domain import GridSpec, assign_cells
-from veilgrid.em import clip_normalise, em
+from veilgrid.em import clip_normalise
 from veilgrid.estimate import to_histogram
 from veilgrid.mechanisms.categorical import CategoricalOracle
 from veilgrid.mechanisms.subset import SubsetExponentialMechanism
-from veilgrid.registry import table
-from veilgrid.sources.datasets import POINT_SETS
+from veilgrid.noise import hash_uniform
+from veilgrid.sources.datasets import POINT_SETS, event_points
 
 
 def trajectories(spark, sf_dir: str, d: int) -> DataFrame:
-    """(user_id, seq, cx, cy, before): events of each user by time, with the cell before."""
-    owner = table(spark, sf_dir, "events").select("event_id", F.col("user_id").alias("owner"), "ts")
-    cells = assign_cells(POINT_SETS["crime_like"].read(spark, sf_dir), POINT_SETS["crime_like"].grid(d)).select(F.col("user_id").alias("event_id"), "cx", "cy")
-    order = Window.partitionBy("owner").orderBy("ts", "event_id")
-    cell = F.col("cy") * d + F.col("cx")
-    return cells.join(owner, "event_id").select(F.col("owner").alias("user_id"), "event_id", F.row_number().over(order).alias("seq"), "cx", "cy", cell.cast("int").alias("cell"), F.lag(cell.cast("int")).over(order).alias("before"))
+    """(user_id, event_id, seq, cx, cy, cell, before): events of each user by time, with the cell before."""
+    points = event_points(spark, sf_dir, "user_id", "ts")
+    order = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    cell = (F.col("cy") * d + F.col("cx")).cast("int")
+    cells = assign_cells(points, POINT_SETS["crime_like"].grid(d))
+    return cells.select("user_id", "event_id", F.row_number().over(order).alias("seq"), "cx", "cy", cell.alias("cell"), F.lag(cell).over(order).alias("before"))
+
+
+def chosen_points(paths: DataFrame, most: int, seed: int = 42) -> DataFrame:
+    """Up to ``most`` points of each user, by a hash of the point."""
+    order = Window.partitionBy("user_id").orderBy(hash_uniform(F.col("event_id"), 7, seed), "event_id")
+    return paths.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= most)
 
 
 def transitions(paths: DataFrame) -> DataFrame:
@@ -61,9 +67,9 @@ def markov_estimate(paths: DataFrame, grid: GridSpec, eps: float, mode: str = "s
     return to_histogram(paths.sparkSession, visits / visits.sum(), d)
 
 
-def pivot_estimate(paths: DataFrame, grid: GridSpec, eps: float, share: float = 1.0, seed: int | None = None) -> DataFrame:
-    """Every point by the exponential mechanism at ``share`` of eps per unit of distance, then EM over the cells."""
-    mech = SubsetExponentialMechanism(eps * share, grid, 1)
-    rows = mech.count(mech.report(paths, seed=seed)).collect()
-    fit = em(np.array([r.n for r in rows], dtype=float), mech.set_probabilities(np.array([r.members for r in rows])), 500)
-    return to_histogram(paths.sparkSession, fit.mass, grid.d)
+def pivot_estimate(paths: DataFrame, grid: GridSpec, eps: float, points: int = 4, max_iter: int = 500, tol: float = 1e-9, mode: str = "secure", seed: int | None = None, unsafe_deterministic: bool = False) -> DataFrame:
+    """``points`` points a user by the exponential mechanism, each at that share of eps per unit of distance, then EM over the cells."""
+    mech = SubsetExponentialMechanism(eps / points, grid, 1)
+    chosen = chosen_points(paths, points, 42 if seed is None else seed)
+    counts = mech.count(mech.report(chosen, mode, "event_id", seed, unsafe_deterministic))
+    return to_histogram(paths.sparkSession, mech.estimate(counts, max_iter, tol).mass, grid.d)

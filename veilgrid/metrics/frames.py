@@ -98,6 +98,17 @@ def grid_distances(a: DataFrame, b: DataFrame, d: int, exact: bool = True) -> Da
     return paired(a, b).withColumn("one", F.lit(1)).groupBy("one").applyInPandas(measure, "w2 double, sw1 double, mae double, kl double")
 
 
+def plan_cost(a: DataFrame, b: DataFrame, d: int, reg: float, rounds: int) -> DataFrame:
+    """(cost) of the array form's plan after a fixed number of rounds, in one task."""
+    def measure(pdf: pd.DataFrame) -> pd.DataFrame:
+        x, y = np.zeros(d * d), np.zeros(d * d)
+        at = (pdf.cy * d + pdf.cx).to_numpy()
+        x[at], y[at] = pdf.a, pdf.b
+        return pd.DataFrame([{"cost": sinkhorn_array(x, y, d, reg, rounds, 0.0)}])
+
+    return paired(a, b).withColumn("one", F.lit(1)).groupBy("one").applyInPandas(measure, "cost double")
+
+
 def local_privacy(channel: DataFrame, n: int) -> DataFrame:
     """(lp) under a uniform prior: a self-join on the output cell. Rows are outputs x n^2, for small domains."""
     a, b = channel.alias("a"), channel.alias("b")

@@ -7,6 +7,7 @@ are for tests and comparisons and must be asked for.
 
 from __future__ import annotations
 
+import math
 import os
 
 import numpy as np
@@ -24,6 +25,16 @@ def hash_uniform(user: Column, draw: int | Column, seed: int = 42) -> Column:
     return F.conv(F.substring(digest, 1, 13), 16, 10).cast("long").cast("double") / F.lit(SPAN)
 
 
+def hash_limit(p: float) -> Column:
+    """The digits that the draws below p stay under, as text; draws are compared by their digits and never parsed."""
+    return F.lit(f"{min(math.ceil(p * SPAN), (1 << 52) - 1):013x}" if p < 1 else "g")
+
+
+def hash_below(user: Column, draw: Column, limit: Column, seed: int = 42) -> Column:
+    """hash_uniform(user, draw, seed) < p for the limit of p."""
+    return F.substring(F.md5(F.concat_ws(":", F.lit(str(seed)), user.cast("string"), draw.cast("string")).cast("binary")), 1, 13) < limit
+
+
 def _secure_uniform(like: Column) -> Column:
     @F.pandas_udf("double")
     def draw(ids):

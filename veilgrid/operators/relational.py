@@ -276,17 +276,8 @@ def join_self_channel(spark, sf):
     return a.join(b, (F.col("a.ox") == F.col("b.ox")) & (F.col("a.oy") == F.col("b.oy"))).groupBy(F.col("a.ox").alias("ox"), F.col("a.oy").alias("oy")).agg(F.round(F.sum(F.col("a.prob") * F.col("b.prob")), 9).alias("overlap"))
 
 
-@query("op_join_null_safe", "SELECT a.part, count(*) AS pairs FROM (SELECT nullif(o_orderstatus, 'P') AS part FROM orders WHERE o_orderkey % 100 < 50 AND o_totalprice > 480000) a JOIN (SELECT DISTINCT nullif(o_orderstatus, 'P') AS part FROM orders) b ON a.part IS NOT DISTINCT FROM b.part GROUP BY a.part")
+@query("op_join_null_safe", "SELECT a.part, count(*) AS pairs FROM (SELECT nullif(o_orderstatus, 'P') AS part FROM orders) a JOIN (SELECT DISTINCT nullif(o_orderstatus, 'P') AS part FROM orders) b ON a.part IS NOT DISTINCT FROM b.part GROUP BY a.part")
 def join_null_safe(spark, sf):
-    part = F.nullif(F.col("o_orderstatus"), F.lit("P")).alias("part")
-    o = table(spark, sf, "orders")
-    a = o.where((F.col("o_orderkey") % 100 < 50) & (F.col("o_totalprice") > 480000)).select(part)
-    b = o.select(part).distinct().withColumnRenamed("part", "other")
-    return a.join(b, F.col("part").eqNullSafe(F.col("other"))).groupBy("part").agg(F.count("*").alias("pairs"))
-
-
-@query("op_join_null_safe_all", "SELECT a.part, count(*) AS pairs FROM (SELECT nullif(o_orderstatus, 'P') AS part FROM orders) a JOIN (SELECT DISTINCT nullif(o_orderstatus, 'P') AS part FROM orders) b ON a.part IS NOT DISTINCT FROM b.part GROUP BY a.part")
-def join_null_safe_all(spark, sf):
     """All orders; the other side is one row per status, so it is broadcast and no status is one task's work."""
     a = table(spark, sf, "orders").select(F.nullif(F.col("o_orderstatus"), F.lit("P")).alias("part"))
     b = F.broadcast(a.distinct().withColumnRenamed("part", "other"))

@@ -10,15 +10,16 @@ from pyspark.sql import functions as F
 
 from veilgrid import geometry as geo
 from veilgrid.domain import GridSpec, assign_cells, distance_set, fill_histogram, input_cells, output_cells, true_histogram
-from veilgrid.em import clip_normalise, em, em_frame, em_stencil_frame, project_simplex
+from veilgrid.em import clip_normalise, em_frame, em_stencil_frame, project_simplex
 from veilgrid.estimate import count_reports, estimate_axes, estimate_by, estimate_distribution, estimate_from_reports, to_histogram
 from veilgrid.mechanisms import AxisWaveMechanism, CategoricalOracle, DecayMechanism, DiskMechanism, SquareWave, SubsetExponentialMechanism
+from veilgrid.lineage import materialise
 from veilgrid.metrics import frames, transport
 from veilgrid.noise import hash_uniform
 from veilgrid.plans import sql_text as S
 from veilgrid.privacy import local_privacy, local_privacy_subset, match_privacy, privacy_loss
 from veilgrid.registry import ORACLES, QUERIES, query, table
-from veilgrid.sources.datasets import POINT_SETS, uniform_sql
+from veilgrid.sources.datasets import POINT_SETS, event_points, uniform_sql
 
 #: Budgets and sides of the experiments.
 EPS = (0.7, 1.4, 2.1, 2.8, 3.5, 5.0, 6.0, 7.0, 8.0, 9.0)
@@ -242,10 +243,21 @@ def disk_continuous(spark, sf):
     return DiskMechanism.report_continuous(scaled, 3.5, **HASH).select("user_id", r6(F.col("rx")).alias("rx"), r6(F.col("ry")).alias("ry"))
 
 
-@query("decay_continuous")
+_QD35 = geo.continuous_constants("decay", _B35, 3.5)[1]
+_TABLE_STEPS = 4096
+#: Cumulative law of the decay's excess radius by trapezoids: (m0, m1, r0) per step.
+_RADII = f"""SELECT sum(g) OVER (ORDER BY j) / sum(g) OVER () - g / sum(g) OVER () AS m0, sum(g) OVER (ORDER BY j) / sum(g) OVER () AS m1, {S.num(_B35)} * j / {_TABLE_STEPS} AS r0
+FROM (SELECT j, h(j) + h(j + 1) AS g FROM (SELECT CAST(range AS DOUBLE) AS j FROM range({_TABLE_STEPS})))""".replace("h(j + 1)", f"(exp(3.5 * (1 - (j + 1) / {_TABLE_STEPS})) - 1) * (j + 1)").replace("h(j)", f"(exp(3.5 * (1 - j / {_TABLE_STEPS})) - 1) * j").replace("3.5 *", "CAST(3.5 AS DOUBLE) *")
+
+
+@query("decay_continuous", f"""WITH k AS (SELECT {S.num(_B35)} AS b, {S.num(_QD35)} AS q), r AS MATERIALIZED ({_RADII}),
+n AS (SELECT p.*, r0 + (w - m0) / (m1 - m0) * {S.num(_B35 / _TABLE_STEPS)} AS near FROM ({_SCALED}) p JOIN r ON w >= m0 AND w < m1),
+t AS (SELECT p.*, k.b, k.q * (pi() * b * b + 4 * b + 1) AS background, (u / (k.q * (pi() * b * b + 4 * b + 1)) * (pi() * b * b + 4 * b + 1) - 1) / b AS strip, b * sqrt(w) * cos(2 * pi() * v) AS dx, b * sqrt(w) * sin(2 * pi() * v) AS dy FROM n p, k)
+SELECT user_id, round(CASE WHEN u >= background THEN x + near * cos(2 * pi() * v) WHEN strip < 0 THEN v WHEN strip < 2 THEN strip - floor(strip) WHEN strip < 3 THEN -b * v WHEN strip < 4 THEN 1 + b * v WHEN dx > 0 THEN 1 + dx ELSE dx END, 6) + 0 AS rx,
+round(CASE WHEN u >= background THEN y + near * sin(2 * pi() * v) WHEN strip < 0 THEN w WHEN strip < 1 THEN -b * v WHEN strip < 2 THEN 1 + b * v WHEN strip < 4 THEN strip - floor(strip) WHEN dy > 0 THEN 1 + dy ELSE dy END, 6) + 0 AS ry FROM t""")
 def decay_continuous(spark, sf):
     scaled = points(spark, sf, "taxi_like").select("user_id", (F.col("x") / 500000).alias("x"), (F.col("y") / 2410).alias("y"))
-    return DecayMechanism.report_continuous(scaled, 3.5, **HASH)
+    return DecayMechanism.report_continuous(scaled, 3.5, steps=_TABLE_STEPS, **HASH).select("user_id", (r6(F.col("rx")) + 0).alias("rx"), (r6(F.col("ry")) + 0).alias("ry"))
 
 
 # ---- estimates ----
@@ -278,18 +290,29 @@ _register_estimate("estimate_disk_crime", "crime_like", "disk")
 _register_estimate("estimate_disk_volume", "taxi_big", "disk")
 
 
-@query("estimate_by_part")
+_B5 = geo.grid_radius(3.5, 5)
+_PART_CHANNEL = f"SELECT part AS grp, cx, cy, ox, oy, prob FROM ({S.channel(5, _B5, S.disk_weights(_B5, 3.5))}), (SELECT DISTINCT part FROM ({S.cells('taxi_like', 5)}))"
+_PART_COUNTS = f"SELECT part AS grp, ox, oy, count(*) AS n FROM ({S.reports('taxi_like', 5, _B5, S.disk_weights(_B5, 3.5))}) GROUP BY part, ox, oy"
+
+
+@query("estimate_by_part", f"SELECT grp AS part, cx, cy, round(mass / sum(mass) OVER (PARTITION BY grp), 6) AS mass FROM ({S.em_steps(_PART_CHANNEL, _PART_COUNTS, 25, STEPS, 'grp, cx, cy', 'grp, ox, oy')})")
 def estimate_by_part(spark, sf):
-    return estimate_by(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), DiskMechanism(3.5, unit_grid(5)), ("part",), **HASH)
+    found = estimate_by(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), DiskMechanism(3.5, unit_grid(5)), ("part",), max_iter=STEPS, tol=-1.0, **HASH)
+    return found.withColumn("mass", r6(F.col("mass")))
+
+
+def _estimate_15(spark, sf, method):
+    return estimate_distribution(points(spark, sf, "crime_like"), POINT_SETS["crime_like"].grid(15), DiskMechanism(3.5, unit_grid(15)), method=method, max_iter=5, tol=-1.0, **HASH).withColumn("mass", r6(F.col("mass")))
 
 
-@query("em_local")
-def em_local(spark, sf):
-    return estimate_distribution(points(spark, sf, "crime_like"), POINT_SETS["crime_like"].grid(15), DiskMechanism(3.5, unit_grid(15)), **HASH)
+query("em_local", _estimate_sql("crime_like", 15, steps=5))(lambda spark, sf: _estimate_15(spark, sf, "dense"))
+query("em_stencil_local", _estimate_sql("crime_like", 15, steps=5))(lambda spark, sf: _estimate_15(spark, sf, "stencil"))
+query("em_fft_local", _estimate_sql("crime_like", 15, steps=5))(lambda spark, sf: _estimate_15(spark, sf, "fft"))
 
 
 @query("em_fft")
 def em_fft_query(spark, sf):
+    """The transform on a fine grid; em_fft_local is the same code on one that SQL can follow."""
     return estimate_distribution(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(60), DiskMechanism(3.5, unit_grid(60)), method="fft", max_iter=200, **HASH)
 
 
@@ -357,14 +380,24 @@ def axis_estimate(spark, sf):
     return estimate_axes(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), AxisWaveMechanism(3.5, unit_grid(5)), max_iter=STEPS, tol=-1.0, **HASH).withColumn("mass", r6(F.col("mass")))
 
 
-@query("axis_estimate_joint")
+_AXIS5 = SquareWave(1.75, 5)
+_PAIR_CHANNEL = f"SELECT x.cx, y.cx AS cy, x.ox, y.ox AS oy, x.prob * y.prob AS prob FROM ({_axis_channel(5, _AXIS5.b, 1.75)}) x, ({_axis_channel(5, _AXIS5.b, 1.75)}) y"
+_PAIR_COUNTS = f"SELECT ox, oy, count(*) AS n FROM (SELECT {S.wave_axis('cx', uniform_sql('user_id', 0), 5, _AXIS5.b, 1.75)} AS ox, {S.wave_axis('cy', uniform_sql('user_id', 1), 5, _AXIS5.b, 1.75)} AS oy FROM ({S.cells('taxi_like', 5)})) GROUP BY ox, oy"
+
+
+@query("axis_estimate_joint", f"SELECT cx, cy, round(mass, 6) AS mass FROM ({S.em_steps(_PAIR_CHANNEL, _PAIR_COUNTS, 25, STEPS)})")
 def axis_estimate_joint(spark, sf):
-    return estimate_axes(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), AxisWaveMechanism(3.5, unit_grid(5), merge="joint"), **HASH)
+    return estimate_axes(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), AxisWaveMechanism(3.5, unit_grid(5), merge="joint"), max_iter=STEPS, tol=-1.0, **HASH).withColumn("mass", r6(F.col("mass")))
+
 
+def _one_axis(cell: str, draw: int, chosen: str) -> str:
+    report = S.wave_axis(cell, uniform_sql("user_id", draw), 5, SquareWave(3.5, 5).b, 3.5)
+    return f"SELECT ox, CAST(0 AS INTEGER) AS oy, count(*) AS n FROM (SELECT {report} AS ox FROM ({S.cells('taxi_like', 5)}) WHERE {uniform_sql('user_id', 2)} {chosen} 0.5) GROUP BY ox"
 
-@query("axis_estimate_sample")
+
+@query("axis_estimate_sample", f"SELECT x.cx, y.cx AS cy, round(x.mass * y.mass, 6) AS mass FROM ({S.em_steps(_axis_channel(5, SquareWave(3.5, 5).b, 3.5), _one_axis('cx', 0, '<'), 5, STEPS)}) x, ({S.em_steps(_axis_channel(5, SquareWave(3.5, 5).b, 3.5), _one_axis('cy', 1, '>='), 5, STEPS)}) y")
 def axis_estimate_sample(spark, sf):
-    return estimate_axes(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), AxisWaveMechanism(3.5, unit_grid(5), budget="sample"), **HASH)
+    return estimate_axes(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), AxisWaveMechanism(3.5, unit_grid(5), budget="sample"), max_iter=STEPS, tol=-1.0, **HASH).withColumn("mass", r6(F.col("mass")))
 
 
 _DIST = "sqrt(CAST((a.cx - b.cx) * (a.cx - b.cx) + (a.cy - b.cy) * (a.cy - b.cy) AS DOUBLE))"
@@ -384,28 +417,63 @@ def exp_mech_channel(spark, sf):
     return pairs.select("cx", "cy", "ox", "oy", r6(F.col("w") / F.sum("w").over(Window.partitionBy("cx", "cy")), 8).alias("prob"))
 
 
-def _subset_estimate(spark, sf, k, score="nearest"):
-    """Reports by ranks, counts of canonical sets, EM over the distinct sets on the driver (their number is returned with the estimate)."""
-    grid = POINT_SETS["taxi_like"].grid(5)
-    mech = SubsetExponentialMechanism(2.366, grid, k, score)
-    rows = mech.count(mech.report(assign_cells(points(spark, sf, "taxi_like"), grid), seed=5)).collect()
-    fit = em(np.array([r.n for r in rows], dtype=float), mech.set_probabilities(np.array([r.members for r in rows])), 500)
-    return to_histogram(spark, fit.mass, 5).withColumn("sets", F.lit(len(rows)).cast("long"))
+_EPS_SUBSET = 2.366
+#: Ways to choose the other members once the nearest one has a rank (k = 1, 3 on 25 cells; 2 for the sampler's query).
+_WAYS = {1: "1", 2: "(24 - rank)", 3: "((24 - rank) * (23 - rank) / 2)"}
 
 
-@query("subset_estimate_k1")
-def subset_estimate_k1(spark, sf):
-    return _subset_estimate(spark, sf, 1)
+def _near_law(eps: float, k: int) -> str:
+    """(cell, rank, other, w): cells by distance from each cell, with the weight of sets whose nearest member has that rank."""
+    ranked = f"SELECT a.cy * 5 + a.cx AS cell, row_number() OVER (PARTITION BY a.cx, a.cy ORDER BY {_DIST}, b.cy * 5 + b.cx) - 1 AS rank, b.cy * 5 + b.cx AS other, {_DIST} AS dist FROM ({S.grid_cells(5)}) a, ({S.grid_cells(5)}) b"
+    return f"SELECT *, {_WAYS[k]} * exp(-0.5 * {S.num(eps)} * dist) AS w FROM ({ranked})"
 
 
-@query("subset_estimate_k3")
-def subset_estimate_k3(spark, sf):
-    return _subset_estimate(spark, sf, 3)
+def _sum_law(eps: float) -> str:
+    return f"SELECT a.cy * 5 + a.cx AS cell, b.cy * 5 + b.cx AS rank, b.cy * 5 + b.cx AS other, {_DIST} AS dist, exp(-0.5 * {S.num(eps)} * {_DIST}) AS w FROM ({S.grid_cells(5)}) a, ({S.grid_cells(5)}) b"
 
 
-@query("subset_estimate_sum")
-def subset_estimate_sum(spark, sf):
-    return _subset_estimate(spark, sf, 3, "sum")
+def _subset_members(eps: float, k: int, score: str, rows: str, user: str = "user_id") -> str:
+    """(members): one uniform picks a rank of the user's cell, the next ones pick evenly among the places that may follow."""
+    law = _near_law(eps, k) if score == "nearest" else _sum_law(eps)
+    base = f"SELECT u.*, l.rank, l.other FROM (SELECT cy * 5 + cx AS own, {', '.join(f'{uniform_sql(user, j)} AS u{j}' for j in range(k))} FROM ({rows})) u JOIN (SELECT cell, rank, other, (sum(w) OVER o - w) / sum(w) OVER a AS lo, sum(w) OVER o / sum(w) OVER a AS hi FROM ({law}) WINDOW o AS (PARTITION BY cell ORDER BY rank), a AS (PARTITION BY cell)) l ON l.cell = u.own AND u.u0 >= l.lo AND u.u0 < l.hi"
+    if k == 1:
+        return f"SELECT [other] AS members FROM ({base})"
+    left = "(24 - rank)" if score == "nearest" else "24"
+    picks = f"SELECT *, CAST(floor(u1 * {left}) AS INTEGER) AS i" + (f", CAST(floor(u2 * ({left} - 1)) AS INTEGER) AS j0" if k == 3 else "") + f" FROM ({base})"
+    if k == 3:
+        picks = f"SELECT *, j0 + CASE WHEN j0 >= i THEN 1 ELSE 0 END AS j FROM ({picks})"
+    if score == "sum":
+        return f"SELECT list_sort([other, i + CASE WHEN i >= other THEN 1 ELSE 0 END, j + CASE WHEN j >= other THEN 1 ELSE 0 END]) AS members FROM ({picks})"
+    joins = f"JOIN ({law}) x ON x.cell = p.own AND x.rank = p.rank + 1 + p.i" + (f" JOIN ({law}) y ON y.cell = p.own AND y.rank = p.rank + 1 + p.j" if k == 3 else "")
+    return f"SELECT list_sort([p.other, x.other{', y.other' if k == 3 else ''}]) AS members FROM ({picks}) p {joins}"
+
+
+def _subset_em(eps: float, k: int, score: str, rows: str, user: str = "user_id") -> str:
+    """EM over distinct sets; a set's chance comes from its distances to a cell."""
+    counts = f"SELECT members, count(*) AS n FROM ({_subset_members(eps, k, score, rows, user)}) GROUP BY members"
+    law = _near_law(eps, k) if score == "nearest" else _sum_law(eps)
+    total = f"SELECT cell, sum(w){'' if score == 'nearest' else f' * {math.comb(24, k - 1)}'} AS z FROM ({law}) GROUP BY cell"
+    weight = f"exp(-0.5 * {S.num(eps)} * min(d.dist))" if score == "nearest" else f"sum(exp(-0.5 * {S.num(eps)} * d.dist))"
+    channel = f"SELECT s.members, d.cell, {weight} / any_value(z.z) AS prob FROM (SELECT members, unnest(members) AS m FROM ({counts})) s JOIN ({law}) d ON d.other = s.m JOIN ({total}) z ON z.cell = d.cell GROUP BY s.members, d.cell"
+    return S.em_steps(channel, counts, 25, STEPS, "cell", "members")
+
+
+def _subset_sql(k: int, score: str = "nearest") -> str:
+    rows = S.cells("taxi_like", 5)
+    return f"SELECT CAST(cell % 5 AS INTEGER) AS cx, CAST(cell // 5 AS INTEGER) AS cy, round(mass, 6) AS mass, (SELECT count(DISTINCT members) FROM ({_subset_members(_EPS_SUBSET, k, score, rows)})) AS sets FROM ({_subset_em(_EPS_SUBSET, k, score, rows)})"
+
+
+def _subset_estimate(spark, sf, k, score="nearest"):
+    """Reports by ranks, counts of canonical sets, EM over the distinct sets (their number is returned with the estimate)."""
+    grid = POINT_SETS["taxi_like"].grid(5)
+    mech = SubsetExponentialMechanism(_EPS_SUBSET, grid, k, score)
+    counts = materialise(mech.count(mech.report(assign_cells(points(spark, sf, "taxi_like"), grid), **HASH)))
+    mass = mech.estimate(counts, STEPS, -1.0).mass
+    return to_histogram(spark, mass, 5).withColumn("mass", r6(F.col("mass"))).withColumn("sets", F.lit(counts.count()).cast("long"))
+
+
+for _key, _k, _score in (("subset_estimate_k1", 1, "nearest"), ("subset_estimate_k3", 3, "nearest"), ("subset_estimate_sum", 3, "sum")):
+    query(_key, _subset_sql(_k, _score))(lambda spark, sf, k=_k, score=_score: _subset_estimate(spark, sf, k, score))
 
 
 _GRID5 = "taxi_like"
@@ -473,17 +541,27 @@ def olh_estimate(spark, sf):
     return _estimate_oracle("olh", spark, sf)
 
 
-@query("subset_selection_estimate")
+_SEL = _oracle("subset")
+#: k cells by the order of a hash, the true one first with probability p and else left out.
+_SEL_MEMBERS = f"""SELECT cell FROM (SELECT cell, u, own, row_number() OVER (PARTITION BY user_id, cell = own ORDER BY h) AS place, cell = own AS is_own
+FROM (SELECT p.user_id, p.own, g.cell, p.u, md5('42:' || CAST(p.user_id AS VARCHAR) || ':' || CAST(g.cell + 2 AS VARCHAR)) AS h FROM (SELECT user_id, cy * 5 + cx AS own, {uniform_sql('user_id', 0)} AS u FROM ({S.cells(_GRID5, 5)})) p, (SELECT CAST(range AS INTEGER) AS cell FROM range(25)) g))
+WHERE CASE WHEN is_own THEN u < {S.num(_SEL.p)} ELSE place <= {_SEL.size} - CASE WHEN u < {S.num(_SEL.p)} THEN 1 ELSE 0 END END"""
+
+
+@query("subset_selection_estimate", _unbiased_sql(f"SELECT cell, count(*) AS n FROM ({_SEL_MEMBERS}) GROUP BY cell", _SEL))
 def subset_selection_estimate(spark, sf):
     return _estimate_oracle("subset", spark, sf)
 
 
-@query("grr_projected")
+@query("grr_projected", f"""WITH e AS MATERIALIZED ({_unbiased_sql(f"SELECT cell, count(*) AS n FROM ({_GRR_SQL}) GROUP BY cell", _GRR)}), o AS (SELECT mass, row_number() OVER (ORDER BY mass DESC) AS k, sum(mass) OVER (ORDER BY mass DESC ROWS UNBOUNDED PRECEDING) AS total FROM e),
+cut AS (SELECT arg_max((total - 1) / k, k) AS level FROM o WHERE mass - (total - 1) / k > 0)
+SELECT cx, cy, round(greatest(mass - level, 0), 6) AS projected, round(greatest(mass, 0) / (SELECT sum(greatest(mass, 0)) FROM e), 6) AS clipped FROM e, cut""")
 def grr_projected(spark, sf):
     """The linear estimate made a distribution by projection, and by clipping."""
     rows = sorted(_estimate_oracle("grr", spark, sf).collect(), key=lambda r: (r.cy, r.cx))
     v = np.array([r.mass for r in rows])
-    return to_histogram(spark, project_simplex(v), 5).withColumnRenamed("mass", "projected").join(to_histogram(spark, clip_normalise(v), 5).withColumnRenamed("mass", "clipped"), ["cx", "cy"])
+    both = to_histogram(spark, project_simplex(v), 5).withColumnRenamed("mass", "projected").join(to_histogram(spark, clip_normalise(v), 5).withColumnRenamed("mass", "clipped"), ["cx", "cy"])
+    return both.select("cx", "cy", r6(F.col("projected")).alias("projected"), r6(F.col("clipped")).alias("clipped"))
 
 
 @query("uniform_baseline", f"SELECT cx, cy, CAST(0.04 AS DOUBLE) AS mass FROM ({S.grid_cells(5)})")
@@ -508,11 +586,14 @@ def trajectory_markov(spark, sf):
     return markov_estimate(trajectories(spark, sf, 5), unit_grid(5), 3.5, **HASH)
 
 
-@query("trajectory_pivot")
+_CHOSEN = f"SELECT *, event_id AS point FROM (SELECT e.event_id, c.cx, c.cy, row_number() OVER (PARTITION BY e.user_id ORDER BY {uniform_sql('e.event_id', 7)}, e.event_id) AS nth FROM ({S.cells('crime_like', 5)}) c JOIN events e ON e.event_id = c.user_id) WHERE nth <= 4"
+
+
+@query("trajectory_pivot", f"SELECT CAST(cell % 5 AS INTEGER) AS cx, CAST(cell // 5 AS INTEGER) AS cy, round(mass, 6) AS mass FROM ({_subset_em(3.5 / 4, 1, 'nearest', _CHOSEN, 'point')})")
 def trajectory_pivot(spark, sf):
     from veilgrid.mechanisms.trajectory import pivot_estimate, trajectories
 
-    return pivot_estimate(trajectories(spark, sf, 5), unit_grid(5), 3.5, seed=9)
+    return pivot_estimate(trajectories(spark, sf, 5), unit_grid(5), 3.5, 4, STEPS, -1.0, **HASH).withColumn("mass", r6(F.col("mass")))
 
 
 # ---- measures ----
@@ -567,6 +648,13 @@ def w2_exact(spark, sf):
     return frames.grid_distances(*_hist_pair(spark, sf), d=5)
 
 
+@query("w2_exact_line", f"SELECT round(sqrt(sum((x.cx - y.cx) * (x.cx - y.cx) * (least(x.fa, y.fb) - greatest(x.fa - x.a, y.fb - y.b)))), 6) AS w2 FROM ({_CDFS}) x JOIN ({_CDFS}) y ON least(x.fa, y.fb) > greatest(x.fa - x.a, y.fb - y.b)")
+def w2_exact_line(spark, sf):
+    """Exact transport over the cells where the answer is known in closed form: both histograms summed to one row of cells."""
+    a, b = (h.groupBy("cx").agg(F.sum("mass").alias("mass")).withColumn("cy", F.lit(0)) for h in _hist_pair(spark, sf))
+    return frames.grid_distances(a, b, d=5).select(r6(F.col("w2")).alias("w2"))
+
+
 @query("w2_sinkhorn")
 def w2_sinkhorn(spark, sf):
     return frames.grid_distances(*_hist_pair(spark, sf, 20), d=20, exact=False)
@@ -589,6 +677,12 @@ def sinkhorn_df(spark, sf):
     return frames.sinkhorn_cost(*_hist_pair(spark, sf, 4), d=4, reg=1.0, iterations=2).select(r6(F.col("cost")).alias("cost"))
 
 
+@query("w2_sinkhorn_rounds", _sinkhorn_sql())
+def w2_sinkhorn_rounds(spark, sf):
+    """The array form that the studies use, stopped after the same two rounds as the relational one."""
+    return frames.plan_cost(*_hist_pair(spark, sf, 4), d=4, reg=1.0, rounds=2).select(r6(F.col("cost")).alias("cost"))
+
+
 _SEP = f"SELECT k, cos(2 * pi() * k / 8) AS c, sin(2 * pi() * k / 8) AS s FROM (SELECT CAST(range AS INTEGER) AS k FROM range(8))"
 
 
@@ -631,21 +725,53 @@ def distance_loss_query(spark, sf):
     return a.join(b, F.col("a.other") == F.col("b.other")).where(F.col("a.cell") != F.col("b.cell")).agg(r6(F.max(F.abs(F.log(F.col("a.prob") / F.col("b.prob"))) / dist)).alias("loss"))
 
 
-@query("local_privacy_subset")
+_BUDGETS_SUBSET = (0.5, 1.0, 2.0, 4.0)
+
+
+def _privacy_of_sets(k: int) -> str:
+    """Local privacy under the uniform prior over all sets of k of 25 cells."""
+    cells = [f"(SELECT CAST(range AS INTEGER) AS c{j} FROM range(25)) t{j}" for j in range(k)]
+    sets = f"SELECT [{', '.join(f'c{j}' for j in range(k))}] AS members FROM {', '.join(cells)}" + (" WHERE " + " AND ".join(f"c{j} < c{j + 1}" for j in range(k - 1)) if k > 1 else "")
+    pairs = f"SELECT a.cy * 5 + a.cx AS cell, b.cy * 5 + b.cx AS other, {_DIST} AS dist FROM ({S.grid_cells(5)}) a, ({S.grid_cells(5)}) b"
+    near = f"SELECT s.members, d.cell, min(d.dist) AS near FROM (SELECT members, unnest(members) AS m FROM ({sets})) s JOIN ({pairs}) d ON d.other = s.m GROUP BY s.members, d.cell"
+    prob = f"SELECT e.eps, members, cell, exp(-0.5 * e.eps * near) / sum(exp(-0.5 * e.eps * near)) OVER (PARTITION BY e.eps, cell) AS prob FROM ({near}), (SELECT CAST(unnest({list(_BUDGETS_SUBSET)}) AS DOUBLE) AS eps) e"
+    return f"""SELECT CAST({k} AS INTEGER) AS k, eps AS eps_prime, round(sum(part / total) / 25, 6) AS lp, CAST(0 AS DOUBLE) AS standard_error FROM (SELECT x.eps, x.members, sum(x.prob * y.prob * d.dist) AS part FROM p{k} x JOIN p{k} y ON x.eps = y.eps AND x.members = y.members JOIN d ON d.cell = x.cell AND d.other = y.cell GROUP BY x.eps, x.members)
+JOIN (SELECT eps, members, sum(prob) AS total FROM p{k} GROUP BY eps, members) USING (eps, members) GROUP BY eps""", f"p{k} AS MATERIALIZED ({prob})", f"d AS MATERIALIZED ({pairs})"
+
+
+_SETS = [_privacy_of_sets(k) for k in (1, 2, 3)]
+
+
+@query("local_privacy_subset", f"WITH {_SETS[0][2]}, {', '.join(x[1] for x in _SETS)} " + " UNION ALL ".join(x[0] for x in _SETS))
 def local_privacy_subset_query(spark, sf):
-    rows = [(k, e, *local_privacy_subset(SubsetExponentialMechanism(e, unit_grid(5), k))) for k in (1, 2, 3) for e in (0.5, 1.0, 2.0, 4.0)]
-    return spark.createDataFrame(rows, "k int, eps_prime double, lp double, standard_error double")
+    rows = [(k, e, *local_privacy_subset(SubsetExponentialMechanism(e, unit_grid(5), k))) for k in (1, 2, 3) for e in _BUDGETS_SUBSET]
+    return spark.createDataFrame(rows, "k int, eps_prime double, lp double, standard_error double").withColumn("lp", r6(F.col("lp")))
+
+
+def _matched(eps):
+    grid = unit_grid(5)
+    distances = SubsetExponentialMechanism(1.0, grid).distances
+    lp = local_privacy(DiskMechanism(eps, grid).channel_matrix(), distances)
+    return lp, match_privacy(lp, grid)
 
 
 @query("match_privacy")
 def match_privacy_query(spark, sf):
     """Equal-privacy pairs (eps of the disk, eps' of the subset mechanism) under the uniform prior."""
-    distances = SubsetExponentialMechanism(1.0, unit_grid(5)).distances
-    rows = []
-    for e in EPS[:6]:
-        lp = local_privacy(DiskMechanism(e, unit_grid(5)).channel_matrix(), distances)
-        rows.append((e, lp, match_privacy(lp, unit_grid(5))))
-    return spark.createDataFrame(rows, "eps double, lp double, eps_prime double")
+    return spark.createDataFrame([(e, *_matched(e)) for e in EPS[:6]], "eps double, lp double, eps_prime double")
+
+
+def _disk_privacy_sql(eps):
+    m = S.channel(5, geo.grid_radius(eps, 5), S.disk_weights(geo.grid_radius(eps, 5), eps))
+    return f"SELECT CAST({eps} AS DOUBLE) AS eps, round(sum(part / 25 / total), 5) AS disk_lp, round(sum(part / 25 / total), 5) AS subset_lp FROM (SELECT a.ox, a.oy, sum(a.prob * b.prob * {_DIST}) AS part FROM ({m}) a JOIN ({m}) b ON a.ox = b.ox AND a.oy = b.oy GROUP BY a.ox, a.oy) JOIN (SELECT ox, oy, sum(prob) AS total FROM ({m}) GROUP BY ox, oy) USING (ox, oy)"
+
+
+@query("match_privacy_check", " UNION ALL ".join(_disk_privacy_sql(e) for e in EPS[:6]))
+def match_privacy_check(spark, sf):
+    """What matching is for: the subset mechanism at the budget found has the disk's local privacy."""
+    grid = unit_grid(5)
+    rows = [(e, round(lp, 5), round(local_privacy_subset(SubsetExponentialMechanism(found, grid))[0], 5)) for e in EPS[:6] for lp, found in [_matched(e)]]
+    return spark.createDataFrame(rows, "eps double, disk_lp double, subset_lp double")
 
 
 @query("output_space", " UNION ALL ".join(f"SELECT CAST({d} AS INTEGER) AS d, CAST({k} AS INTEGER) AS k, round(exp(lgamma({d * d + 1}) - lgamma({k + 1}) - lgamma({d * d - k + 1})), 0) AS sets, (SELECT count(*) FROM ({S.outputs(d, 1)})) AS cells" for d, k in ((3, 2), (5, 2), (5, 3), (5, 6))))
@@ -656,21 +782,14 @@ def output_space(spark, sf):
 
 @query("rate_map", f"""SELECT g.cx, g.cy, round(1000 * coalesce(h.errors, 0) / CAST(greatest(coalesce(h.n, 0), 1) AS DOUBLE), 6) AS per_thousand, coalesce(h.n, 0) AS n FROM ({S.grid_cells(5)}) g LEFT JOIN (SELECT cx, cy, count(*) AS n, count(*) FILTER (e.event_type = 'error') AS errors FROM ({S.cells('crime_like', 5)}) c JOIN events e ON e.event_id = c.user_id GROUP BY cx, cy) h ON h.cx = g.cx AND h.cy = g.cy""")
 def rate_map(spark, sf):
-    kinds = table(spark, sf, "events").select(F.col("event_id").alias("user_id"), "event_type")
-    cells = assign_cells(points(spark, sf, "crime_like"), POINT_SETS["crime_like"].grid(5)).join(kinds, "user_id")
+    cells = assign_cells(event_points(spark, sf, "event_type"), POINT_SETS["crime_like"].grid(5))
     counts = cells.groupBy("cx", "cy").agg(F.count("*").alias("n"), F.count_if(F.col("event_type") == "error").alias("errors"))
     full = input_cells(spark, unit_grid(5)).join(counts, ["cx", "cy"], "left")
     return full.select("cx", "cy", r6(1000 * F.coalesce("errors", F.lit(0)) / F.greatest(F.coalesce("n", F.lit(0)), F.lit(1))).alias("per_thousand"), F.coalesce("n", F.lit(0)).alias("n"))
 
 
-@query("range_extraction", "SELECT CAST(x / 10 AS INTEGER) AS band, count(*) AS n FROM (SELECT value AS x FROM events WHERE value BETWEEN 20 AND 60 AND event_id BETWEEN 100 AND 9000) GROUP BY band")
+@query("range_extraction", f"SELECT part, CAST(y / 10 AS INTEGER) AS band, count(*) AS n FROM ({POINT_SETS['crime_like'].sql}) WHERE x BETWEEN 5 AND 25 AND y BETWEEN 20 AND 60 GROUP BY ALL")
 def range_extraction(spark, sf):
-    kept = table(spark, sf, "events").where(F.col("value").between(20, 60) & F.col("event_id").between(100, 9000))
-    return kept.groupBy(F.rint(F.col("value") / 10).cast("int").alias("band")).agg(F.count("*").alias("n"))
-
-
-@query("range_extraction_rectangle", f"SELECT part, CAST(y / 10 AS INTEGER) AS band, count(*) AS n FROM ({POINT_SETS['crime_like'].sql}) WHERE x BETWEEN 5 AND 25 AND y BETWEEN 20 AND 60 GROUP BY ALL")
-def range_extraction_rectangle(spark, sf):
     """The rectangle on both coordinates (days and value) over the whole table, then the square part."""
     kept = points(spark, sf, "crime_like").where(F.col("x").between(5, 25) & F.col("y").between(20, 60))
     return kept.groupBy("part", F.rint(F.col("y") / 10).cast("int").alias("band")).agg(F.count("*").alias("n"))

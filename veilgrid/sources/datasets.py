@@ -38,11 +38,14 @@ def days_since(ts: Column, start: str) -> Column:
     return F.datediff(F.to_date(ts), F.lit(start).cast("date")) + seconds / 86400
 
 
+def event_points(spark: SparkSession, sf: str, *extra: str) -> DataFrame:
+    """(event_id, x, y, extra...): days since the start and value of every event."""
+    return table(spark, sf, "events").select("event_id", days_since(F.col("ts"), "2024-01-01").alias("x"), F.col("value").alias("y"), *extra)
+
+
 def _events(spark, sf):
-    e = table(spark, sf, "events")
-    x = days_since(F.col("ts"), "2024-01-01")
     part = F.when((F.col("x") < 10) & (F.col("y") < 60), "A").when((F.col("x") >= 10) & (F.col("x") < 20) & (F.col("y") < 60), "B").when((F.col("x") >= 20) & (F.col("y") >= 60) & (F.col("y") < 120), "C").otherwise("rest")
-    return e.select(F.col("event_id").alias("user_id"), x.alias("x"), F.col("value").alias("y")).withColumn("part", part)
+    return event_points(spark, sf).withColumnRenamed("event_id", "user_id").withColumn("part", part)
 
 
 _EVENTS_SQL = """SELECT user_id, x, y, CASE WHEN x < 10 AND y < 60 THEN 'A' WHEN x >= 10 AND x < 20 AND y < 60 THEN 'B' WHEN x >= 20 AND y >= 60 AND y < 120 THEN 'C' ELSE 'rest' END AS part
