@@ -4,11 +4,11 @@ import duckdb
 import numpy as np
 import pandas as pd
 import pytest
-from veilgrid.plans import catalog
+from veilgrid.plans import catalog, experiments
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-#: Queries that simulate many runs; three of them are tested, the others differ by the point set only.
-HEAVY = {n for n in catalog.QUERIES if n.startswith("sweep_")} - {"sweep_d_szipf_gen", "sweep_b_normal_gen", "sweep_eps_large_normal_gen"}
+#: Panels of ten runs; each is tested below with one run.
+HEAVY = {n for n in catalog.QUERIES if n.startswith("sweep_")}
 
 
 @pytest.fixture(scope="module")
@@ -39,6 +39,24 @@ def test_query(spark, duck, sf, name):
         assert len(got)
 
 
+@pytest.mark.parametrize("panel", experiments.PANELS)
+@pytest.mark.parametrize("name", experiments.STUDIED)
+def test_panel(spark, sf, panel, name):
+    """One run of every panel: a row a setting, distances that fit the grid, nothing moved on a single cell."""
+    rows = experiments.run_panel(spark, sf, panel, name, runs=1).collect()
+    assert len(rows) == len(experiments.PANELS[panel]()) and f"{panel}_{name}" in catalog.QUERIES
+    for r in rows:
+        assert 0 <= r.w2 <= 2**0.5 * r.d and r.runs == r.parts == (3 if experiments.STUDIED[name] else 1)
+        assert r.d > 1 or r.w2 < 1e-6
+        assert r.measure == ("exact" if panel in ("sweep_d", "sweep_eps", "sweep_eps_growth") else "sinkhorn")
+
+
+def test_growing_subsets_are_as_large_as_privacy_allows():
+    sizes = {(s["eps"], s["d"]): s["k"] for p in ("sweep_eps_growth", "sweep_d_large", "sweep_eps_large") for s in experiments.PANELS[p]() if s["method"] == "subset"}
+    assert [sizes[e, 5] for e in (0.7, 1.4, 2.1, 2.8, 3.5)] == [12, 6, 3, 2, 1]
+    assert {at: k for at, k in sizes.items() if at[0] >= 5 and k > 1} == {(5.0, 15): 2}  # elsewhere n / e^eps is one, or larger sets can't match
+
+
 def test_entry_point(spark):
     import __spark_entry__ as e
 

@@ -379,7 +379,7 @@ def test_range_extraction_takes_the_whole_table(spark, tmp_path):
     from veilgrid.plans.catalog import QUERIES
 
     spark.range(20_000).select(F.col("id").alias("event_id"), F.lit("2024-01-11 12:00:00").cast("timestamp").alias("ts"), (F.col("id") % 80 + 0.25).alias("value")).write.parquet(f"{tmp_path}/events.parquet")
-    rows = QUERIES["range_extraction_rectangle"](spark, str(tmp_path)).collect()
+    rows = QUERIES["range_extraction"](spark, str(tmp_path)).collect()
     assert sum(r.n for r in rows) == 10_000 and {r.part for r in rows} == {"B"}
 
 
@@ -387,4 +387,4 @@ def test_null_safe_join_takes_all_orders(spark, tmp_path):
     from veilgrid.plans.catalog import QUERIES
 
     spark.range(900).select(F.col("id").alias("o_orderkey"), F.element_at(F.array(F.lit("F"), F.lit("O"), F.lit("P")), (F.col("id") % 3 + 1).cast("int")).alias("o_orderstatus"), F.lit(1.0).alias("o_totalprice")).write.parquet(f"{tmp_path}/orders.parquet")
-    assert {r.part: r.pairs for r in QUERIES["op_join_null_safe_all"](spark, str(tmp_path)).collect()} == {"F": 300, "O": 300, None: 300}
+    assert {r.part: r.pairs for r in QUERIES["op_join_null_safe"](spark, str(tmp_path)).collect()} == {"F": 300, "O": 300, None: 300}

@@ -79,16 +79,27 @@ def test_one_report_each_and_stream_join(spark, folder, tmp_path):
 
 
 def test_running_estimate(spark, folder, tmp_path):
-    mech = DiskMechanism(3.5, GRID)
-    sink = C.RunningEstimate(mech, max_iter=30, tol=-1)
+    """Totals live in a folder: a new sink goes on where the old one stopped, and a batch offered again counts once."""
+    mech, place, fine = DiskMechanism(3.5, GRID), str(tmp_path / "totals"), {"max_iter": 5000, "tol": 1e-13}
     stream = C.report_stream(C.read_points(spark, folder, schema(spark, folder)), GRID, mech, **HASH)
-    q = stream.writeStream.foreachBatch(sink).option("checkpointLocation", str(tmp_path / "fe")).trigger(availableNow=True).start()
-    q.awaitTermination(120)
+    updates = []
+    sink = C.RunningEstimate(mech, place, lambda k, mass: updates.append(k), **fine)
+
+    def run_until_done(sink):
+        stream.writeStream.foreachBatch(sink).option("checkpointLocation", str(tmp_path / "fe")).trigger(availableNow=True).start().awaitTermination(120)
+
+    run_until_done(sink)
     batch = {(r.ox, r.oy): r.n for r in count_reports(mech.report(assign_cells(spark.read.parquet(folder), GRID), **HASH)).collect()}
-    assert len(sink.seen) == 4 and np.allclose(sink.mass, invert_counts(mech, batch, 30, -1).mass)
-    before = dict(sink.counts)
-    sink(spark.createDataFrame([(0, 0)], "ox int, oy int"), 0)
-    assert sink.counts == before
+    stored = lambda k: {(r.ox, r.oy): r.n for r in spark.read.parquet(f"{place}/total-{k}").collect()}
+    assert updates == [0, 1, 2, 3] and stored(3) == batch and sorted(x.name for x in (tmp_path / "totals").iterdir()) == ["total-2", "total-3"]
+    assert np.allclose(sink.mass, invert_counts(mech, batch, **fine).mass, atol=2e-3)
+    again = C.RunningEstimate(mech, place, **fine)  # after a restart: nothing in memory
+    one = spark.createDataFrame([(0, 0)] * 5, "ox int, oy int")
+    for _ in range(2):
+        again(one, 4)
+    assert stored(4) == {c: n + 5 * (c == (0, 0)) for c, n in batch.items()}
+    with pytest.raises(RuntimeError):
+        again(one, 9)
 
 
 def test_budget_ledger(spark, tmp_path):

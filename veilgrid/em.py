@@ -32,18 +32,19 @@ def smooth_mass(f: np.ndarray, shape: tuple[int, ...]) -> np.ndarray:
     return out.ravel() / out.sum()
 
 
-def em(counts: np.ndarray, channel: np.ndarray, max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False, shape: tuple[int, ...] | None = None) -> Fit:
-    """counts over m outputs, channel n x m. Uniform start; stops on a small relative change of the log-likelihood.
+def em(counts: np.ndarray, channel: np.ndarray, max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False, shape: tuple[int, ...] | None = None, start: np.ndarray | None = None) -> Fit:
+    """counts over m outputs, channel n x m. Uniform start unless another is given; stops on a small relative change of the log-likelihood.
 
     With ``smooth`` every step is followed by binomial smoothing over ``shape`` (a square unless given), which keeps fine grids from being over-fitted.
     """
-    return _iterate(counts, channel.shape[0], lambda f: f @ channel, lambda r: channel @ r, max_iter, tol, smooth, shape)
+    return _iterate(counts, channel.shape[0], lambda f: f @ channel, lambda r: channel @ r, max_iter, tol, smooth, shape, start)
 
 
-def _iterate(counts, n, forward, backward, max_iter, tol, smooth=False, shape=None) -> Fit:
+def _iterate(counts, n, forward, backward, max_iter, tol, smooth=False, shape=None, start=None) -> Fit:
+    """A start is mixed with a little of the uniform one: a cell at zero would stay there."""
     shape = shape or (math.isqrt(n), math.isqrt(n))
     total = counts.sum()
-    f = np.full(n, 1 / n)
+    f = np.full(n, 1 / n) if start is None else 0.99 * start / start.sum() + 0.01 / n
     if total == 0:
         return Fit(f, 0, 0.0)
     seen = counts > 0
@@ -59,7 +60,7 @@ def _iterate(counts, n, forward, backward, max_iter, tol, smooth=False, shape=No
     return Fit(f, max_iter, before)
 
 
-def em_stencil(counts: np.ndarray, excess: list[tuple[int, int, float]], q: float, d: int, reach: int, output_mask: np.ndarray, max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False) -> Fit:
+def em_stencil(counts: np.ndarray, excess: list[tuple[int, int, float]], q: float, d: int, reach: int, output_mask: np.ndarray, max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False, start: np.ndarray | None = None) -> Fit:
     """counts on the (d + 2 reach)^2 frame of the output domain; cost per step is cells times stencil, no channel is held."""
     def forward(f):
         out = q * f.sum() * output_mask
@@ -75,10 +76,10 @@ def em_stencil(counts: np.ndarray, excess: list[tuple[int, int, float]], q: floa
             out += w * r[reach + dy : reach + dy + d, reach + dx : reach + dx + d]
         return out.ravel()
 
-    return _iterate(counts.ravel().astype(float), d * d, forward, backward, max_iter, tol, smooth)
+    return _iterate(counts.ravel().astype(float), d * d, forward, backward, max_iter, tol, smooth, start=start)
 
 
-def em_fft(counts: np.ndarray, excess: list[tuple[int, int, float]], q: float, d: int, reach: int, output_mask: np.ndarray, max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False) -> Fit:
+def em_fft(counts: np.ndarray, excess: list[tuple[int, int, float]], q: float, d: int, reach: int, output_mask: np.ndarray, max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False, start: np.ndarray | None = None) -> Fit:
     """The same as em_stencil with both sums as convolutions; for wide stencils and large d."""
     size = d + 2 * reach
     kernel = np.zeros((size, size))
@@ -97,7 +98,7 @@ def em_fft(counts: np.ndarray, excess: list[tuple[int, int, float]], q: float, d
         back = np.fft.irfft2(np.fft.rfft2(r) * spectrum.conj(), s=r.shape)[reach : reach + d, reach : reach + d]
         return (np.maximum(back, 0) + q * (r * mask).sum()).ravel()
 
-    return _iterate(counts.ravel().astype(float), d * d, forward, backward, max_iter, tol, smooth)
+    return _iterate(counts.ravel().astype(float), d * d, forward, backward, max_iter, tol, smooth, start=start)
 
 
 def em_frame(counts: DataFrame, channel: DataFrame, n: int, iterations: int) -> DataFrame:

@@ -23,13 +23,13 @@ def count_reports(reports: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     return reports.groupBy(*by, "ox", "oy").agg(F.count("*").alias("n"))
 
 
-def invert_counts(mech: AreaMechanism, counts: dict[tuple[int, int], int], max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False, method: str = "auto") -> Fit:
+def invert_counts(mech: AreaMechanism, counts: dict[tuple[int, int], int], max_iter: int = 2000, tol: float = 1e-9, smooth: bool = False, method: str = "auto", start: np.ndarray | None = None) -> Fit:
     """counts by output cell, bounded by the domain and not by the users."""
     d = mech.grid.d
     if method == "auto":
         method = "dense" if d * d * mech.outputs <= DENSE_ENTRIES else "fft" if len(mech.excess) > WIDE_STENCIL else "stencil"
     if method == "dense":
-        return em(np.array([counts.get(c, 0) for c in mech.output_list], dtype=float), mech.channel_matrix(), max_iter, tol, smooth)
+        return em(np.array([counts.get(c, 0) for c in mech.output_list], dtype=float), mech.channel_matrix(), max_iter, tol, smooth, start=start)
     reach = len(mech.stencil.half_widths) - 1
     frame, mask = np.zeros((2, d + 2 * reach, d + 2 * reach))
     for oy, lo, hi in mech.stencil.row_spans(d):
@@ -37,7 +37,7 @@ def invert_counts(mech: AreaMechanism, counts: dict[tuple[int, int], int], max_i
     for (ox, oy), n in counts.items():
         frame[oy + reach, ox + reach] = n
     excess = [(dx, dy, w * mech.q) for dx, dy, w in mech.excess]
-    return (em_fft if method == "fft" else em_stencil)(frame, excess, mech.q, d, reach, mask, max_iter, tol, smooth)
+    return (em_fft if method == "fft" else em_stencil)(frame, excess, mech.q, d, reach, mask, max_iter, tol, smooth, start)
 
 
 def to_histogram(spark: SparkSession, mass: np.ndarray, d: int) -> DataFrame:

@@ -20,7 +20,7 @@ from veilgrid.geometry import Stencil, border_share, continuous_constants, disk_
 from veilgrid.noise import uniform_columns
 
 #: Output cells, and classes of equal weight, up to which reports are plain column expressions; beyond, a vectorised function searches arrays.
-MAX_EXPRESSION_CELLS = 20_000
+MAX_EXPRESSION_CELLS = 1_000
 MAX_EXPRESSION_CLASSES = 256
 
 

@@ -1,9 +1,14 @@
-"""Wasserstein distances of histograms: exact transport for small grids, log-domain Sinkhorn with a separable kernel for larger ones."""
+"""Wasserstein distances of histograms: exact transport for small grids, Sinkhorn scaling for larger ones."""
 
 from __future__ import annotations
 
 import numpy as np
 
+#: Largest side whose plan (d^4 entries) is held whole.
+DENSE_SIDE = 32
+#: Logarithm of a factor at which it is taken into the potentials.
+ABSORB = 30.0
+
 
 def grid_cost(d: int, p: float = 2.0) -> np.ndarray:
     c = np.arange(d * d)
@@ -81,8 +86,57 @@ def _soft_min(f: np.ndarray, k: np.ndarray) -> np.ndarray:
     return f
 
 
-def sinkhorn_cost(a: np.ndarray, b: np.ndarray, d: int, reg: float = 0.1, max_iter: int = 3000, tol: float = 1e-6) -> float:
-    """Cost of the entropic plan between two mass vectors, squared distances in cells; a squared distance splits by axis."""
+def sinkhorn_cost(a: np.ndarray, b: np.ndarray, d: int, reg: float = 0.1, max_iter: int = 3000, tol: float = 1e-6, anneal: bool = False) -> float:
+    """Cost of the entropic plan between two mass vectors, squared distances in cells.
+
+    Up to DENSE_SIDE the plan is held and scaled by matrix products; larger grids use that a squared distance splits by axis. With ``anneal``
+    the scaling starts from wider kernels, which takes far fewer rounds.
+    """
+    if d <= DENSE_SIDE:
+        with np.errstate(all="ignore"):
+            found = _scaled_cost(np.asarray(a, float) / np.sum(a), np.asarray(b, float) / np.sum(b), grid_cost(d), reg, max_iter, tol, anneal)
+        if np.isfinite(found):
+            return found  # else a factor ran over between two absorptions
+    return _separable_cost(a, b, d, reg, max_iter, tol)
+
+
+def _scaled_cost(a, b, cost, reg, max_iter, tol, anneal) -> float:
+    """Scaling with absorption: potentials are kept in logarithms, a few rounds at a time run on plain factors beside the plan."""
+    rows, cols = np.flatnonzero(a > 0), np.flatnonzero(b > 0)
+    a, b, cost = a[rows], b[cols], cost[np.ix_(rows, cols)]
+    g, plan = np.zeros(len(b)), None
+    for width in ([reg * 64, reg * 16, reg * 4] if anneal else []) + [reg]:
+        final = width == reg
+        f, g, plan = _scale(a, b, cost, width, g, max_iter if final else 60, tol if final else 1e-3)
+    return float((plan * cost).sum())
+
+
+def _scale(a, b, cost, reg, g, max_iter, tol):
+    """(f, g, plan) from potentials g, all in units of cost. A round fits the rows, then the columns."""
+    k = -cost / reg
+    f = np.log(a) - _log_sums(k + g[None] / reg, 1)
+    g = np.log(b) - _log_sums(k + f[:, None], 0)
+    plan = np.exp(k + f[:, None] + g[None])
+    u, v = np.ones(len(a)), np.ones(len(b))
+    for step in range(1, max_iter):
+        u = a / (plan @ v)
+        reached = u @ plan
+        if step % 10 == 9 and np.abs(v * reached - b).sum() < tol:
+            break
+        v = b / reached
+        if step % 20 == 19 and max(np.abs(np.log(u)).max(), np.abs(np.log(v)).max()) > ABSORB:
+            f, g = f + np.log(u), g + np.log(v)
+            plan = np.exp(k + f[:, None] + g[None])
+            u, v = np.ones(len(a)), np.ones(len(b))
+    return f * reg, (g + np.log(v)) * reg, u[:, None] * plan * v[None]
+
+
+def _log_sums(x: np.ndarray, axis: int) -> np.ndarray:
+    top = x.max(axis=axis, keepdims=True)
+    return (top + np.log(np.exp(x - top).sum(axis=axis, keepdims=True))).squeeze(axis)
+
+
+def _separable_cost(a, b, d, reg, max_iter, tol) -> float:
     with np.errstate(divide="ignore"):
         la, lb = np.log(np.asarray(a, float) / np.sum(a)).reshape(d, d), np.log(np.asarray(b, float) / np.sum(b)).reshape(d, d)
     i = np.arange(d)
@@ -118,10 +172,10 @@ def _axis_pair(g: np.ndarray, k: np.ndarray, kc: np.ndarray, weighed: str) -> np
     return g
 
 
-def wasserstein_sinkhorn(a: np.ndarray, b: np.ndarray, d: int, reg: float = 0.1, max_iter: int = 3000, tol: float = 1e-6, unit: str = "cell", debias: bool = False) -> float:
-    cost = sinkhorn_cost(a, b, d, reg, max_iter, tol)
+def wasserstein_sinkhorn(a: np.ndarray, b: np.ndarray, d: int, reg: float = 0.1, max_iter: int = 3000, tol: float = 1e-6, unit: str = "cell", debias: bool = False, anneal: bool = True) -> float:
+    cost = sinkhorn_cost(a, b, d, reg, max_iter, tol, anneal)
     if debias:
-        cost -= 0.5 * (sinkhorn_cost(a, a, d, reg, max_iter, tol) + sinkhorn_cost(b, b, d, reg, max_iter, tol))
+        cost -= 0.5 * (sinkhorn_cost(a, a, d, reg, max_iter, tol, anneal) + sinkhorn_cost(b, b, d, reg, max_iter, tol, anneal))
     w = max(0.0, cost) ** 0.5
     return w if unit == "cell" else w / d
 

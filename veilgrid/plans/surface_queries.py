@@ -9,14 +9,16 @@ import pandas as pd
 from pyspark.sql import functions as F
 
 from veilgrid.domain import GridSpec, assign_cells
-from veilgrid.estimate import count_reports, estimate_by, estimate_from_reports
+from veilgrid.estimate import count_reports, estimate_by, estimate_from_reports, invert_counts
 from veilgrid.geometry import disk_stencil, grid_constants, grid_radius
 from veilgrid.mechanisms import DiskMechanism, SubsetExponentialMechanism
 from veilgrid.mechanisms.subset import default_size
+from veilgrid.metrics.cost import COSTS, timed
 from veilgrid.metrics.transport import wasserstein_exact
 from veilgrid.noise import hash_uniform
 from veilgrid.operators.sampling import draw_from, report_by_areas
 from veilgrid.plans import sql_text as S
+from veilgrid.plans.method_queries import _subset_members as subset_members_sql
 from veilgrid.registry import query, table
 from veilgrid.sources.datasets import POINT_SETS, uniform_sql
 
@@ -49,7 +51,15 @@ def weighted_draw(spark, sf):
     return table(spark, sf, "events").select(draw_from([1.0, 2.0, 2.0, 5.0], hash_uniform(F.col("event_id"), 0)).alias("k")).groupBy("k").agg(F.count("*").alias("n"))
 
 
-@query("estimate_disk_continuous")
+_B15 = grid_radius(3.5, 15)
+_CONTINUOUS = f"""WITH k AS (SELECT CAST({_B15} AS DOUBLE) / 15 AS b), c AS (SELECT b, 1 / (pi() * b * b * exp(CAST(3.5 AS DOUBLE)) + 4 * b + 1) AS q FROM k),
+t AS (SELECT p.*, c.b, c.q * (pi() * b * b + 4 * b + 1) AS background, (u / c.q - 1) / b AS strip, b * sqrt(w) * cos(2 * pi() * v) AS dx, b * sqrt(w) * sin(2 * pi() * v) AS dy FROM (SELECT user_id, (x - 0) / 500000 AS x, y / 2410 AS y, {uniform_sql('user_id', 0)} AS u, {uniform_sql('user_id', 1)} AS v, {uniform_sql('user_id', 2)} AS w FROM ({POINT_SETS['taxi_like'].sql})) p, c)
+SELECT CASE WHEN u >= background THEN x + dx WHEN strip < 0 THEN v WHEN strip < 2 THEN strip - floor(strip) WHEN strip < 3 THEN -b * v WHEN strip < 4 THEN 1 + b * v WHEN dx > 0 THEN 1 + dx ELSE dx END AS rx,
+CASE WHEN u >= background THEN y + dy WHEN strip < 0 THEN w WHEN strip < 1 THEN -b * v WHEN strip < 2 THEN 1 + b * v WHEN strip < 4 THEN strip - floor(strip) WHEN dy > 0 THEN 1 + dy ELSE dy END AS ry FROM t"""
+_CONTINUOUS_COUNTS = f"SELECT ox, oy, count(*) AS n FROM (SELECT CAST(floor(rx * 15) AS INTEGER) AS ox, CAST(floor(ry * 15) AS INTEGER) AS oy FROM ({_CONTINUOUS})) SEMI JOIN ({S.outputs(15, _B15)}) USING (ox, oy) GROUP BY ox, oy"
+
+
+@query("estimate_disk_continuous", f"SELECT cx, cy, round(mass, 6) AS mass FROM ({S.em_steps(S.channel(15, _B15, S.disk_weights(_B15, 3.5)), _CONTINUOUS_COUNTS, 225, 5)})")
 def estimate_disk_continuous(spark, sf):
     """Continuous reports put into output cells and inverted by the grid channel, which approximates their law."""
     d = 15
@@ -59,7 +69,8 @@ def estimate_disk_continuous(spark, sf):
     mech = DiskMechanism(3.5, grid)
     reports = DiskMechanism.report_continuous(scaled, 3.5, mech.b_hat / d, **HASH)
     cells = reports.select(F.floor(F.col("rx") * d).cast("int").alias("ox"), F.floor(F.col("ry") * d).cast("int").alias("oy"))
-    return estimate_from_reports(cells.join(F.broadcast(spark.createDataFrame(mech.output_list, "ox int, oy int")), ["ox", "oy"]), mech)
+    inside = cells.join(F.broadcast(spark.createDataFrame(mech.output_list, "ox int, oy int")), ["ox", "oy"], "left_semi")
+    return estimate_from_reports(inside, mech, max_iter=5, tol=-1.0).withColumn("mass", F.round("mass", 6))
 
 
 def _w2_of(a, b, cx, cy, d=5):
@@ -95,17 +106,18 @@ def cogroup_truth_estimate(spark, sf):
     return truth.groupBy("part").cogroup(estimate.groupBy("part")).applyInPandas(measure, "part string, users long, w2 double")
 
 
-@query("map_in_pandas_subset")
+@query("map_in_pandas_subset", f"SELECT array_to_string(members, ',') AS members, count(*) AS n FROM ({subset_members_sql(2.0, 2, 'nearest', S.cells('taxi_like', 5))}) GROUP BY members")
 def map_in_pandas_subset(spark, sf):
-    """The subset sampler as a map over batches."""
+    """The subset sampler as a map over batches, from uniforms of each user."""
     mech = SubsetExponentialMechanism(2.0, _UNIT, 2)
 
     def run(batches):
-        rng = np.random.default_rng(8)
         for pdf in batches:
-            yield pd.DataFrame({"members": list(mech.sample((pdf.cy * 5 + pdf.cx).to_numpy(), rng))})
+            yield pd.DataFrame({"members": list(mech.sample_from((pdf.cy * 5 + pdf.cx).to_numpy(), pdf[["u", "v"]].to_numpy()))})
 
-    return _cells(spark, sf).select("cx", "cy").mapInPandas(run, "members array<int>").groupBy("members").agg(F.count("*").alias("n"))
+    drawn = _cells(spark, sf).select("cx", "cy", hash_uniform(F.col("user_id"), 0).alias("u"), hash_uniform(F.col("user_id"), 1).alias("v"))
+    sets = drawn.mapInPandas(run, "members array<int>").select(F.array_join(F.col("members").cast("array<string>"), ",").alias("members"))
+    return sets.groupBy("members").agg(F.count("*").alias("n"))
 
 
 @query("udf_contrast", "SELECT event_id, CAST(least(floor(value / 60), 4) AS INTEGER) AS built_in, CAST(least(floor(value / 60), 4) AS INTEGER) AS by_arrow FROM events")
@@ -133,13 +145,29 @@ def cost_table(spark, sf):
     return spark.createDataFrame(rows, "d int, eps double, b_hat int, stencil_cells long, outputs long, dense_step long, stencil_step long, subset_size int")
 
 
-@query("explain_report", "SELECT 1 AS exchanges, true AS pushed, false AS python")
+@query("explain_report")
 def explain_report(spark, sf):
     """What the count of reports plans: shuffles, a filter that reaches the scan, Python."""
     plan = count_reports(DiskMechanism(3.5, _UNIT).report(_cells(spark, sf), **HASH))._jdf.queryExecution().executedPlan().toString()
     return spark.createDataFrame([(plan.count("Exchange"), "PushedFilters: [IsNotNull" in plan, "Python" in plan)], "exchanges int, pushed boolean, python boolean")
 
 
+@query("measured_costs")
+def measured_costs(spark, sf):
+    """Measured wall time, task time, shuffle, rows and memory of collecting reports, and of each form of inversion, on two grids."""
+    rows = []
+    for d in (5, 15):
+        mech, grid = DiskMechanism(3.5, GridSpec(0.0, 0.0, 1.0, 1.0, d)), POINT_SETS["taxi_big"].grid(d)
+        cells = assign_cells(POINT_SETS["taxi_big"].read(spark, sf), grid)
+        counted, cost = timed(spark, lambda: count_reports(mech.report(cells, **HASH)).collect())
+        rows.append(("report and count", d, mech.outputs, 0, *cost))
+        counts = {(r.ox, r.oy): r.n for r in counted}
+        for method in ("dense", "stencil", "fft"):
+            fit, cost = timed(spark, lambda: invert_counts(mech, counts, 50, -1.0, method=method))
+            rows.append((f"inversion, {method}", d, mech.outputs, fit.iterations, *cost))
+    return spark.createDataFrame(rows, f"step string, d int, outputs long, iterations int, {COSTS}")
+
+
 @query("histogram_map_display", f"SELECT part, CAST(count(*) AS BIGINT) AS cells, CAST(sum(n) AS BIGINT) AS users FROM (SELECT part, cx, cy, count(*) AS n FROM ({S.cells('taxi_like', 5)}) GROUP BY ALL) GROUP BY part")
 def histogram_map_display(spark, sf):
     """A histogram as one map column per part, as reports show it."""

@@ -51,8 +51,12 @@ def _events(spark, sf):
 _EVENTS_SQL = """SELECT user_id, x, y, CASE WHEN x < 10 AND y < 60 THEN 'A' WHEN x >= 10 AND x < 20 AND y < 60 THEN 'B' WHEN x >= 20 AND y >= 60 AND y < 120 THEN 'C' ELSE 'rest' END AS part
 FROM (SELECT event_id AS user_id, CAST(epoch_us(ts) - 1704067200000000 AS DOUBLE) / 86400000000 AS x, value AS y FROM events)"""
 
-#: Squares of the event set: (x0, y0, width, height) of its three parts.
-EVENT_PARTS = {"A": (0.0, 0.0, 10.0, 60.0), "B": (10.0, 0.0, 10.0, 60.0), "C": (20.0, 60.0, 10.0, 60.0)}
+#: Squares (in the scaled domain) of the sets that are cut into three parts: (x0, y0, width, height).
+SQUARE_PARTS = {
+    "crime_like": {"A": (0.0, 0.0, 10.0, 60.0), "B": (10.0, 0.0, 10.0, 60.0), "C": (20.0, 60.0, 10.0, 60.0)},
+    "taxi_like": {"A": (0.0, 0.0, 250000.0, 1205.0), "B": (250000.0, 0.0, 250000.0, 1205.0), "C": (125000.0, 1205.0, 250000.0, 1205.0)},
+    "taxi_big": {"A": (0.0, 0.0, 52500.0, 1255.0), "B": (52500.0, 0.0, 52500.0, 1255.0), "C": (26250.0, 1255.0, 52500.0, 1255.0)},
+}
 
 
 def _orders(spark, sf):

@@ -92,20 +92,39 @@ def ledger(requests: DataFrame, cap: float, ttl_ms: int | None = None) -> DataFr
 
 
 class RunningEstimate:
-    """foreachBatch sink: merges a batch's counts (outputs rows, not users) and inverts again."""
+    """foreachBatch sink: adds each batch's counts (outputs rows, not users) to a stored total and inverts it, starting from the last estimate.
 
-    def __init__(self, mech: AreaMechanism, on_update: Callable[[int, np.ndarray], None] | None = None, **options):
-        self.mech, self.options, self.on_update = mech, options, on_update
-        self.counts: dict[tuple[int, int], int] = {}
+    The total after a batch is a folder named by the batch's number, made from the one before: a batch that is offered again, after a
+    failure or a restart from the query's checkpoint, writes the same total anew, so nothing is lost or counted twice. The two newest are kept.
+    ``folder`` must be as durable as the query's checkpoint.
+    """
+
+    def __init__(self, mech: AreaMechanism, folder: str, on_update: Callable[[int, np.ndarray], None] | None = None, **options):
+        self.mech, self.folder, self.options, self.on_update = mech, folder.rstrip("/"), options, on_update
         self.mass: np.ndarray | None = None
-        self.seen: set[int] = set()
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        if batch_id in self.seen:  # a batch may be offered again after a failure
-            return
-        for r in batch.groupBy("ox", "oy").agg(F.count("*").alias("n")).collect():
-            self.counts[r.ox, r.oy] = self.counts.get((r.ox, r.oy), 0) + r.n
-        self.seen.add(batch_id)
-        self.mass = invert_counts(self.mech, self.counts, **self.options).mass
-        if self.on_update:
-            self.on_update(batch_id, self.mass)
+        spark = batch.sparkSession
+        counted = batch.groupBy("ox", "oy").agg(F.count("*").alias("n"))
+        if batch_id:
+            if not self._files(spark, batch_id - 1)[2]:
+                raise RuntimeError(f"no total of batch {batch_id - 1} in {self.folder}: the counts before it would be lost")
+            counted = counted.unionByName(spark.read.parquet(self._path(batch_id - 1))).groupBy("ox", "oy").agg(F.sum("n").alias("n"))
+        counted.coalesce(1).write.mode("overwrite").parquet(self._path(batch_id))
+        rows = {(r.ox, r.oy): r.n for r in spark.read.parquet(self._path(batch_id)).collect()}  # at most mech.outputs rows
+        if batch_id > 1:
+            files, old, there = self._files(spark, batch_id - 2)
+            if there:
+                files.delete(old, True)
+        if rows:
+            self.mass = invert_counts(self.mech, rows, start=self.mass, **self.options).mass
+            if self.on_update:
+                self.on_update(batch_id, self.mass)
+
+    def _path(self, batch_id: int) -> str:
+        return f"{self.folder}/total-{batch_id}"
+
+    def _files(self, spark: SparkSession, batch_id: int):
+        path = spark._jvm.org.apache.hadoop.fs.Path(self._path(batch_id))
+        files = path.getFileSystem(spark._jsc.hadoopConfiguration())
+        return files, path, files.exists(spark._jvm.org.apache.hadoop.fs.Path(path, "_SUCCESS"))
