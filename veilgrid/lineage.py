@@ -19,7 +19,11 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
     context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoint-"))
 
 
-def materialise(df: DataFrame) -> DataFrame:
-    """A stable copy that survives lost executors."""
+#: Rows of a narrow table that one file of a checkpoint holds at least, where a bound of the rows is given.
+FILE_ROWS = 1 << 18
+
+
+def materialise(df: DataFrame, rows: int | None = None) -> DataFrame:
+    """A stable copy that survives lost executors. With a bound of its rows, small tables are written to few files."""
     ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    return (df if rows is None else df.coalesce(max(1, -(-rows // FILE_ROWS)))).checkpoint(eager=True)
