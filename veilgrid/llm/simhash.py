@@ -196,14 +196,14 @@ def _links_of_partition(radius: int):
     return run
 
 
-def fingerprint_links(distinct_fps: DataFrame, radius: int = RADIUS, bucket_limit: int = BUCKET_LIMIT, partition_rows: int = 1 << 19) -> DataFrame:
+def fingerprint_links(distinct_fps: DataFrame, radius: int = RADIUS, bucket_limit: int = BUCKET_LIMIT, partition_rows: int = 1 << 19, count: int | None = None) -> DataFrame:
     """distinct_fps(fp) -> (a, b): edges that join exactly the fingerprints connected by distances within the radius."""
     spark = distinct_fps.sparkSession
-    n = distinct_fps.count()
+    n = distinct_fps.count() if count is None else count
     masks = key_tables(n, radius)
     keys = F.explode(F.array(*[F.struct(F.lit(t).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("k")) for t, m in enumerate(masks)]))
     rows = distinct_fps.select("fp", keys.alias("x")).select("fp", F.xxhash64("x.t", "x.k").alias("bucket"))
-    hot = materialise(rows.groupBy("bucket").count().where(F.col("count") > bucket_limit).select("bucket", F.ceil(F.col("count") / F.lit(bucket_limit)).cast("int").alias("chunks")))
+    hot = materialise(rows.groupBy("bucket").count().where(F.col("count") > bucket_limit).select("bucket", F.ceil(F.col("count") / F.lit(bucket_limit)).cast("int").alias("chunks")), n * len(masks) // bucket_limit)
     if hot.isEmpty():
         tiled = rows.select(F.col("bucket").alias("tile"), "fp")
     else:
@@ -233,17 +233,19 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     no rows; other columns of the input are not read.
     """
     prints = materialise(fingerprints(docs, id_col, text_col))
-    named = rooted(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id"), F.count("*").alias("copies")), radius, bucket_limit)
-    least = materialise(named.groupBy("root").agg(F.min("least_id").alias("component_id"), F.count("*").alias("n")))
-    of_fp = materialise(join_with_hubs(named, least, "root", "n").select("fp", "copies", "component_id"))
+    named, n = rooted(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id"), F.count("*").alias("copies")), prints.count(), radius, bucket_limit)
+    least = materialise(named.groupBy("root").agg(F.min("least_id").alias("component_id"), F.count("*").alias("n")), n)
+    of_fp = materialise(join_with_hubs(named, least, "root", "n").select("fp", "copies", "component_id"), n)
     return join_with_hubs(prints, of_fp, "fp", "copies").select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def rooted(folded: DataFrame, radius: int = RADIUS, bucket_limit: int = BUCKET_LIMIT) -> DataFrame:
-    """Adds ``root``, the component's least fingerprint, to a table with one row a fingerprint (fp, ...)."""
-    folded = materialise(folded)
-    roots = connected_components(fingerprint_links(folded.select("fp"), radius, bucket_limit)).withColumnRenamed("node", "fp")
-    return materialise(folded.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp")))
+def rooted(folded: DataFrame, most: int, radius: int = RADIUS, bucket_limit: int = BUCKET_LIMIT) -> tuple[DataFrame, int]:
+    """A table with one row a fingerprint (fp, ...), at most ``most`` of them, with ``root``, the component's least fingerprint; and its rows."""
+    folded = materialise(folded, most)
+    n = folded.count()
+    links = fingerprint_links(folded.select("fp"), radius, bucket_limit, count=n)
+    roots = connected_components(links, most=n * len(key_tables(n, radius))).withColumnRenamed("node", "fp")  # a bucket's forest has fewer edges than rows
+    return materialise(folded.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp")), n), n
 
 
 def keep_one_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS, bucket_limit: int = BUCKET_LIMIT) -> DataFrame:
@@ -256,7 +258,7 @@ def keep_one_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     key = [F.xxhash64(F.lit(k), F.col(id_col).cast("long"), F.lit("/"), F.col(text_col)).alias(f"_key{k}") for k in (1, 2)]  # 128 bits of id and text
     prints = materialise(fingerprints(docs, id_col, text_col, tuple(key)))
     row = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "_key1", "_key2")
-    named = rooted(prints.groupBy("fp").agg(F.min(row).alias("row")), radius, bucket_limit)
+    named, _ = rooted(prints.groupBy("fp").agg(F.min(row).alias("row")), prints.count(), radius, bucket_limit)
     heads = named.groupBy("root").agg(F.min("row").alias("row")).select("row._key1", "row._key2")
     single = docs.select("*", *key).dropDuplicates(["_key1", "_key2"])  # copies fold in each task, so no key fills one
     return single.join(heads, ["_key1", "_key2"], "left_semi").select(*[F.col(f"`{c}`") for c in columns])
