@@ -100,30 +100,31 @@ class Forest:
 
     def search(self, query: np.ndarray, unit: np.ndarray, low: np.ndarray, high: np.ndarray, k: int, target: float) -> tuple[np.ndarray, np.ndarray, int]:
         """(rows, distances, depth reached) of all candidates of one query; places (depth - 1, tree) are given."""
-        met = np.zeros(len(self.unit), dtype=bool)
-        rows, gaps, cosines = np.empty(0, dtype=np.int64), np.empty(0), np.empty(0)
+        met, enough = np.zeros(len(self.unit), dtype=bool), min(k, len(self.unit))
+        rows, gaps, best, worst = [], [], np.empty(0), np.empty(0)  # best: the k least distances so far, worst: their cosines
         sizes = (high - low).sum(axis=1)
-        depth = int(np.flatnonzero(sizes >= k)[-1]) + 1 if (sizes >= k).any() else 1  # the longest prefixes that can do
-        missed = np.zeros((self.trees, 1))
-        start, steps = depth, [(depth, 0, self.trees)]
-        steps += [(d, t, min(t + STRIDE, self.trees)) for d in range(start - 1, 0, -1) for t in range(0, self.trees, STRIDE)]
+        start = int(np.flatnonzero(sizes >= k)[-1]) + 1 if (sizes >= k).any() else 1  # the longest prefixes that can do
+        steps = [(start, 0, self.trees)] + [(d, t, min(t + STRIDE, self.trees)) for d in range(start - 1, 0, -1) for t in range(0, self.trees, STRIDE)]
         for depth, a, b in steps:
             taken = np.zeros(len(met), dtype=bool)
             taken[self._rows(low[depth - 1, a:b], high[depth - 1, a:b], a)] = True
             new = np.flatnonzero(taken & ~met)
             met[new] = True
-            rows = np.append(rows, new)
-            gaps = np.append(gaps, np.sqrt(((self.vectors[new] - query) ** 2).sum(axis=1)))
-            cosines = np.append(cosines, self.unit[new] @ unit)
-            missed[:b] = depth
-            missed[b:] = min(depth + 1, start)
-            if len(rows) >= min(k, len(met)):
-                best = np.argpartition(gaps, k - 1)[:k] if len(gaps) > k else slice(None)
-                equal = np.interp(np.arccos(np.clip(cosines[best].min(initial=1), -1, 1)), _ANGLES, self.chance)
-                if 1 - np.prod(1 - equal ** missed) >= target:
-                    return rows, gaps, depth
-        rest = np.flatnonzero(~met) if len(rows) < min(k, len(met)) or target >= 1 else np.empty(0, dtype=np.int64)
-        return np.append(rows, rest), np.append(gaps, np.sqrt(((self.vectors[rest] - query) ** 2).sum(axis=1))), 0 if len(rest) else 1
+            rows.append(new)
+            gaps.append(np.sqrt(((self.vectors[new] - query) ** 2).sum(axis=1)))
+            best, worst = np.append(best, gaps[-1]), np.append(worst, self.unit[new] @ unit)
+            if len(best) > k:
+                kept = np.argpartition(best, k - 1)[:k]
+                best, worst = best[kept], worst[kept]
+            if len(best) >= enough:
+                equal = np.interp(np.arccos(np.clip(worst.min(initial=1), -1, 1)), _ANGLES, self.chance)
+                shallow = 1 - equal**depth
+                missed = shallow ** b * (1 - equal ** min(depth + 1, start)) ** (self.trees - b)
+                if 1 - missed >= target:
+                    return np.concatenate(rows), np.concatenate(gaps), depth
+        rest = np.flatnonzero(~met) if len(best) < enough or target >= 1 else np.empty(0, dtype=np.int64)
+        gaps.append(np.sqrt(((self.vectors[rest] - query) ** 2).sum(axis=1)))
+        return np.concatenate([*rows, rest]), np.concatenate(gaps), 0 if len(rest) else 1
 
     def _rows(self, low: np.ndarray, high: np.ndarray, first_tree: int) -> np.ndarray:
         size = (high - low).astype(np.int64)
