@@ -260,6 +260,33 @@ def decay_continuous(spark, sf):
     return DecayMechanism.report_continuous(scaled, 3.5, steps=_TABLE_STEPS, **HASH).select("user_id", (r6(F.col("rx")) + 0).alias("rx"), (r6(F.col("ry")) + 0).alias("ry"))
 
 
+_E3 = "exp(CAST(3 AS DOUBLE))"
+
+
+@query("special_cases", f"""SELECT 'no budget' AS limit_of, CAST(81 - 4 * 1 AS BIGINT) AS outputs, round(1 / CAST(77 AS DOUBLE), 9) AS least, round(1 / CAST(77 AS DOUBLE), 9) AS most UNION ALL
+SELECT 'no radius', 25, round(1 / ({_E3} + 24), 9), round({_E3} / ({_E3} + 24), 9) UNION ALL SELECT 'one cell', 1, CAST(1 AS DOUBLE), CAST(1 AS DOUBLE) UNION ALL
+SELECT 'large budget', 25, round(1 / (exp(CAST(30 AS DOUBLE)) + 24), 9), round(exp(CAST(30 AS DOUBLE)) / (exp(CAST(30 AS DOUBLE)) + 24), 9)""")
+def special_cases(spark, sf):
+    """Limits with closed forms: without budget every output is alike (a 5 x 5 grid grown by radius 2, less its corners), without radius it is k-ary
+    response, a single cell tells nothing, and a large budget tells all."""
+    found = {"no budget": DiskMechanism(0.0, unit_grid(5), 2), "no radius": DiskMechanism(3.0, unit_grid(5), 0), "one cell": DiskMechanism(3.0, unit_grid(1), 0), "large budget": DiskMechanism(30.0, unit_grid(5))}
+    out = None
+    for name, mech in found.items():
+        row = mech.channel(spark).agg(F.count_distinct("ox", "oy").alias("outputs"), r6(F.min("prob"), 9).alias("least"), r6(F.max("prob"), 9).alias("most")).withColumn("limit_of", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("secure_report_totals", f"SELECT part, count(*) AS reports, true AS inside FROM ({S.cells('taxi_like', 15)}) GROUP BY part")
+def secure_report_totals(spark, sf):
+    """Reports drawn from the operating system's randomness: they differ each time, but every user of a part sends one, inside the output cells."""
+    mech = DiskMechanism(3.5, unit_grid(15))
+    cells = assign_cells(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(15))
+    inside = F.broadcast(output_cells(spark, unit_grid(15), mech.stencil).withColumn("known", F.lit(True)))
+    reports = mech.report(cells, keep=("part",)).join(inside, ["ox", "oy"], "left")
+    return reports.groupBy("part").agg(F.count("*").alias("reports"), F.every(F.coalesce("known", F.lit(False))).alias("inside"))
+
+
 # ---- estimates ----
 
 STEPS = 20
@@ -301,6 +328,18 @@ def estimate_by_part(spark, sf):
     return found.withColumn("mass", r6(F.col("mass")))
 
 
+_RUN_CHANNEL = f"SELECT part || '/' || run AS grp, cx, cy, ox, oy, prob FROM ({S.channel(5, _B5, S.disk_weights(_B5, 3.5))}), (SELECT DISTINCT part FROM ({S.cells('taxi_like', 5)})), (SELECT CAST(range AS VARCHAR) AS run FROM range(3))"
+_RUN_COUNTS = f"SELECT part || '/' || CAST(user_id % 3 AS VARCHAR) AS grp, ox, oy, count(*) AS n FROM ({S.reports('taxi_like', 5, _B5, S.disk_weights(_B5, 3.5))}) GROUP BY ALL"
+
+
+@query("em_batched", f"SELECT split_part(grp, '/', 1) AS part, CAST(split_part(grp, '/', 2) AS BIGINT) AS run, cx, cy, round(mass / sum(mass) OVER (PARTITION BY grp), 6) AS mass FROM ({S.em_steps(_RUN_CHANNEL, _RUN_COUNTS, 25, STEPS, 'grp, cx, cy', 'grp, ox, oy')})")
+def em_batched(spark, sf):
+    """Inversions of every part and run at once: one count, one task an inversion."""
+    rows = points(spark, sf, "taxi_like").withColumn("run", F.col("user_id") % 3)
+    found = estimate_by(rows, POINT_SETS["taxi_like"].grid(5), DiskMechanism(3.5, unit_grid(5)), ("part", "run"), max_iter=STEPS, tol=-1.0, **HASH)
+    return found.withColumn("mass", r6(F.col("mass")))
+
+
 def _estimate_15(spark, sf, method):
     return estimate_distribution(points(spark, sf, "crime_like"), POINT_SETS["crime_like"].grid(15), DiskMechanism(3.5, unit_grid(15)), method=method, max_iter=5, tol=-1.0, **HASH).withColumn("mass", r6(F.col("mass")))
 
@@ -390,6 +429,17 @@ def axis_estimate_joint(spark, sf):
     return estimate_axes(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), AxisWaveMechanism(3.5, unit_grid(5), merge="joint"), max_iter=STEPS, tol=-1.0, **HASH).withColumn("mass", r6(F.col("mass")))
 
 
+def _axis_counts_of(cell: str, draw: int, b: int) -> str:
+    return f"SELECT ox, CAST(0 AS INTEGER) AS oy, count(*) AS n FROM (SELECT {S.wave_axis(cell, uniform_sql('user_id', draw), 5, b, 1.75)} AS ox FROM ({S.cells('taxi_like', 5)})) GROUP BY ox"
+
+
+@query("axis_estimate_own_radius", f"SELECT x.cx, y.cx AS cy, round(x.mass * y.mass, 6) AS mass FROM ({S.em_steps(_axis_channel(5, 2, 1.75), _axis_counts_of('cx', 0, 2), 5, STEPS)}) x, ({S.em_steps(_axis_channel(5, 2, 1.75), _axis_counts_of('cy', 1, 2), 5, STEPS)}) y")
+def axis_estimate_own_radius(spark, sf):
+    """Axes with a radius of their own instead of the best one."""
+    mech = AxisWaveMechanism(3.5, unit_grid(5), b_hat=2)
+    return estimate_axes(points(spark, sf, "taxi_like"), POINT_SETS["taxi_like"].grid(5), mech, max_iter=STEPS, tol=-1.0, **HASH).withColumn("mass", r6(F.col("mass")))
+
+
 def _one_axis(cell: str, draw: int, chosen: str) -> str:
     report = S.wave_axis(cell, uniform_sql("user_id", draw), 5, SquareWave(3.5, 5).b, 3.5)
     return f"SELECT ox, CAST(0 AS INTEGER) AS oy, count(*) AS n FROM (SELECT {report} AS ox FROM ({S.cells('taxi_like', 5)}) WHERE {uniform_sql('user_id', 2)} {chosen} 0.5) GROUP BY ox"
