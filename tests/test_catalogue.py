@@ -57,6 +57,27 @@ def test_growing_subsets_are_as_large_as_privacy_allows():
     assert {at: k for at, k in sizes.items() if at[0] >= 5 and k > 1} == {(5.0, 15): 2}  # elsewhere n / e^eps is one, or larger sets can't match
 
 
+ASKED = ["area_low"]
+INHABITED = []
+
+
+@pytest.mark.parametrize("name", [*ASKED, *INHABITED])
+def test_spark_reads_a_given_table(spark, sf, name):
+    assert catalog.QUERIES[name](spark, sf).inputFiles()
+
+
+@pytest.mark.parametrize("name", ASKED)
+def test_odd_line_items_ask_as_in_sql(spark, duck, tmp_path, name):
+    nan, inf = float("nan"), float("inf")
+    rows = [(q, n) for q in (None, nan, inf, -inf, -3.0, 0.0, 0.4, 2.5, 17.0, 17.0, 50.0) for n in (None, -1, 0, 1, 4, 9)]
+    spark.createDataFrame(rows, "l_quantity double, l_linenumber int").coalesce(1).write.parquet(f"{tmp_path}/lineitem.parquet")
+    own = duck.cursor()
+    own.execute(f"CREATE TEMP VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet/*.parquet'")
+    got = catalog.QUERIES[name](spark, str(tmp_path)).toPandas()
+    pd.testing.assert_frame_equal(canonical(got), canonical(own.execute(catalog.ORACLES[name]).df()), check_dtype=False)
+    assert got.n.sum() == 15 * (2 if name == "grid_constants" else 1)
+
+
 def test_entry_point(spark):
     import __spark_entry__ as e
 
