@@ -58,7 +58,7 @@ def test_growing_subsets_are_as_large_as_privacy_allows():
 
 
 ASKED = ["area_low", "continuous_constants", "cost_table", "grid_constants"]
-INHABITED = []
+INHABITED = ["decay_channel"]
 
 
 @pytest.mark.parametrize("name", [*ASKED, *INHABITED])
@@ -78,6 +78,18 @@ def test_odd_line_items_ask_as_in_sql(spark, duck, tmp_path, name):
     assert got.n.sum() == 15 * (2 if name == "grid_constants" else 1)
 
 
+def test_channels_list_inhabited_cells_only(spark, duck, sf, tmp_path):
+    for t, some in (("orders", "o_totalprice < 200000"), ("events", "value < 100"), ("lineitem", "l_extendedprice < 40000")):
+        duck.execute(f"COPY (SELECT * FROM '{sf}/{t}.parquet' WHERE {some}) TO '{tmp_path}/{t}.parquet' (FORMAT parquet)")
+    own = duck.cursor()
+    for t in ("orders", "events", "lineitem"):
+        own.execute(f"CREATE TEMP VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet'")
+    for name in INHABITED:
+        got = catalog.QUERIES[name](spark, str(tmp_path)).toPandas()
+        pd.testing.assert_frame_equal(canonical(got), canonical(own.execute(catalog.ORACLES[name]).df()), check_dtype=False)
+        assert name == "distance_loss" or set(zip(got.cx, got.cy)) < {(x, y) for x in range(8) for y in range(8)}
+
+
 def test_entry_point(spark):
     import __spark_entry__ as e
 
