@@ -58,7 +58,7 @@ def test_growing_subsets_are_as_large_as_privacy_allows():
 
 
 ASKED = ["area_low", "continuous_constants", "cost_table", "diagonal_share", "grid_constants"]
-INHABITED = ["decay_channel", "disk_channel", "distance_loss", "distance_set"]
+INHABITED = ["decay_channel", "disk_channel", "distance_loss", "distance_set", "exp_mech_channel"]
 
 
 @pytest.mark.parametrize("name", [*ASKED, *INHABITED])
