@@ -61,7 +61,7 @@ ASKED = ["area_low", "continuous_constants", "cost_table", "diagonal_share", "gr
 INHABITED = ["decay_channel", "disk_channel", "distance_loss", "distance_set", "exp_mech_channel"]
 
 
-@pytest.mark.parametrize("name", [*ASKED, *INHABITED])
+@pytest.mark.parametrize("name", [*ASKED, *INHABITED, "explain_report"])
 def test_spark_reads_a_given_table(spark, sf, name):
     assert catalog.QUERIES[name](spark, sf).inputFiles()
 
@@ -88,6 +88,8 @@ def test_channels_list_inhabited_cells_only(spark, duck, sf, tmp_path):
         got = catalog.QUERIES[name](spark, str(tmp_path)).toPandas()
         pd.testing.assert_frame_equal(canonical(got), canonical(own.execute(catalog.ORACLES[name]).df()), check_dtype=False)
         assert name == "distance_loss" or set(zip(got.cx, got.cy)) < {(x, y) for x in range(8) for y in range(8)}
+    row = catalog.QUERIES["explain_report"](spark, str(tmp_path)).first()
+    assert row.reports == duck.execute(f"SELECT count(*) FROM '{tmp_path}/orders.parquet'").fetchall()[0][0] and not row.python
 
 
 def test_entry_point(spark):
