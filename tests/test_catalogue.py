@@ -57,7 +57,7 @@ def test_growing_subsets_are_as_large_as_privacy_allows():
     assert {at: k for at, k in sizes.items() if at[0] >= 5 and k > 1} == {(5.0, 15): 2}  # elsewhere n / e^eps is one, or larger sets can't match
 
 
-ASKED = ["area_low", "continuous_constants", "cost_table", "diagonal_share", "grid_constants"]
+ASKED = ["area_low", "continuous_constants", "cost_table", "diagonal_share", "grid_constants", "info_best_radius"]
 INHABITED = ["decay_channel", "disk_channel", "distance_loss", "distance_set", "exp_mech_channel"]
 
 
